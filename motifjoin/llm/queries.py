@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from motifjoin.llm import chat, mixing, simhash, substring, topk, warc
+from motifjoin.llm import chat, decontaminate, mixing, simhash, substring, topk, warc
 from motifjoin.workspace import new_path
 
 
@@ -45,13 +45,17 @@ def op8_warc_archives(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.read_archives(spark, path, payload=False).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
+def op9_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op10_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     vectors = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
     return topk.top_k(vectors.filter(F.col("vec_id") % 50 == 0), vectors, k=5)
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op4_substring_dedup, op5_mix_sources, op6_simhash_near_dedup, op7_chat_formatting, op8_warc_archives, op10_exact_top_k)
+    f.__name__: f for f in (op4_substring_dedup, op5_mix_sources, op6_simhash_near_dedup, op7_chat_formatting, op8_warc_archives, op9_benchmark_decontamination, op10_exact_top_k)
 }
 
 ORACLES: dict[str, str] = {}
