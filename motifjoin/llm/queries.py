@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from motifjoin.llm import chat, decontaminate, mixing, quality, simhash, substring, topk, warc
+from motifjoin.llm import chat, decontaminate, mixing, pii, quality, simhash, substring, topk, warc
 from motifjoin.workspace import new_path
 
 
@@ -15,6 +15,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = pii.find_personal_data(table(spark, sf_dir, "documents"), texts=False)
+    joined = lambda c: F.array_join(F.transform(c, lambda s: F.concat_ws(":", s["kind"], s["start"], s["end"])), ",")
+    count = lambda kind: F.size(F.filter("base", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
+    return found.select("doc_id", *map(count, pii.BASE_KINDS), F.sha2(joined("base").cast("binary"), 256).alias("base_sha256"), joined("spans").alias("spans"))
+
+
 def op2_line_field_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     scored = quality.score_documents(docs, quality.train(docs, table(spark, sf_dir, "labels")))
@@ -61,7 +68,7 @@ def op10_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op2_line_field_quality, op4_substring_dedup, op5_mix_sources, op6_simhash_near_dedup, op7_chat_formatting, op8_warc_archives, op9_benchmark_decontamination, op10_exact_top_k)
+    f.__name__: f for f in (op1_personal_data, op2_line_field_quality, op4_substring_dedup, op5_mix_sources, op6_simhash_near_dedup, op7_chat_formatting, op8_warc_archives, op9_benchmark_decontamination, op10_exact_top_k)
 }
 
 ORACLES: dict[str, str] = {}
