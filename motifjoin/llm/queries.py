@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from motifjoin.llm import chat, decontaminate, mixing, pii, quality, simhash, substring, topk, warc
+from motifjoin.llm import chat, decontaminate, linededup, mixing, pii, quality, simhash, substring, topk, warc
 from motifjoin.workspace import new_path
 
 
@@ -28,6 +28,11 @@ def op2_line_field_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", quality.held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= quality.THRESHOLD).cast("int").alias("predicted"))
 
 
+def op3_fuzzy_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return linededup.dedup_lines(docs).select("doc_id", "n_lines", "n_removed", "kept_sha256")
+
+
 def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     return substring.dedup_substrings(docs, 20, texts=False).select("doc_id", "n_words", "n_removed", "kept_sha256")
@@ -68,7 +73,7 @@ def op10_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_personal_data, op2_line_field_quality, op4_substring_dedup, op5_mix_sources, op6_simhash_near_dedup, op7_chat_formatting, op8_warc_archives, op9_benchmark_decontamination, op10_exact_top_k)
+    f.__name__: f for f in (op1_personal_data, op2_line_field_quality, op3_fuzzy_line_dedup, op4_substring_dedup, op5_mix_sources, op6_simhash_near_dedup, op7_chat_formatting, op8_warc_archives, op9_benchmark_decontamination, op10_exact_top_k)
 }
 
 ORACLES: dict[str, str] = {}
