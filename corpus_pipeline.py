@@ -1,11 +1,69 @@
-"""A corpus pipeline."""
+"""A corpus pipeline: quality, line dedup, near-duplicates, decontamination, mixing.
+
+Every stage takes (spark, docs, sf_dir), works on all that the stage before it
+kept and returns the columns of ``documents``, but for the last, which returns
+the mix: per document its size, its source's size and target, and the words taken.
+
+Null ``doc_id``: such documents go through every stage; the near-duplicate stage
+cannot name them, so they stay. Repeated rows: one of those that share a
+``doc_id`` stays in the near-duplicate stage.
+"""
 
 from __future__ import annotations
 
-STAGES: list = []
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from motifjoin.llm import decontaminate, linededup, mixing, quality, simhash
+from motifjoin.workspace import materialize
+
+
+def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the line field does not reject."""
+    model = quality.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    return quality.score_documents(docs, model).filter(F.col("score") >= quality.THRESHOLD).select(*docs.columns)
+
+
+def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without the lines that come earlier, alike or much alike; ``n_chars`` follows."""
+    fresh = linededup.dedup_lines(docs)
+    return fresh.withColumn("n_chars", F.when(F.col("n_removed") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))).select(*docs.columns)
+
+
+def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The first document of every group of near-duplicates."""
+    first = simhash.near_duplicates(docs.select("doc_id", "text")).select(F.col("component_id").alias("doc_id")).filter("doc_id is not null").distinct()
+    numbered = docs.join(first, "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    return numbered.unionByName(docs.filter("doc_id is null")).select(*docs.columns)
+
+
+def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold no benchmark item within its edit budget."""
+    return decontaminate.clean_documents(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+
+
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Words that the mix takes of every document."""
+    return mixing.taken_words(docs)
+
+
+STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
+    ("quality classifier", keep_quality),
+    ("line dedup", drop_repeated_lines),
+    ("SimHash near-dedup", keep_one_of_each_group),
+    ("benchmark decontamination", drop_contaminated),
+    ("mixing sources", mix_sources),
+]
+
+#: SQL cannot express the classifier; the stages are tested against brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages over ``documents``; each one's result is written and read again."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    for name, stage in STAGES:
+        docs = materialize(stage(spark, docs, sf_dir), name.split()[0].lower())
     return docs

@@ -28,7 +28,6 @@ from functools import reduce
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
 WORD = re.compile(r"\w+")
 
@@ -129,8 +128,8 @@ def _search(batches: Iterator[pa.RecordBatch], items: list[tuple[int, str]], rat
         yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], t) for k, (_, t) in enumerate(_ARROW)], [n for n, _ in _ARROW])
 
 
-def contaminated(docs: DataFrame, benchmark: DataFrame, rate: float = 0.2, min_words: int = 8, block_items: int = 20_000, block_chars: int = 8_000_000) -> DataFrame:
-    """``doc_id, item_id, distance, budget, start, end`` (words) for every item that a document holds within its budget."""
+def item_blocks(benchmark: DataFrame, block_items: int, block_chars: int) -> list[list[tuple[int, str]]]:
+    """The items in blocks of bounded size; at least one block."""
     blocks: list[list[tuple[int, str]]] = [[]]
     chars = 0
     for row in benchmark.select("item_id", "text").filter("text is not null").orderBy("item_id", "text").toLocalIterator():
@@ -139,12 +138,24 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, rate: float = 0.2, min_w
             chars = 0
         blocks[-1].append((row["item_id"], row["text"]))
         chars += len(row["text"])
+    return blocks
+
+
+def contaminated(docs: DataFrame, benchmark: DataFrame, rate: float = 0.2, min_words: int = 8, block_items: int = 20_000, block_chars: int = 8_000_000) -> DataFrame:
+    """``doc_id, item_id, distance, budget, start, end`` (words) for every item that a document holds within its budget."""
     rows = docs.select("doc_id", "text")
-    each = [rows.mapInArrow(lambda it, b=b: _search(it, b, rate, min_words), SCHEMA) for b in blocks]
+    each = [rows.mapInArrow(lambda it, b=b: _search(it, b, rate, min_words), SCHEMA) for b in item_blocks(benchmark, block_items, block_chars)]
     return reduce(DataFrame.unionByName, each)
 
 
-def clean_documents(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
-    """``docs`` without the documents that hold an item."""
-    bad = contaminated(docs, benchmark, **options).select(F.col("doc_id").alias("bad")).distinct()
-    return docs.join(bad, F.col("doc_id").eqNullSafe(F.col("bad")), "left_anti")
+def _clean(batches: Iterator[pa.RecordBatch], items: list[tuple[int, str]], rate: float, min_words: int) -> Iterator[pa.RecordBatch]:
+    index = PieceIndex(items, rate, min_words)
+    for batch in batches:
+        yield batch.filter(pa.array([not index.search(words_of(t.as_py())) for t in batch.column("text")], pa.bool_()))
+
+
+def clean_documents(docs: DataFrame, benchmark: DataFrame, rate: float = 0.2, min_words: int = 8, block_items: int = 20_000, block_chars: int = 8_000_000) -> DataFrame:
+    """``docs`` without the rows that hold an item; no row moves."""
+    for b in item_blocks(benchmark, block_items, block_chars):
+        docs = docs.mapInArrow(lambda it, b=b: _clean(it, b, rate, min_words), docs.schema)
+    return docs
