@@ -38,7 +38,9 @@ from motifjoin.workspace import materialize
 #: Shingle length in characters; bands and rows of the signature; the similarity of a link.
 SHINGLE, BANDS, ROWS, SIMILARITY = 8, 14, 4, 0.8
 #: Characters of a sub-batch; band hashes of a bucket; buckets at least; lines of a part of a group; bits of the map of candidates.
-BATCH_CHARS, BUCKET_KEYS, LEAST_BUCKETS, GROUP_LINES, MAP_BITS = 1 << 20, 1 << 20, 64, 4096, 1 << 26
+BATCH_CHARS, BUCKET_KEYS, LEAST_BUCKETS, GROUP_LINES, MAP_BITS = 1 << 20, 1 << 20, 64, 2048, 1 << 26
+#: Lines that are compared set by set.
+FEW_LINES = 24
 _EMPTY, _POLY = np.uint32(0xFFFFFFFF), np.uint32(0x01000193)
 
 
@@ -193,23 +195,43 @@ def _wanted(batches: Iterator[pa.RecordBatch], bits: np.ndarray) -> Iterator[pa.
         yield pa.RecordBatch.from_arrays([pa.array(np.fromiter(found.keys(), np.uint64, len(found)).view(np.int64)), pa.array(list(found.values()), pa.string())], ["h", "line"])
 
 
+def shingles(line: str, width: int) -> set[str]:
+    return {line[i : i + width] for i in range(max(1, len(line) - width + 1))}
+
+
 def similar_links(lines: list[str], width: int, similarity: float) -> list[tuple[int, int]]:
     """A spanning forest of the pairs of lines whose shingle sets have that Jaccard similarity.
 
-    Breadth-first over links; every line is compared, through an index from shingles to
-    lines, with those not reached so far, so connected lines are never compared again.
+    Breadth-first over links; every line is compared with those not reached so far, so
+    connected lines are never compared again: set against set in a few lines, through an
+    index from shingles to lines in many.
     """
-    sets = [np.unique(np.array([line[i : i + width] for i in range(max(1, len(line) - width + 1))], dtype=f"<U{width if len(line) >= width else max(1, len(line))}")) for line in lines]
-    names, code = np.unique(np.concatenate([s.astype(f"<U{width}") for s in sets]), return_inverse=True)
-    size = np.array([len(s) for s in sets])
-    ends = np.cumsum(size)
-    rows = [code[e - s : e] for s, e in zip(size, ends)]
-    owner = np.repeat(np.arange(len(lines)), size)
+    if len(lines) <= FEW_LINES:
+        sets, open_, out = [shingles(x, width) for x in lines], list(range(len(lines))), []
+        while open_:
+            queue = [open_.pop(0)]
+            while queue and open_:
+                x = queue.pop()
+                hit = []
+                for y in open_:
+                    n, m = len(sets[x]), len(sets[y])
+                    if min(n, m) >= similarity * max(n, m) - 1e-9 and (both := len(sets[x] & sets[y])) >= similarity * (n + m - both) - 1e-9:
+                        hit.append(y)
+                open_ = [y for y in open_ if y not in hit]
+                out += [(x, y) for y in hit]
+                queue += hit
+        return out
+    number: dict[str, int] = {}
+    rows = [np.array([number.setdefault(g, len(number)) for g in shingles(x, width)], np.int32) for x in lines]
+    size = np.array([len(r) for r in rows])
+    code, owner = np.concatenate(rows), np.repeat(np.arange(len(lines), dtype=np.int32), size)
+    n_codes = len(number)
+    del number
 
     def index(open_: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         keep = open_[owner]
         order = np.argsort(code[keep], kind="stable")
-        return owner[keep][order], np.searchsorted(code[keep][order], np.arange(len(names) + 1))
+        return owner[keep][order], np.searchsorted(code[keep][order], np.arange(n_codes + 1))
 
     open_ = np.ones(len(lines), bool)
     by, cuts = index(open_)
@@ -232,12 +254,29 @@ def similar_links(lines: list[str], width: int, similarity: float) -> list[tuple
     return out
 
 
-def _verify(group: pa.Table, width: int, similarity: float) -> pa.Table:
-    h, lines = group.column("h").to_numpy(), group.column("line").to_pylist()
-    order = np.argsort(h, kind="stable")
-    links = similar_links([lines[k] for k in order], width, similarity) if len(h) > 1 else []
-    u, v = (np.array([h[order[p[k]]] for p in links], np.int64) for k in (0, 1))
-    return pa.table({"u": pa.array(u), "v": pa.array(v)})
+def _verify(batches: Iterator[pa.RecordBatch], width: int, similarity: float) -> Iterator[pa.RecordBatch]:
+    """Links of every group; the rows of a group follow each other."""
+    group, members, u, v = None, [], [], []
+
+    def settle() -> None:
+        if len(members) > 1:
+            members.sort()
+            for x, y in similar_links([line for _, line in members], width, similarity):
+                u.append(members[x][0])
+                v.append(members[y][0])
+        members.clear()
+
+    for batch in batches:
+        for grp, h, line in zip(*(c.to_pylist() for c in batch.columns)):
+            if grp != group:
+                settle()
+                group = grp
+            members.append((h, line))
+        yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
+        u.clear()
+        v.clear()
+    settle()
+    yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
 
 
 def line_links(docs: DataFrame, width: int = SHINGLE, bands: int = BANDS, rows: int = ROWS, similarity: float = SIMILARITY) -> DataFrame:
@@ -254,7 +293,8 @@ def line_links(docs: DataFrame, width: int = SHINGLE, bands: int = BANDS, rows:
     for page in marked.collect():  # of a fixed size, whatever the corpus
         bits[page["page"] * 4096 : page["page"] * 4096 + 4096] = np.frombuffer(bytes(page["bits"]), np.uint8)
     lines = texts.mapInArrow(lambda it: _wanted(it, bits), "h long, line string").groupBy("h").agg(F.min("line").alias("line"))
-    return members.join(lines, "h").groupBy("grp").applyInArrow(lambda t: _verify(t, width, similarity), "u long, v long")
+    grouped = members.join(lines, "h").select("grp", "h", "line").repartition(F.col("grp")).sortWithinPartitions("grp")
+    return grouped.mapInArrow(lambda it: _verify(it, width, similarity), "u long, v long")
 
 
 def _occurrences(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

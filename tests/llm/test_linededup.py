@@ -62,7 +62,9 @@ def test_query_equals_all_pairs(spark, sf):
     assert sum(x[2] for x in have) == pytest.approx(sum(x[2] for x in want), rel=0.02)
 
 
-def test_links_are_exact():
+@pytest.mark.parametrize("few", [0, 10**6])
+def test_links_are_exact(monkeypatch, few):
+    monkeypatch.setattr(ld, "FEW_LINES", few)
     rng = random.Random(7)
     base = ["".join(rng.choice("abcdef ") for _ in range(rng.randrange(5, 120))) for _ in range(40)]
     lines = sorted({"".join(c if rng.random() > p else "z" for c in x) for x in base for p in (0, 0, 0.005, 0.02, 0.1)})
