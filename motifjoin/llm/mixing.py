@@ -36,7 +36,7 @@ from pyspark.sql import Window
 from motifjoin.workspace import materialize
 
 #: Words of a block, documents of a bucket, slots of an output shard.
-BLOCK_WORDS, BUCKET_DOCS, SHARD_SLOTS = 32, 20_000, 65_536
+BLOCK_WORDS, BUCKET_DOCS, SHARD_SLOTS = 32, 4_000, 65_536
 #: Groups of shards that the driver draws for.
 MAX_GROUPS = 4096
 _ROUNDS = 16
@@ -86,23 +86,35 @@ def slot_counts(slots: Sequence[int], shard_slots: int, seed: int) -> list[tuple
     return out
 
 
-def _draw_shards(batches: Iterator[pa.RecordBatch], shard_slots: int, per_group: int, seed: int) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        for row in batch.to_pylist():
-            has = row["has"]
-            drawn = slot_counts([x["n"] for x in has], shard_slots, seed + 1 + row["grp"])
-            rows = [(row["grp"] * per_group + shard, has[k]["source_no"], has[k]["first"] + first, n) for shard, k, first, n in drawn]
-            yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*rows)] if rows else [pa.array([], pa.int64())] * 4, ["shard", "source_no", "first", "n"])
+def _spread(x: np.ndarray) -> np.ndarray:
+    """A keyed-hash step on 64-bit numbers."""
+    for mul in (0xBF58476D1CE4E5B9, 0x94D049BB133111EB):
+        x = (x ^ (x >> np.uint64(30))) * np.uint64(mul)
+    return x ^ (x >> np.uint64(31))
 
 
-def permuted(index: F.Column, n: F.Column, key: F.Column) -> F.Column:
-    """A keyed permutation of 0..n-1: swap-or-not, exact for every n."""
+def permuted(index: np.ndarray, n: int, key: np.ndarray) -> np.ndarray:
+    """A keyed permutation of 0..n-1, per element: swap-or-not, exact for every n."""
+    i, size = index.astype(np.uint64), np.uint64(n)
+    for r in range(1, _ROUNDS + 1):
+        round_key = _spread(key + np.uint64(r * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF))
+        other = (round_key % size + size - i) % size
+        swap = _spread(round_key ^ _spread(np.maximum(i, other) + np.uint64(r))) & np.uint64(1) == 1
+        i = np.where(swap, other, i)
+    return i.astype(np.int64)
 
-    def step(i, r):
-        other = F.pmod(F.pmod(F.xxhash64(key, r), n) + n - i, n)
-        return F.when(F.xxhash64(key, r, F.greatest(i, other), F.lit("swap")) % 2 == 0, i).otherwise(other)
 
-    return F.aggregate(F.sequence(F.lit(1), F.lit(_ROUNDS)), index, step)
+def _draw_shards(batches: Iterator[pa.RecordBatch], shard_slots: int, per_group: int, seed: int, blocks: list[int]) -> Iterator[pa.RecordBatch]:
+    """The slots of the shards of a group, with the block that each holds."""
+    for batch in batches:
+        for row in batch.to_pylist():
+            has = row["has"]
+            for shard, k, first, n in slot_counts([x["n"] for x in has], shard_slots, seed + 1 + row["grp"]):
+                source, slot = has[k]["source_no"], has[k]["first"] + first + np.arange(n)
+                size = blocks[source]
+                key = _spread(np.uint64(seed) + (slot // size).astype(np.uint64) * np.uint64(0x632BE59BD9B4E019) + np.uint64(source) * np.uint64(0x9FB21C651E98DF25))
+                cols = [np.full(n, row["grp"] * per_group + shard), np.full(n, source), slot, permuted(slot % size, size, key)]
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], ["shard", "source_no", "slot", "block"])
 
 
 def document_sizes(docs: DataFrame) -> DataFrame:
@@ -147,13 +159,11 @@ def mix(docs: DataFrame, weights: Sequence[float] = (5, 2, 1), cap: float = 3.0,
     # the driver draws for groups of shards, tasks for the shards of their groups
     per_group = max(1, -(-sum(slots) // (shard_slots * MAX_GROUPS)))
     groups = spark.createDataFrame(slot_counts(slots, per_group * shard_slots, seed), "grp long, source_no long, first long, n long")
-    drawn = groups.groupBy("grp").agg(F.sort_array(F.collect_list(F.struct("source_no", "first", "n"))).alias("has")).mapInArrow(lambda it: _draw_shards(it, shard_slots, per_group, seed), "shard long, source_no long, first long, n long")
-    # one row per slot: a range is a shard's slots of one source, so the ranges spread over tasks
-    each = drawn.join(F.broadcast(sources.select("source_no", "n_blocks")), "source_no")
-    slot_rows = each.select("shard", "source_no", "n_blocks", F.explode(F.sequence(F.col("first"), F.col("first") + F.col("n") - 1)).alias("slot"))
-    round_ = F.floor(F.col("slot") / F.col("n_blocks"))
-    block = permuted(F.col("slot") % F.col("n_blocks"), F.col("n_blocks"), F.xxhash64(F.lit(seed), F.col("source_no"), round_))
-    return placed.join(F.broadcast(sources.select(F.col("source").alias("s"), "source_no")), F.col("source").eqNullSafe(F.col("s"))).drop("s"), sources, slot_rows.select("shard", "source_no", "slot", block.alias("block"))
+    rows = groups.groupBy("grp").agg(F.sort_array(F.collect_list(F.struct("source_no", "first", "n"))).alias("has"))
+    # a group is a task's worth of slots: a number of partitions of our own, which are not merged for being small
+    n_groups = -(-sum(slots) // (per_group * shard_slots))
+    slot_rows = rows.repartition(max(1, min(n_groups, MAX_GROUPS)), "grp").mapInArrow(lambda it: _draw_shards(it, shard_slots, per_group, seed, blocks), "shard long, source_no long, slot long, block long")
+    return placed.join(F.broadcast(sources.select(F.col("source").alias("s"), "source_no")), F.col("source").eqNullSafe(F.col("s"))).drop("s"), sources, slot_rows
 
 
 def document_pieces(placed: DataFrame, block_words: int = BLOCK_WORDS) -> DataFrame:

@@ -1,6 +1,7 @@
 import re
 from collections import Counter, defaultdict
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -49,10 +50,11 @@ def test_slots_come_out_exactly_and_vary_by_shard():
     assert len({n for shard, k, _, n in drawn if k == 0}) > 3
 
 
-def test_permutation_is_one(spark):
-    for n in (1, 2, 3, 64, 101):
-        got = spark.range(n).select(mixing.permuted(F.col("id"), F.lit(n).cast("long"), F.lit(9).cast("long")).alias("p")).collect()
-        assert sorted(r.p for r in got) == list(range(n))
+def test_permutation_is_one():
+    for n in (1, 2, 3, 64, 101, 5000):
+        got = [mixing.permuted(np.arange(n), n, np.full(n, key, np.uint64)) for key in (9, 10)]
+        assert all(sorted(g) == list(range(n)) for g in got)
+        assert n < 64 or (got[0] != got[1]).mean() > 0.9 and (got[0] != np.arange(n)).mean() > 0.9
 
 
 def test_odd_rows(spark):
