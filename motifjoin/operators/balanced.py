@@ -22,6 +22,7 @@ from motifjoin.operators.index import IndexCatalog
 from motifjoin.operators.static_join import plan, seeds
 from motifjoin.plans.query import JoinQuery
 from motifjoin.plans.stages import AtomUse, Stage
+from motifjoin.workspace import materialize
 
 WORKER, START, END = "__worker", "__start", "__end"
 
@@ -100,14 +101,20 @@ def probe_intersect(candidates: DataFrame, stage: Stage, catalog: IndexCatalog)
 
 
 def balanced_extend(prefixes: DataFrame, stage: Stage, catalog: IndexCatalog, workers: int) -> DataFrame:
-    """One more attribute; rows carry their worker in and out."""
-    items = balance(probe_counts(prefixes, stage, catalog), workers)
-    return apply_filters(probe_intersect(resolve(items, stage, catalog), stage, catalog), stage)
+    """One more attribute; rows carry their worker in and out.
+
+    Rounds are synchronised: what a round made is stored before the next asks about it, as
+    every row is read twice there, to ask and to be answered.
+    """
+    items = materialize(balance(materialize(probe_counts(prefixes, stage, catalog), "counted"), workers), "items")
+    candidates = materialize(resolve(items, stage, catalog), "candidates")
+    return materialize(apply_filters(probe_intersect(candidates, stage, catalog), stage), "prefixes")
 
 
 def balanced_stages(prefixes: DataFrame, stages: Sequence[Stage], catalog: IndexCatalog, *, workers: int = 8) -> DataFrame:
     cols = prefixes.columns
     rows = prefixes.withColumn(WORKER, (F.pmod(F.xxhash64(*cols), F.lit(workers)) if cols else F.lit(0)).cast("int"))
+    rows = materialize(rows, "seeds")
     for stage in stages:
         rows = balanced_extend(rows, stage, catalog, workers)
     return rows.drop(WORKER)

@@ -55,6 +55,7 @@ def take(items: DataFrame, batch: int) -> tuple[DataFrame, DataFrame]:
 
 def _items(prefixes: DataFrame, stage: Stage, catalog: IndexCatalog, workers: int, balanced: bool) -> DataFrame:
     triples = bal.probe_counts(prefixes, stage, catalog)
+    triples = materialize(triples, "counted")
     if balanced:
         return bal.balance(triples, workers)
     return triples.withColumn(START, F.lit(1).cast("long")).withColumn(END, F.col(MIN_C)).drop(MIN_C)
@@ -76,7 +77,8 @@ def batched_join(prefixes: DataFrame, stages: Sequence[Stage], catalog: IndexCat
         scheduler.history.append((depth, sum(min(batch, n) for n in pending[depth].values())))
         now, later = take(queue[depth], batch)
         stage = stages[depth]
-        found = apply_filters(bal.probe_intersect(bal.resolve(now, stage, catalog), stage, catalog), stage)
+        now = materialize(now, "now")  # read twice below, to ask and to be answered
+        found = materialize(apply_filters(bal.probe_intersect(materialize(bal.resolve(now, stage, catalog), "candidates"), stage, catalog), stage), "found")
         if depth + 1 == len(stages):
             found.drop(WORKER).write.parquet(f"{out_path}/turn={outputs}")
             outputs += 1
