@@ -164,7 +164,7 @@ def hypercube_join(query: JoinQuery, relations: Mapping[str, DataFrame], shares:
 
 def embedding_explore(query: JoinQuery, edges: DataFrame) -> DataFrame:
     """Grow embeddings by neighbours of any one member, whatever its degree, and check edges afterwards."""
-    return explore_steps(query, edges)[-1]
+    return explore_steps(query, edges)[-1].select(*(query.order or query.attrs))
 
 
 def explore_steps(query: JoinQuery, edges: DataFrame) -> list[DataFrame]:

@@ -259,20 +259,20 @@ add("opt__factorized_house_rows", on(g.basket_edges, lambda e: rw.expand(rw.fact
 
 # streams, replayed over the finished table
 _last = f"WITH d AS ({o.DAILY}), b AS (SELECT day, src, dst, arg_max(CASE WHEN event_type = 'purchase' THEN 1 ELSE -1 END, (ts, event_id)) AS w FROM d GROUP BY 1, 2, 3)"
-add("stream__daily_updates", g.event_updates, f"{_last} SELECT day, src, dst, CAST(w AS INTEGER) AS w FROM b")
+add("stream__daily_updates", lambda s, sf: g.event_updates(s, sf).withColumn("day", F.col("day").cast("string")), f"{_last} SELECT CAST(day AS VARCHAR) AS day, src, dst, CAST(w AS INTEGER) AS w FROM b")
 
 
 def _daily_edges(spark: SparkSession, sf: str) -> DataFrame:
     """Per day the net changes of the edge set: an operation counts if it differs from the one before."""
     w = Window.partitionBy("src", "dst").orderBy("day")
     ops = g.event_updates(spark, sf).withColumn("before", F.coalesce(F.lag("w").over(w), F.lit(-1)))
-    return ops.filter("w <> before").groupBy("day").agg(F.sum(F.when(F.col("w") > 0, 1).otherwise(0)).alias("came"), F.sum(F.when(F.col("w") < 0, 1).otherwise(0)).alias("went"))
+    return ops.filter("w <> before").groupBy(F.col("day").cast("string").alias("day")).agg(F.sum(F.when(F.col("w") > 0, 1).otherwise(0)).alias("came"), F.sum(F.when(F.col("w") < 0, 1).otherwise(0)).alias("went"))
 
 
-add("stream__daily_edge_changes", _daily_edges, f"{_last}, n AS (SELECT *, coalesce(lag(w) OVER (PARTITION BY src, dst ORDER BY day), -1) AS before FROM b) SELECT day, CAST(sum(CASE WHEN w > 0 THEN 1 ELSE 0 END) AS BIGINT) AS came, CAST(sum(CASE WHEN w < 0 THEN 1 ELSE 0 END) AS BIGINT) AS went FROM n WHERE w <> before GROUP BY 1")
+add("stream__daily_edge_changes", _daily_edges, f"{_last}, n AS (SELECT *, coalesce(lag(w) OVER (PARTITION BY src, dst ORDER BY day), -1) AS before FROM b) SELECT CAST(day AS VARCHAR) AS day, CAST(sum(CASE WHEN w > 0 THEN 1 ELSE 0 END) AS BIGINT) AS came, CAST(sum(CASE WHEN w < 0 THEN 1 ELSE 0 END) AS BIGINT) AS went FROM n WHERE w <> before GROUP BY 1")
 _pairs = "SELECT ts, user_id AS src, TRY_CAST(json_extract_string(props, '$.k') AS BIGINT) AS dst, event_type, event_id FROM events WHERE TRY_CAST(json_extract_string(props, '$.k') AS BIGINT) <> user_id"
-add("stream__tumbling_counts", lambda s, sf: updates.windowed_counts(g.table(s, sf, "events")).select(F.to_date("start").alias("day"), "n_ops", F.col("net").cast("long").alias("net")), f"WITH p AS ({_pairs}) SELECT CAST(ts AS DATE) AS day, CAST(count(*) AS BIGINT) AS n_ops, CAST(sum(CASE WHEN event_type = 'purchase' THEN 1 ELSE -1 END) AS BIGINT) AS net FROM p WHERE event_type IN ('purchase', 'error') GROUP BY 1")
-add("stream__sliding_active_edges", lambda s, sf: updates.batch_expiry(g.event_pairs(g.table(s, sf, "events")).filter("event_type = 'purchase'")).groupBy(F.to_date("at").alias("day")).agg(F.sum("w").cast("long").alias("net"), F.count(F.lit(1)).alias("n")), f"WITH p AS (SELECT DISTINCT src, dst, ts FROM ({_pairs}) WHERE event_type = 'purchase'), x AS (SELECT *, lag(ts) OVER w AS b, lead(ts) OVER w AS a FROM p WINDOW w AS (PARTITION BY src, dst ORDER BY ts)), c AS (SELECT ts AS at, 1 AS w FROM x WHERE b IS NULL OR ts > b + INTERVAL 7 DAY UNION ALL SELECT ts + INTERVAL 7 DAY, -1 FROM x WHERE a IS NULL OR a > ts + INTERVAL 7 DAY) SELECT CAST(at AS DATE) AS day, CAST(sum(w) AS BIGINT) AS net, CAST(count(*) AS BIGINT) AS n FROM c GROUP BY 1")
+add("stream__tumbling_counts", lambda s, sf: updates.windowed_counts(g.table(s, sf, "events")).select(F.to_date("start").cast("string").alias("day"), "n_ops", F.col("net").cast("long").alias("net")), f"WITH p AS ({_pairs}) SELECT CAST(CAST(ts AS DATE) AS VARCHAR) AS day, CAST(count(*) AS BIGINT) AS n_ops, CAST(sum(CASE WHEN event_type = 'purchase' THEN 1 ELSE -1 END) AS BIGINT) AS net FROM p WHERE event_type IN ('purchase', 'error') GROUP BY 1")
+add("stream__sliding_active_edges", lambda s, sf: updates.batch_expiry(g.event_pairs(g.table(s, sf, "events")).filter("event_type = 'purchase'")).groupBy(F.to_date("at").cast("string").alias("day")).agg(F.sum("w").cast("long").alias("net"), F.count(F.lit(1)).alias("n")), f"WITH p AS (SELECT DISTINCT src, dst, ts FROM ({_pairs}) WHERE event_type = 'purchase'), x AS (SELECT *, lag(ts) OVER w AS b, lead(ts) OVER w AS a FROM p WINDOW w AS (PARTITION BY src, dst ORDER BY ts)), c AS (SELECT ts AS moment, 1 AS w FROM x WHERE b IS NULL OR ts > b + INTERVAL 7 DAY UNION ALL SELECT ts + INTERVAL 7 DAY, -1 FROM x WHERE a IS NULL OR a > ts + INTERVAL 7 DAY) SELECT CAST(CAST(moment AS DATE) AS VARCHAR) AS day, CAST(sum(w) AS BIGINT) AS net, CAST(count(*) AS BIGINT) AS n FROM c GROUP BY 1")
 add("stream__session_bursts", lambda s, sf: updates.sessions(g.table(s, sf, "events")).groupBy("src").agg(F.count(F.lit(1)).alias("bursts"), F.max("n").alias("longest")), f"WITH p AS ({_pairs}), x AS (SELECT src, ts, CASE WHEN ts < lag(ts) OVER (PARTITION BY src ORDER BY ts, event_id) + INTERVAL 12 HOUR THEN 0 ELSE 1 END AS s, event_id FROM p), y AS (SELECT src, sum(s) OVER (PARTITION BY src ORDER BY ts, event_id) AS k FROM x), z AS (SELECT src, k, count(*) AS n FROM y GROUP BY 1, 2) SELECT src, CAST(count(*) AS BIGINT) AS bursts, CAST(max(n) AS BIGINT) AS longest FROM z GROUP BY 1")
 add("stream__event_dedupe", lambda s, sf: g.event_pairs(g.table(s, sf, "events").unionAll(g.table(s, sf, "events"))).dropDuplicates(["event_id"]).groupBy("event_type").agg(F.count(F.lit(1)).alias("n")), f"SELECT event_type, CAST(count(*) AS BIGINT) AS n FROM ({_pairs}) GROUP BY 1")
 
