@@ -38,7 +38,7 @@ from motifjoin.workspace import materialize
 #: Shingle length in characters; bands and rows of the signature; the similarity of a link.
 SHINGLE, BANDS, ROWS, SIMILARITY = 8, 14, 4, 0.8
 #: Characters of a sub-batch; band hashes of a bucket; buckets at least; lines of a part of a group; bits of the map of candidates.
-BATCH_CHARS, BUCKET_KEYS, LEAST_BUCKETS, GROUP_LINES, MAP_BITS = 1 << 20, 1 << 20, 64, 2048, 1 << 26
+BATCH_CHARS, BUCKET_KEYS, LEAST_BUCKETS, GROUP_LINES, MAP_BITS = 1 << 20, 1 << 20, 64, 1024, 1 << 26
 #: Lines that are compared set by set.
 FEW_LINES = 24
 _EMPTY, _POLY = np.uint32(0xFFFFFFFF), np.uint32(0x01000193)
@@ -175,10 +175,13 @@ def _group(bucket: pa.Table) -> pa.Table:
 
 
 def _members(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Groups to rows; ``lead`` is what a group is dealt by: its first line, or a large group's own number."""
     for batch in batches:
         arrays = [np.frombuffer(x.as_py(), np.int64) for x in batch.column(0)]
+        sizes = [len(a) for a in arrays]
         ids = np.array([xxhash.xxh64_intdigest(a.tobytes(), 5) for a in arrays], np.uint64).view(np.int64)
-        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, [len(a) for a in arrays]), pa.int64()), pa.array(np.concatenate(arrays) if arrays else np.zeros(0, np.int64))], ["grp", "h"])
+        leads = np.array([a[0] if len(a) <= FEW_LINES else g for a, g in zip(arrays, ids)], np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(leads, sizes)), pa.array(np.repeat(ids, sizes)), pa.array(np.concatenate(arrays) if arrays else np.zeros(0, np.int64))], ["lead", "grp", "h"])
 
 
 def _wanted(batches: Iterator[pa.RecordBatch], bits: np.ndarray) -> Iterator[pa.RecordBatch]:
@@ -255,11 +258,34 @@ def similar_links(lines: list[str], width: int, similarity: float) -> list[tuple
 
 
 def _verify(batches: Iterator[pa.RecordBatch], width: int, similarity: float) -> Iterator[pa.RecordBatch]:
-    """Links of every group; the rows of a group follow each other."""
-    group, members, u, v = None, [], [], []
+    """Links of every group; the rows of a group follow each other, those of small groups with one first line too.
+
+    A line is in one group per band, so small groups with one first line are few: their
+    shingle sets are kept and pairs that are connected already are not compared.
+    """
+    lead_now, group, members = None, None, []
+    sets: dict[int, set[str]] = {}
+    parent: dict[int, int] = {}
+    u, v = [], []
+
+    def root(x: int) -> int:
+        while parent.setdefault(x, x) != x:
+            parent[x] = x = parent[parent[x]]
+        return x
 
     def settle() -> None:
-        if len(members) > 1:
+        if 1 < len(members) <= FEW_LINES:
+            for i, (x, line) in enumerate(members):
+                for y, other in members[:i]:
+                    if (p := root(x)) == (q := root(y)):
+                        continue
+                    a = sets.get(x) or sets.setdefault(x, shingles(line, width))
+                    b = sets.get(y) or sets.setdefault(y, shingles(other, width))
+                    if min(len(a), len(b)) >= similarity * max(len(a), len(b)) - 1e-9 and (both := len(a & b)) >= similarity * (len(a) + len(b) - both) - 1e-9:
+                        parent[p] = q
+                        u.append(x)
+                        v.append(y)
+        elif members:
             members.sort()
             for x, y in similar_links([line for _, line in members], width, similarity):
                 u.append(members[x][0])
@@ -267,10 +293,14 @@ def _verify(batches: Iterator[pa.RecordBatch], width: int, similarity: float) ->
         members.clear()
 
     for batch in batches:
-        for grp, h, line in zip(*(c.to_pylist() for c in batch.columns)):
-            if grp != group:
+        for lead, grp, h, line in zip(*(c.to_pylist() for c in batch.columns)):
+            if grp != group or lead != lead_now:
                 settle()
                 group = grp
+                if lead != lead_now:
+                    lead_now = lead
+                    sets.clear()
+                    parent.clear()
             members.append((h, line))
         yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
         u.clear()
@@ -286,14 +316,14 @@ def line_links(docs: DataFrame, width: int = SHINGLE, bands: int = BANDS, rows:
     buckets = int(max(LEAST_BUCKETS, -(-characters * bands // (100 * BUCKET_KEYS))))
     packed = texts.mapInArrow(lambda it: _sketch(it, width, bands, rows, buckets), _PACKED)
     groups = materialize(packed.groupBy("key").applyInArrow(_group, "members binary").distinct(), "groups")
-    members = groups.mapInArrow(_members, "grp long, h long")
+    members = groups.mapInArrow(_members, "lead long, grp long, h long")
     at = F.pmod(F.col("h"), F.lit(MAP_BITS))  # as unsigned: the map's size is a power of two
     marked = members.select(at.alias("at")).groupBy(F.shiftright("at", 15).alias("page")).agg(F.expr("bitmap_construct_agg(at & 32767)").alias("bits"))
     bits = np.zeros(MAP_BITS // 8, np.uint8)
     for page in marked.collect():  # of a fixed size, whatever the corpus
         bits[page["page"] * 4096 : page["page"] * 4096 + 4096] = np.frombuffer(bytes(page["bits"]), np.uint8)
     lines = texts.mapInArrow(lambda it: _wanted(it, bits), "h long, line string").groupBy("h").agg(F.min("line").alias("line"))
-    grouped = members.join(lines, "h").select("grp", "h", "line").repartition(F.col("grp")).sortWithinPartitions("grp")
+    grouped = members.join(lines, "h").select("lead", "grp", "h", "line").repartition(F.col("lead")).sortWithinPartitions("lead", "grp")
     return grouped.mapInArrow(lambda it: _verify(it, width, similarity), "u long, v long")
 
 
