@@ -76,4 +76,34 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f for f in (op1_personal_data, op2_line_field_quality, op3_fuzzy_line_dedup, op4_substring_dedup, op5_mix_sources, op6_simhash_near_dedup, op7_chat_formatting, op8_warc_archives, op9_benchmark_decontamination, op10_exact_top_k)
 }
 
-ORACLES: dict[str, str] = {}
+#: The words of a text, as the contracts define them.
+_WORDS = r"regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')"
+_ESCAPED = "replace(replace(replace(coalesce({0}, ''), '\\', '\\0'), '<|', '\\1'), '|>', '\\2')"
+
+ORACLES: dict[str, str] = {
+    "op4_substring_dedup": f"""WITH d AS (SELECT doc_id, {_WORDS} AS ws FROM documents),
+        w AS (SELECT doc_id, s, array_to_string(ws[s + 1:s + 20], ' ') AS win FROM (SELECT doc_id, ws, unnest(range(len(ws) - 19)) AS s FROM d WHERE len(ws) >= 20)),
+        f AS (SELECT doc_id, s, min((doc_id, s)) OVER (PARTITION BY win) AS lead FROM w),
+        gone AS (SELECT DISTINCT doc_id, unnest(range(s, s + 20)) AS i FROM f WHERE (doc_id, s) > lead),
+        p AS (SELECT doc_id, unnest(ws) AS word, unnest(range(len(ws))) AS i FROM d),
+        k AS (SELECT p.doc_id, string_agg(word, ' ' ORDER BY p.i) AS kept FROM p LEFT JOIN gone ON gone.doc_id = p.doc_id AND gone.i = p.i WHERE gone.i IS NULL GROUP BY 1),
+        r AS (SELECT doc_id, count(*) AS n FROM gone GROUP BY 1)
+        SELECT d.doc_id, CAST(len(ws) AS BIGINT) AS n_words, CAST(coalesce(r.n, 0) AS BIGINT) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256 FROM d LEFT JOIN k ON k.doc_id = d.doc_id LEFT JOIN r ON r.doc_id = d.doc_id""",
+    "op7_chat_formatting": f"""WITH c AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+        UNION ALL SELECT -7, unnest([0, 1]), unnest(['user', 'assistant']), '\### Assistant: </turn> ok'),
+        o AS (SELECT *, CASE WHEN role = lag(role) OVER (PARTITION BY conv_id ORDER BY turn NULLS FIRST, role, text) THEN 0 ELSE 1 END AS opens FROM c)
+        SELECT CAST(conv_id AS BIGINT) AS conv_id, CAST(count(*) AS BIGINT) AS n_turns,
+        sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn NULLS FIRST, role, text)) AS turns_sha256,
+        CAST(coalesce(sum(length(text)) FILTER (role = 'assistant'), 0) AS BIGINT) AS loss_chars,
+        sha256(coalesce(string_agg(text, '' ORDER BY turn NULLS FIRST, text) FILTER (role = 'assistant'), '')) AS loss_sha256,
+        CAST(sum(length({_ESCAPED.format("text")}) + CASE WHEN opens = 1 THEN 16 + length({_ESCAPED.format("role")}) ELSE 8 END) AS BIGINT) AS formatted_chars,
+        CAST(sum(opens) AS BIGINT) AS n_blocks FROM o GROUP BY 1""",
+    "op8_warc_archives": """WITH p AS (SELECT page_id, coalesce(html, '') AS html, octet_length(encode(coalesce(html, ''))) AS n, sha256(coalesce(html, '')) AS d FROM pages),
+        q AS (SELECT *, CASE WHEN n >= 100 THEN min(page_id) OVER (PARTITION BY d) END AS lead FROM p)
+        SELECT page_id, CAST(n AS BIGINT) AS payload_bytes, d AS payload_digest, CASE WHEN page_id > lead THEN 'revisit' ELSE 'response' END AS record_type, CASE WHEN page_id > lead THEN lead END AS refers_to FROM q""",
+    "op10_exact_top_k": """WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(256 * CAST(x AS DOUBLE)) AS DOUBLE)) AS q FROM embeddings
+        WHERE embedding IS NOT NULL AND len(embedding) > 0 AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
+        s AS (SELECT a.vec_id AS query_id, b.vec_id AS vec_id, CAST(list_dot_product(a.q, b.q) AS BIGINT) AS score FROM v a JOIN v b ON a.vec_id <> b.vec_id WHERE a.vec_id % 50 = 0),
+        r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rank FROM s)
+        SELECT query_id, CAST(rank AS INTEGER) AS rank, vec_id, score FROM r WHERE rank <= 5""",
+}
