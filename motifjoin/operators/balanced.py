@@ -122,7 +122,7 @@ def balanced_stages(prefixes: DataFrame, stages: Sequence[Stage], catalog: Index
 
 def balanced_join(query: JoinQuery, relations: Mapping[str, DataFrame] | IndexCatalog, *, workers: int = 8, batch: int | None = None, order: Sequence[str] | None = None, check: tuple[int, float] | None = None) -> DataFrame:
     """All matches, with even work. ``batch`` bounds proposals per worker and round; ``check`` = (input size, bound) verifies that it is large enough."""
-    catalog = relations if isinstance(relations, IndexCatalog) else IndexCatalog(query.bind(relations))
+    catalog = relations if isinstance(relations, IndexCatalog) else IndexCatalog(query.bind(relations), cut=True)
     order, stages = plan(query, order=order)
     if batch and check and batch < min_batch(workers, *check):
         raise ValueError(f"batches below {min_batch(workers, *check)} void the balance guarantee")

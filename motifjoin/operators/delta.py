@@ -54,9 +54,9 @@ def delta_join(query: JoinQuery, old: Mapping[str, DataFrame], changes: Mapping[
     """Signed changes of the result for changes (relation columns and ``w``) of old relations.
 
     ``net=False`` returns a ``rule`` column too, and the rules' rows as they are.
-    ``share``: the normalised changes, which all rules of a relation start from, are computed once.
+    ``share``: old and new relations and the normalised changes, which all rules read, are computed once.
     """
-    olds = {n: clean(df) for n, df in old.items() if n in {a.relation for a in query.atoms}}
+    olds = {n: materialize(clean(df), "old") if share else clean(df) for n, df in old.items() if n in {a.relation for a in query.atoms}}
     deltas, news = {}, {}
     for name, df in olds.items():
         given = changes.get(name)
@@ -67,7 +67,7 @@ def delta_join(query: JoinQuery, old: Mapping[str, DataFrame], changes: Mapping[
         deltas[name] = named if normalized else normalize_delta(df, named)
         if share:
             deltas[name] = materialize(deltas[name], "delta")
-        news[name] = apply_delta(df, deltas[name])
+        news[name] = materialize(apply_delta(df, deltas[name]), "new") if share else apply_delta(df, deltas[name])
     catalog = IndexCatalog({(n, "old"): d for n, d in olds.items()} | {(n, "new"): d for n, d in news.items()})
     rules = [r for r in delta_rules(query) if query.atoms[r.lead].relation in changes]
     parts = [rule_changes(query, r, catalog, deltas, **options).withColumn("rule", F.lit(r.lead)) for r in rules]

@@ -68,7 +68,7 @@ def run_stages(prefixes: DataFrame, stages: Sequence[Stage], catalog: IndexCatal
     return prefixes.drop(*[c for c in prefixes.columns if c.startswith("c:")]) if carried else prefixes
 
 
-def static_join(query: JoinQuery, relations: Mapping[str, DataFrame] | IndexCatalog, *, order: Sequence[str] | None = None, seed: str = "edge", mode: str = "pipelined", layout: str = "flat", counts: str = "chain", propose: str = "auto", unbound: str = "auto", output: str = "tuples", batch: int | None = None, workers: int = 8, seed_batch: int | None = None, broadcast_index: bool = False, parallelism: int | None = None) -> DataFrame:
+def static_join(query: JoinQuery, relations: Mapping[str, DataFrame] | IndexCatalog, *, order: Sequence[str] | None = None, seed: str = "edge", mode: str = "pipelined", layout: str = "flat", counts: str = "chain", propose: str = "auto", unbound: str = "auto", output: str = "tuples", batch: int | None = None, workers: int = 8, seed_batch: int | None = None, broadcast_index: bool = False, parallelism: int | None = None, cut: bool = True) -> DataFrame:
     """All matches of ``query``.
 
     ``output``: ``tuples`` (columns in the order of the query), ``count`` (one row ``n``,
@@ -76,9 +76,10 @@ def static_join(query: JoinQuery, relations: Mapping[str, DataFrame] | IndexCata
     an array). ``batch`` bounds live proposals per worker by the batched scheduler;
     ``seed_batch`` feeds seeds in chunks of about that many and drains each.
     ``broadcast_index`` replicates the indices, where Spark's own threshold allows;
-    ``parallelism=1`` sends all to one worker.
+    ``parallelism=1`` sends all to one worker. ``cut`` stores the deduplicated relations once,
+    so that no index derives them again.
     """
-    catalog = relations if isinstance(relations, IndexCatalog) else IndexCatalog(query.bind(relations))
+    catalog = relations if isinstance(relations, IndexCatalog) else IndexCatalog(query.bind(relations), cut=cut)
     order, stages = plan(query, order=order, seed=seed, unbound=unbound)
     prefixes = seeds(query, catalog, order, seed)
     if parallelism:

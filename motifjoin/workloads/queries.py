@@ -23,6 +23,7 @@ from motifjoin.plans.query import PATTERNS, parse_query
 from motifjoin.sources import graphs as g
 from motifjoin.streaming import updates
 from motifjoin.workloads import oracles as o
+from motifjoin.workspace import materialize
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -37,7 +38,8 @@ def add(name: str, run: Query, sql: str | None = None) -> None:
 
 
 def on(graph: Callable[[SparkSession, str], DataFrame], run: Callable[[DataFrame], DataFrame]) -> Query:
-    return lambda spark, sf: run(graph(spark, sf))
+    """A query over a derived graph, which is derived once."""
+    return lambda spark, sf: run(materialize(graph(spark, sf), "graph"))
 
 
 def join(name: str, **options) -> Callable[[DataFrame], DataFrame]:
