@@ -188,7 +188,7 @@ add("baseline__clique_star_five_clique", on(g.basket_edges, lambda e: bp.clique_
 add("baseline__clique_star_compact", on(g.basket_edges, lambda e: bp.clique_star_join(4, e, compact=True).select("a1", F.size("cliques").cast("long").alias("n"))), f"WITH e AS ({o.GRAPHS['basket']}) SELECT a1, CAST(count(*) AS BIGINT) AS n FROM ({o.pattern_sql(P['four_clique'])}) q GROUP BY 1")
 add("baseline__serial_triangle", on(g.basket_edges, serial_triangles), o.with_graph("basket", o.count_of(o.pattern_sql(P["triangle"]))))
 add("baseline__serial_generic", on(g.basket_edges, lambda e: serial_join(P["four_clique"], {"e": e})), o.rows_of("four_clique"))
-add("baseline__serial_leapfrog", on(g.basket_edges, lambda e: serial_join(P["diamond"], {"e": e}, "leapfrog")), o.rows_of("diamond"))
+add("baseline__serial_seeking", on(g.basket_edges, lambda e: serial_join(P["diamond"], {"e": e}, "seek")), o.rows_of("diamond"))
 add("baseline__one_worker", on(g.basket_edges, lambda e: bp.one_worker_join(P["triangle"], {"e": e})), o.rows_of("triangle"))
 
 # measures
