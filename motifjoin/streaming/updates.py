@@ -2,13 +2,16 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import Window
 
 from motifjoin.operators.delta import DeltaEngine
+from motifjoin.operators.static_join import static_join
+from motifjoin.plans.query import JoinQuery
 from motifjoin.sources.graphs import event_pairs
 from motifjoin.workspace import new_path
 
@@ -95,8 +98,6 @@ def expiring_edges(pairs: DataFrame, days: int = 7) -> DataFrame:
 
 def batch_expiry(pairs: DataFrame, days: int = 7) -> DataFrame:
     """The same changes over a finished table: gaps between an edge's events, by a window."""
-    from pyspark.sql import Window
-
     w = Window.partitionBy("src", "dst").orderBy("ts")
     span = F.expr(f"interval {days} days")
     seen = pairs.select("src", "dst", "ts").distinct().withColumn("before", F.lag("ts").over(w)).withColumn("after", F.lead("ts").over(w))
@@ -105,4 +106,27 @@ def batch_expiry(pairs: DataFrame, days: int = 7) -> DataFrame:
     return starts.unionByName(ends)
 
 
-Batch = Callable[[DataFrame, int], None]
+def lifetimes(ops: DataFrame) -> DataFrame:
+    """``(src, dst, since, until)`` from at most one operation ``(day, src, dst, w)`` per edge and day; ``until`` is null while an edge lives."""
+    w = Window.partitionBy("src", "dst").orderBy("day")
+    flips = ops.withColumn("before", F.coalesce(F.lag("w").over(w), F.lit(-1))).filter("w <> before")
+    return flips.withColumn("until", F.lead("day").over(w)).filter("w > 0").select("src", "dst", F.col("day").alias("since"), "until")
+
+
+def pattern_changes(query: JoinQuery, alive: DataFrame) -> DataFrame:
+    """``(attrs.., day, w)``: when every match of a pattern over one edge relation came and went.
+
+    The pattern is matched once over all edges that ever lived; a match lives while the
+    lifetimes of its edges overlap. One plan for a history that is at hand, where a stream
+    would apply batch after batch; the signed rows are the same.
+    """
+    out = static_join(query, {query.atoms[0].relation: alive.select("src", "dst").distinct()})
+    for i, atom in enumerate(query.atoms):
+        a, b = atom.attrs
+        out = out.join(alive.select(F.col("src").alias(a), F.col("dst").alias(b), F.col("since").alias(f"__s{i}"), F.col("until").alias(f"__u{i}")), [a, b])
+    n, attrs = range(len(query.atoms)), query.order or query.attrs
+    since = F.greatest(*(F.col(f"__s{i}") for i in n))
+    until = F.least(*(F.col(f"__u{i}") for i in n))  # nulls are passed over
+    spans = out.select(*attrs, since.alias("since"), until.alias("until")).filter("until is null or since < until")
+    came = spans.select(*attrs, F.col("since").alias("day"), F.lit(1).alias("w"))
+    return came.unionByName(spans.filter("until is not null").select(*attrs, F.col("until").alias("day"), F.lit(-1).alias("w")))

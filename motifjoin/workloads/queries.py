@@ -272,6 +272,18 @@ def _daily_edges(spark: SparkSession, sf: str) -> DataFrame:
 
 
 add("stream__daily_edge_changes", _daily_edges, f"{_last}, n AS (SELECT *, coalesce(lag(w) OVER (PARTITION BY src, dst ORDER BY day), -1) AS before FROM b) SELECT CAST(day AS VARCHAR) AS day, CAST(sum(CASE WHEN w > 0 THEN 1 ELSE 0 END) AS BIGINT) AS came, CAST(sum(CASE WHEN w < 0 THEN 1 ELSE 0 END) AS BIGINT) AS went FROM n WHERE w <> before GROUP BY 1")
+
+
+def _daily_triangles(spark: SparkSession, sf: str) -> DataFrame:
+    """Per day the triangles that came and went, from the lifetimes of the edges."""
+    alive = materialize(updates.lifetimes(g.event_updates(spark, sf)), "lifetimes")
+    changes = updates.pattern_changes(P["triangle"], alive)
+    return changes.groupBy(F.col("day").cast("string").alias("day")).agg(F.count_if(F.col("w") > 0).alias("came"), F.count_if(F.col("w") < 0).alias("went"))
+
+
+_alive = "l AS (SELECT src, dst, day AS since, until FROM (SELECT *, lead(day) OVER (PARTITION BY src, dst ORDER BY day) AS until FROM (SELECT *, coalesce(lag(w) OVER (PARTITION BY src, dst ORDER BY day), -1) AS before FROM b) WHERE w <> before) WHERE w > 0)"
+_spans = "t AS (SELECT greatest(x.since, y.since, z.since) AS since, least(x.until, y.until, z.until) AS until FROM l x JOIN l y ON y.src = x.src JOIN l z ON z.src = x.dst AND z.dst = y.dst)"
+add("stream__daily_triangle_changes", _daily_triangles, f"{_last}, {_alive}, {_spans}, c AS (SELECT since AS day, 1 AS w FROM t WHERE until IS NULL OR since < until UNION ALL SELECT until, -1 FROM t WHERE since < until) SELECT CAST(day AS VARCHAR) AS day, CAST(count(*) FILTER (w > 0) AS BIGINT) AS came, CAST(count(*) FILTER (w < 0) AS BIGINT) AS went FROM c GROUP BY 1")
 _pairs = "SELECT ts, user_id AS src, TRY_CAST(json_extract_string(props, '$.k') AS BIGINT) AS dst, event_type, event_id FROM events WHERE TRY_CAST(json_extract_string(props, '$.k') AS BIGINT) <> user_id"
 add("stream__tumbling_counts", lambda s, sf: updates.windowed_counts(g.table(s, sf, "events")).select(F.to_date("start").cast("string").alias("day"), "n_ops", F.col("net").cast("long").alias("net")), f"WITH p AS ({_pairs}) SELECT CAST(CAST(ts AS DATE) AS VARCHAR) AS day, CAST(count(*) AS BIGINT) AS n_ops, CAST(sum(CASE WHEN event_type = 'purchase' THEN 1 ELSE -1 END) AS BIGINT) AS net FROM p WHERE event_type IN ('purchase', 'error') GROUP BY 1")
 add("stream__sliding_active_edges", lambda s, sf: updates.batch_expiry(g.event_pairs(g.table(s, sf, "events")).filter("event_type = 'purchase'")).groupBy(F.to_date("at").cast("string").alias("day")).agg(F.sum("w").cast("long").alias("net"), F.count(F.lit(1)).alias("n")), f"WITH p AS (SELECT DISTINCT src, dst, ts FROM ({_pairs}) WHERE event_type = 'purchase'), x AS (SELECT *, lag(ts) OVER w AS b, lead(ts) OVER w AS a FROM p WINDOW w AS (PARTITION BY src, dst ORDER BY ts)), c AS (SELECT ts AS moment, 1 AS w FROM x WHERE b IS NULL OR ts > b + INTERVAL 7 DAY UNION ALL SELECT ts + INTERVAL 7 DAY, -1 FROM x WHERE a IS NULL OR a > ts + INTERVAL 7 DAY) SELECT CAST(CAST(moment AS DATE) AS VARCHAR) AS day, CAST(sum(w) AS BIGINT) AS net, CAST(count(*) AS BIGINT) AS n FROM c GROUP BY 1")
@@ -290,6 +302,21 @@ def _motif_customers(spark: SparkSession, sf: str) -> DataFrame:
 for _kind in ("rollup", "cube"):
     add(f"op__{_kind}_motifs", lambda s, sf, k=_kind: getattr(_motif_customers(s, sf), k)("c_nationkey", "c_mktsegment").agg(F.count(F.lit(1)).alias("n")), f"{_seg} SELECT c_nationkey, c_mktsegment, CAST(count(*) AS BIGINT) AS n FROM m GROUP BY {_kind.upper()} (c_nationkey, c_mktsegment)")
 add("op__pivot_segments", lambda s, sf: _motif_customers(s, sf).groupBy("c_nationkey").pivot("c_mktsegment", ["BUILDING", "MACHINERY"]).agg(F.count(F.lit(1))).select("c_nationkey", F.coalesce("BUILDING", F.lit(0)).alias("building"), F.coalesce("MACHINERY", F.lit(0)).alias("machinery")), f"{_seg} SELECT c_nationkey, CAST(count(*) FILTER (c_mktsegment = 'BUILDING') AS BIGINT) AS building, CAST(count(*) FILTER (c_mktsegment = 'MACHINERY') AS BIGINT) AS machinery FROM m GROUP BY 1")
+
+
+def _engines(e: DataFrame) -> DataFrame:
+    """Matches by pattern, a column per engine."""
+    found = None
+    for name in ("triangle", "diamond"):
+        for engine, out in (("static", join(name)(e)), ("binary", bp.binary_join(P[name], {"e": e})), ("hypercube", bp.hypercube_join(P[name], {"e": e}, workers=8))):
+            rows = out.select(F.lit(name).alias("pattern"), F.lit(engine).alias("engine"))
+            found = rows if found is None else found.unionByName(rows)
+    return found.groupBy("pattern").pivot("engine", ["static", "binary", "hypercube"]).count()
+
+
+_counted = " UNION ALL ".join(f"SELECT '{n}' AS pattern, n AS static, n AS binary, n AS hypercube FROM ({o.count_of(o.pattern_sql(P[n]))})" for n in ("triangle", "diamond"))
+add("op__pivot_engines", on(g.basket_edges, _engines), o.with_graph("basket", _counted))
+add("opt__sym_triangle", on(g.basket_edges, lambda e: static_join(replace(rw.undirected(P["triangle"]), order=P["triangle"].order), {"e": g.symmetric(e)}, output="count")), f"WITH e AS ({o.GRAPHS['basket']}) {o.count_of(o.pattern_sql(P['triangle']))}")
 add("op__topk_hubs", on(g.basket_edges, lambda e: g.symmetric(e).groupBy(F.col("src").alias("v")).agg(F.count(F.lit(1)).alias("d")).orderBy(F.desc("d"), "v").limit(10)), f"{_sym} SELECT src AS v, CAST(count(*) AS BIGINT) AS d FROM s GROUP BY 1 ORDER BY d DESC, v LIMIT 10")
 
 

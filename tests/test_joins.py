@@ -211,3 +211,22 @@ def test_streams_equal_the_batch(spark, sf, tmp_path):
     final = spark.read.parquet(str(tmp_path / "out")).groupBy("a1", "a2", "a3").agg(F.sum("w").alias("w")).filter("w <> 0")
     assert final.filter("w <> 1").count() == 0
     assert rows(final.drop("w")) == rows(static_join(PATTERNS["triangle"], {"e": store.as_of(store.version)}))
+
+
+@pytest.mark.parametrize("name", ["triangle", "diamond"])
+def test_lifetimes_give_the_changes_of_every_day(spark, name):
+    from motifjoin.streaming import updates
+
+    rng = random.Random(3)
+    ops = {(day, a, b): rng.choice((1, 1, -1)) for day in range(6) for a, b in ((rng.randrange(7), rng.randrange(7)) for _ in range(25)) if a != b}
+    table = spark.createDataFrame([(d, a, b, w) for (d, a, b), w in ops.items()], "day int, src long, dst long, w int")
+    query, edges, before, expected = PATTERNS[name], set(), set(), []
+    for day in range(6):
+        for (d, a, b), w in ops.items():
+            if d == day:
+                (edges.add if w > 0 else edges.discard)((a, b))
+        now = set(map(tuple, serial_generic_join(query, {"e": sorted(edges)})))
+        expected += [(*m, day, 1) for m in now - before] + [(*m, day, -1) for m in before - now]
+        before = now
+    found = updates.pattern_changes(query, updates.lifetimes(table)).groupBy(*query.order, "day").agg(F.sum("w").alias("w")).filter("w <> 0")
+    assert any(w < 0 for *_, w in expected) and rows(found) == sorted(expected)
