@@ -16,7 +16,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from motifjoin.llm import decontaminate, linededup, mixing, quality, simhash
+from motifjoin.llm import decontaminate, linededup, mixing, neardup, quality
 from motifjoin.workspace import materialize
 
 
@@ -33,8 +33,8 @@ def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 
 def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The first document of every group of near-duplicates."""
-    first = simhash.near_duplicates(docs.select("doc_id", "text")).select(F.col("component_id").alias("doc_id")).filter("doc_id is not null").distinct()
+    """The first document of every group that links of five-word shingle similarity 0.8 or more join."""
+    first = neardup.similar_documents(docs).select(F.col("component_id").alias("doc_id")).filter("doc_id is not null").distinct()
     numbered = docs.join(first, "doc_id", "left_semi").dropDuplicates(["doc_id"])
     return numbered.unionByName(docs.filter("doc_id is null")).select(*docs.columns)
 
@@ -52,7 +52,7 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
     ("quality classifier", keep_quality),
     ("line dedup", drop_repeated_lines),
-    ("SimHash near-dedup", keep_one_of_each_group),
+    ("near-dedup", keep_one_of_each_group),
     ("benchmark decontamination", drop_contaminated),
     ("mixing sources", mix_sources),
 ]

@@ -23,7 +23,7 @@ they are.
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -202,7 +202,7 @@ def shingles(line: str, width: int) -> set[str]:
     return {line[i : i + width] for i in range(max(1, len(line) - width + 1))}
 
 
-def similar_links(lines: list[str], width: int, similarity: float) -> list[tuple[int, int]]:
+def similar_links(lines: list[str], width: int, similarity: float, cut: Callable[[str, int], set] = shingles) -> list[tuple[int, int]]:
     """A spanning forest of the pairs of lines whose shingle sets have that Jaccard similarity.
 
     Breadth-first over links; every line is compared with those not reached so far, so
@@ -210,7 +210,7 @@ def similar_links(lines: list[str], width: int, similarity: float) -> list[tuple
     index from shingles to lines in many.
     """
     if len(lines) <= FEW_LINES:
-        sets, open_, out = [shingles(x, width) for x in lines], list(range(len(lines))), []
+        sets, open_, out = [cut(x, width) for x in lines], list(range(len(lines))), []
         while open_:
             queue = [open_.pop(0)]
             while queue and open_:
@@ -224,8 +224,8 @@ def similar_links(lines: list[str], width: int, similarity: float) -> list[tuple
                 out += [(x, y) for y in hit]
                 queue += hit
         return out
-    number: dict[str, int] = {}
-    rows = [np.array([number.setdefault(g, len(number)) for g in shingles(x, width)], np.int32) for x in lines]
+    number: dict = {}
+    rows = [np.array([number.setdefault(g, len(number)) for g in cut(x, width)], np.int32) for x in lines]
     size = np.array([len(r) for r in rows])
     code, owner = np.concatenate(rows), np.repeat(np.arange(len(lines), dtype=np.int32), size)
     n_codes = len(number)
@@ -257,14 +257,14 @@ def similar_links(lines: list[str], width: int, similarity: float) -> list[tuple
     return out
 
 
-def _verify(batches: Iterator[pa.RecordBatch], width: int, similarity: float) -> Iterator[pa.RecordBatch]:
+def _verify(batches: Iterator[pa.RecordBatch], width: int, similarity: float, cut: Callable[[str, int], set] = shingles) -> Iterator[pa.RecordBatch]:
     """Links of every group; the rows of a group follow each other, those of small groups with one first line too.
 
     A line is in one group per band, so small groups with one first line are few: their
     shingle sets are kept and pairs that are connected already are not compared.
     """
     lead_now, group, members = None, None, []
-    sets: dict[int, set[str]] = {}
+    sets: dict[int, set] = {}
     parent: dict[int, int] = {}
     u, v = [], []
 
@@ -279,15 +279,15 @@ def _verify(batches: Iterator[pa.RecordBatch], width: int, similarity: float) ->
                 for y, other in members[:i]:
                     if (p := root(x)) == (q := root(y)):
                         continue
-                    a = sets.get(x) or sets.setdefault(x, shingles(line, width))
-                    b = sets.get(y) or sets.setdefault(y, shingles(other, width))
+                    a = sets.get(x) or sets.setdefault(x, cut(line, width))
+                    b = sets.get(y) or sets.setdefault(y, cut(other, width))
                     if min(len(a), len(b)) >= similarity * max(len(a), len(b)) - 1e-9 and (both := len(a & b)) >= similarity * (len(a) + len(b) - both) - 1e-9:
                         parent[p] = q
                         u.append(x)
                         v.append(y)
         elif members:
             members.sort()
-            for x, y in similar_links([line for _, line in members], width, similarity):
+            for x, y in similar_links([line for _, line in members], width, similarity, cut):
                 u.append(members[x][0])
                 v.append(members[y][0])
         members.clear()

@@ -1,0 +1,173 @@
+"""Near-duplicates of whole documents: all pairs of a Jaccard similarity, exactly.
+
+A document is the set of its word shingles (words and hash as in ``simhash``). Two
+sets of similarity ``s`` share so much that, in one fixed order of all shingles, the
+first ``n - ceil(s * n) + 1`` of each have one in common: these are dealt out by
+hash, and sets that meet are candidates. So no pair is lost before its sets are
+compared, unlike with a radius around fingerprints. Candidate groups are split,
+dealt and walked as those of lines (``linededup``), and union-find joins the links.
+
+Documents of equal sets are one node, named by a 64-bit hash of the set. Shingles
+are compared by their 64-bit hashes. A text of fewer words than a shingle is one
+shingle; null and wordless texts are one node, which is like no other.
+
+Defined results: null ``doc_id`` rows get components but never name one, and a
+component of nulls only is named null; repeated rows are of one component.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+from fractions import Fraction
+
+import numpy as np
+import pyarrow as pa
+import xxhash
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from motifjoin.components import connected_components
+from motifjoin.llm import linededup, simhash
+from motifjoin.workspace import materialize
+
+#: The rule of the pipeline: words of a shingle, the similarity of a link.
+WIDTH, SIMILARITY = 5, 0.8
+#: Prefix entries of a sub-batch and of a bucket; characters that make one entry, at least; buckets at least.
+BATCH_ENTRIES, BUCKET_ENTRIES, ENTRY_CHARS, LEAST_BUCKETS = 1 << 18, 1 << 20, 16, 64
+
+
+def shingles(text: str | None, width: int) -> np.ndarray:
+    """Distinct shingle hashes, ascending."""
+    return np.unique(simhash.shingle_hashes(text, width))
+
+
+def prefix(hashes: np.ndarray, similarity: float) -> np.ndarray:
+    """The smallest hashes, so many that two sets of the similarity have one of them in common."""
+    share = Fraction(str(similarity))
+    n = len(hashes)
+    return hashes[: n - -(-share.numerator * n // share.denominator) + 1] if n else hashes
+
+
+def node_of(hashes: np.ndarray) -> int:
+    return int(np.uint64(xxhash.xxh64_intdigest(hashes.tobytes(), 7)).view(np.int64))
+
+
+def _nodes(batches: Iterator[pa.RecordBatch], width: int, similarity: float) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for at in range(0, batch.num_rows, 1000):
+            part = batch.slice(at, 1000)
+            node, size, first = [], [], []
+            for text in part.column("text"):
+                hashes = shingles(text.as_py(), width)
+                node.append(node_of(hashes))
+                size.append(len(hashes))
+                first.append(prefix(hashes, similarity).tobytes())
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text"), pa.array(node, pa.int64()), pa.array(size, pa.int32()), pa.array(first, pa.binary())], ["doc_id", "text", "node", "size", "prefix"])
+
+
+def _deal(batches: Iterator[pa.RecordBatch], buckets: int) -> Iterator[pa.RecordBatch]:
+    """Prefixes as packed blobs by bucket; a node once in a sub-batch."""
+    held: dict[int, tuple[int, np.ndarray]] = {}
+    entries = 0
+
+    def flush() -> pa.RecordBatch:
+        nonlocal held, entries
+        times = [len(x) for _, x in held.values()]
+        who = np.repeat(np.fromiter(held.keys(), np.int64, len(held)), times)
+        size = np.repeat(np.array([n for n, _ in held.values()], np.int32), times)
+        key = np.concatenate([x for _, x in held.values()])
+        bucket = (key % np.uint64(buckets)).astype(np.int64)
+        order = np.argsort(bucket, kind="stable")
+        bounds = np.searchsorted(bucket[order], np.arange(buckets + 1))
+        full = np.flatnonzero(np.diff(bounds))
+        cut = [order[bounds[b] : bounds[b + 1]] for b in full]
+        held, entries = {}, 0
+        blobs = [pa.array([x[c].tobytes() for c in cut], pa.binary()) for x in (key, who, size)]
+        return pa.RecordBatch.from_arrays([pa.array(full, pa.int64()), *blobs], ["key", "keys", "nodes", "sizes"])
+
+    for batch in batches:
+        for node, size, first in zip(*batch.columns):
+            if (n := node.as_py()) not in held and (blob := first.as_py()):
+                held[n] = size.as_py(), np.frombuffer(blob, np.uint64)
+                entries += len(held[n][1])
+                if entries >= BATCH_ENTRIES:
+                    yield flush()
+    if held:
+        yield flush()
+
+
+def _group(bucket: pa.Table, similarity: float) -> pa.Table:
+    """Nodes that share a prefix entry, apart where sizes leave a gap that no similar pair bridges; large groups as pairs of parts."""
+    join = lambda c, kind: np.concatenate([np.frombuffer(x.as_py(), kind) for x in bucket.column(c)])
+    key, node, size = join("keys", np.uint64), join("nodes", np.int64), join("sizes", np.int32)
+    order = np.lexsort((node, size, key))
+    key, node, size = key[order], node[order], size[order]
+    new = np.concatenate([[True], (key[1:] != key[:-1]) | (node[1:] != node[:-1])])
+    key, node, size = key[new], node[new], size[new]
+    starts = np.flatnonzero(np.concatenate([[True], (key[1:] != key[:-1]) | (size[:-1] < similarity * size[1:] - 1e-9)]))
+    out = []
+    for a, b in zip(starts, np.append(starts[1:], len(key))):
+        if b - a > 2 * linededup.GROUP_LINES:
+            step = linededup.GROUP_LINES
+            cuts = [(k, min(k + step, b)) for k in range(a, b, step)]
+            for i, (x, y) in enumerate(cuts):
+                for j, (v, w) in enumerate(cuts[i + 1 :]):
+                    if j == 0 or size[y - 1] >= similarity * size[v] - 1e-9:  # the nearest sizes of two parts
+                        out.append(np.sort(np.concatenate([node[x:y], node[v:w]])).tobytes())
+        elif b - a > 1:
+            out.append(np.sort(node[a:b]).tobytes())
+    return pa.table({"members": pa.array(out, pa.binary())})
+
+
+def _verify(batches: Iterator[pa.RecordBatch], width: int, similarity: float) -> Iterator[pa.RecordBatch]:
+    """Links of the groups of each lead; a row is a node of a lead, its text and its groups, the rows of a lead follow each other."""
+    lead, rows = None, []
+
+    def settle() -> pa.RecordBatch:
+        groups: dict[int, list[tuple[int, str]]] = {}
+        for node, text, inside in rows:
+            for grp in inside:
+                groups.setdefault(grp, []).append((node, text))
+        batch = pa.RecordBatch.from_arrays([pa.array([c[k] for g, m in groups.items() for c in [(lead, g, *x) for x in m]], t) for k, t in enumerate((pa.int64(), pa.int64(), pa.int64(), pa.string()))], ["lead", "grp", "h", "text"])
+        found = list(linededup._verify(iter([batch]), width, similarity, _shingle_set))
+        return pa.RecordBatch.from_arrays([pa.concat_arrays([b.column(k) for b in found]) for k in range(2)], ["u", "v"])
+
+    for batch in batches:
+        for now, node, text, inside in zip(*(c.to_pylist() for c in batch.columns)):
+            if rows and now != lead:
+                yield settle()
+                rows = []
+            lead = now
+            rows.append((node, text, inside))
+    if rows:
+        yield settle()
+
+
+def _shingle_set(text: str, width: int) -> set[int]:
+    return set(simhash.shingle_hashes(text, width).tolist())
+
+
+def node_links(nodes: DataFrame, width: int = WIDTH, similarity: float = SIMILARITY) -> DataFrame:
+    """``nodes(text, node, size, prefix)`` to ``(u, v)``: links that span every group of similar nodes."""
+    characters = nodes.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    buckets = int(max(LEAST_BUCKETS, -(-characters // (ENTRY_CHARS * BUCKET_ENTRIES))))
+    packed = nodes.select("node", "size", "prefix").mapInArrow(lambda it: _deal(it, buckets), "key long, keys binary, nodes binary, sizes binary")
+    groups = materialize(packed.groupBy("key").applyInArrow(lambda t: _group(t, similarity), "members binary").distinct(), "groups")
+    members = groups.mapInArrow(linededup._members, "lead long, grp long, h long")
+    texts = nodes.select(F.col("node").alias("h"), "text").join(members.select("h").distinct(), "h", "left_semi").groupBy("h").agg(F.min("text").alias("text"))
+    # the text of a node moves once to each lead, not once to each group
+    inside = members.groupBy("lead", "h").agg(F.collect_set("grp").alias("grps"))
+    dealt = inside.join(texts, "h").select("lead", "h", "text", "grps").repartition(F.col("lead")).sortWithinPartitions("lead")
+    return dealt.mapInArrow(lambda it: _verify(it, width, similarity), "u long, v long")
+
+
+def similar_documents(docs: DataFrame, width: int = WIDTH, similarity: float = SIMILARITY) -> DataFrame:
+    """``(doc_id, component_id)``; component_id is the smallest doc_id that links reach."""
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    rows = materialize(docs.select("doc_id", "text").mapInArrow(lambda it: _nodes(it, width, similarity), f"doc_id {kind}, text string, node long, size int, prefix binary"), "nodes")
+    nodes = materialize(rows.groupBy("node").agg(F.min("doc_id").alias("least")), "least")
+    roots = connected_components(node_links(rows.drop("doc_id"), width, similarity))
+    named = nodes.join(roots, "node", "left").select("node", F.coalesce("root", "node").alias("root"), "least")
+    least = named.groupBy("root").agg(F.min("least").alias("component_id"))
+    by_node = named.select("node", "root").join(least, "root").select("node", "component_id")
+    return rows.select("doc_id", "node").join(by_node, "node").select("doc_id", "component_id")

@@ -1,0 +1,86 @@
+import random
+from fractions import Fraction
+
+import corpus_pipeline as cp
+import numpy as np
+import pytest
+
+from motifjoin.llm import linededup, neardup
+
+
+def word_sets(text, width=5):
+    low = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text or "")
+    for c in "\t\n\x0b\x0c\r":
+        low = low.replace(c, " ")
+    words = [w for w in low.split(" ") if w]
+    return frozenset(" ".join(words[i : i + width]) for i in range(max(1, len(words) - width + 1))) if words else frozenset()
+
+
+def brute(rows, similarity=Fraction(4, 5)):
+    """Smallest doc_id of every component over all pairs of Jaccard similarity, set against set."""
+    sets = [word_sets(t) for _, t in rows]
+    label = list(range(len(rows)))
+
+    def find(x):
+        while label[x] != x:
+            x = label[x]
+        return x
+
+    for i, a in enumerate(sets):
+        for j in range(i):
+            b = sets[j]
+            if a == b or len(a & b) >= similarity * len(a | b):
+                p, q = find(i), find(j)
+                label[max(p, q)] = min(p, q)
+    least = {}
+    for k, (i, _) in enumerate(rows):
+        if i is not None:
+            least[find(k)] = min(i, least.get(find(k), i))
+    return sorted(((i, least.get(find(k))) for k, (i, _) in enumerate(rows)), key=repr)
+
+
+def edited(seed, n=40):
+    """Texts and copies of them with words replaced, on both sides of the similarity."""
+    rng, rows = random.Random(seed), []
+    for k in range(n):
+        words = ["w%d" % rng.randrange(3000) for _ in range(rng.choice((3, 8, 60, 200, 400)))]
+        rows.append((len(rows), " ".join(words)))
+        for _ in range(rng.randrange(3)):
+            copy = list(words)
+            for _ in range(rng.randrange(1, max(2, len(words) // 25))):
+                copy[rng.randrange(len(copy))] = "Zz%d" % rng.randrange(99)
+            rows.append((len(rows), " ".join(copy)))
+    return rows
+
+
+def test_stage_keeps_one_of_documents_that_differ_in_a_few_words(spark, sf):
+    rows = edited(1)
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    kept = {r.doc_id for r in cp.keep_one_of_each_group(spark, docs, sf).collect()}
+    assert kept == {c for _, c in brute(rows)} and len(kept) < len(rows)
+
+
+def test_components_equal_brute_force_over_pairs(spark, sf):
+    rows = [(r.doc_id, r.text) for r in spark.read.parquet(f"{sf}/documents.parquet").collect()]
+    rows += [(1000 + i, t) for i, t in edited(2, 20)] + [(None, None), (5000, ""), (None, "a B"), (None, "A b"), (5001, " \n"), (5000, "")]
+    got = neardup.similar_documents(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sorted(map(tuple, got), key=repr) == brute(rows)
+
+
+def test_large_groups_are_split_without_loss(spark, monkeypatch):
+    monkeypatch.setattr(linededup, "GROUP_LINES", 8)
+    base = ["b%d" % k for k in range(300)]
+    rows = [(i, " ".join(base[:i] + ["x%d" % i] + base[i + 1 :])) for i in range(60)] + [(60 + i, " ".join(base[:30] + ["y%d_%d" % (i, k) for k in range(300)])) for i in range(20)]
+    got = neardup.similar_documents(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sorted(map(tuple, got), key=repr) == brute(rows)
+
+
+@pytest.mark.parametrize("n", [1, 4, 5, 6, 10, 299, 300])
+def test_prefixes_of_the_least_similar_pair_meet(n):
+    a = np.arange(n, dtype=np.uint64)  # b lacks the smallest fifth of a, the worst that 0.8 allows
+    b = a[n // 5 :]
+    assert set(neardup.prefix(a, 0.8).tolist()) & set(neardup.prefix(b, 0.8).tolist())
+
+
+def test_empty_table(spark):
+    assert neardup.similar_documents(spark.createDataFrame([], "doc_id long, text string")).count() == 0
