@@ -23,7 +23,7 @@ from __future__ import annotations
 
 import re
 from collections import defaultdict
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from functools import reduce
 
 import pyarrow as pa
@@ -71,6 +71,17 @@ def bits_of(words: list[str]) -> dict[str, int]:
     return dict(out)
 
 
+def merged(windows: Iterable[tuple[int, int]]) -> list[tuple[int, int]]:
+    """Windows in order, those that overlap as one."""
+    out: list[tuple[int, int]] = []
+    for low, high in sorted(windows):
+        if out and low < out[-1][1]:
+            out[-1] = (out[-1][0], max(high, out[-1][1]))
+        else:
+            out.append((low, high))
+    return out
+
+
 class PieceIndex:
     """Pieces of the items by first word, then by all words; and the items' bits."""
 
@@ -98,13 +109,9 @@ class PieceIndex:
         found = {}
         for no, begins in near.items():
             _, item, budget, bits, mirrored = self.items[no]
-            done, m = -1, len(item)
-            for begin in begins:
-                low, high = max(0, begin - budget), min(len(words), begin + m + 2 * budget)
-                if high <= done:
-                    continue
+            m = len(item)
+            for low, high in merged((max(0, begin - budget), min(len(words), begin + m + 2 * budget)) for begin in begins):
                 best, end = best_ending(bits, m, words[low:high])
-                done = high
                 if best <= budget and (no not in found or best < found[no][0]):
                     # the same from the end backwards gives the longest-known start of that passage
                     _, back = best_ending(mirrored, m, words[low : low + end][::-1])

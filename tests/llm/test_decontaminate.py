@@ -82,3 +82,20 @@ def test_odd_rows(spark):
     assert sorted((r.doc_id or 0, r.item_id, r.distance) for r in got) == sorted((i, j, x) for i, x in ((1, 0), (1, 0), (0, 0), (4, 1), (5, 0)) for j in (7, 8))
     assert sorted(r.doc_id for r in d.clean_documents(df, bench).collect()) == [2, 3, 6]
     assert d.contaminated(df, bench.limit(0)).count() == 0 and d.contaminated(df.limit(0), bench).count() == 0
+
+
+def test_items_whose_pieces_repeat():
+    item = "a b c P Q R S d e f g P Q R S"
+    for before, after in ((30, 30), (30, 0), (0, 30), (0, 0)):
+        words = ["x%d" % k for k in range(before)] + d.words_of("a x c P y R S d z f g P Q R S") + ["y%d" % k for k in range(after)]
+        found = d.PieceIndex([(1, item)], 0.2, 8).search(words)
+        assert found == {0: (3, before, before + 15)}
+
+
+@pytest.mark.parametrize("seed", range(3))
+def test_few_words_repeated_equal_brute_force(seed):
+    rng = random.Random(seed)
+    items = [(k, " ".join(rng.choice("ab") * 2 for _ in range(rng.randrange(10, 25)))) for k in range(8)]
+    docs = [(k, " ".join(rng.choice(["aa", "bb", "cc"]) for _ in range(rng.randrange(5, 60)))) for k in range(60)]
+    index = d.PieceIndex(items, 0.2, 3)
+    assert {(i, index.items[no][0], x[0]) for i, t in docs for no, x in index.search(d.words_of(t)).items()} == brute(docs, items, 0.2, 3)
