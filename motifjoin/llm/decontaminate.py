@@ -7,8 +7,10 @@ the hash of their words; around every hit the distance is verified with Myers'
 bit-parallel algorithm over words, the item's bits in one integer of m bits.
 
 Words are runs of letters and digits, lower-cased, so punctuation, case and
-spacing do not count. Items shorter than ``min_words`` words are not searched
-for: they are everyday phrases.
+spacing do not count; in scripts written without spaces every letter is a word.
+Items shorter than ``min_words`` words are searched for word for word, without
+edits. Only those that have not even ``min_words`` letters and digits in all are
+not searched for.
 
 The items travel to the tasks in blocks of at most ``block_items`` items and
 ``block_chars`` characters, one pass over the documents per block, so what is
@@ -29,11 +31,16 @@ from functools import reduce
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-WORD = re.compile(r"\w+")
+#: Letters of scripts without spaces between words: Thai, Lao, Myanmar, Khmer, kana, Han.
+_DENSE = r"\u0e01-\u0eff\u1000-\u109f\u1780-\u17ff\u3005-\u3007\u3040-\u30ff\u31f0-\u31ff\u3400-\u4dbf\u4e00-\u9fff\uf900-\ufaff\uff66-\uff9f\U00020000-\U0003ffff"
+WORD, DENSE = re.compile(r"\w+"), re.compile(f"[{_DENSE}]")
+_DENSE_WORD = re.compile(rf"(?![{_DENSE}])\w(?:(?![{_DENSE}])\w)*|(?=\w)[{_DENSE}]")
 
 
 def words_of(text: str | None) -> list[str]:
-    return WORD.findall(text.lower()) if text else []
+    if not text:
+        return []
+    return (WORD if text.isascii() or not DENSE.search(text) else _DENSE_WORD).findall(text.lower())
 
 
 def pieces(n: int, budget: int) -> list[tuple[int, int]]:
@@ -90,9 +97,9 @@ class PieceIndex:
         self.by_first: dict[str, dict[int, dict[tuple[str, ...], list[tuple[int, int]]]]] = {}
         for item_id, text in items:
             words = words_of(text)
-            if len(words) < max(1, min_words):
+            if not words or sum(map(len, words)) < min_words:
                 continue
-            budget = int(rate * len(words))
+            budget = int(rate * len(words)) if len(words) >= min_words else 0
             no = len(self.items)
             self.items.append((item_id, words, budget, bits_of(words), bits_of(words[::-1])))
             for a, b in pieces(len(words), budget):

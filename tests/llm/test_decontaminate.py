@@ -99,3 +99,16 @@ def test_few_words_repeated_equal_brute_force(seed):
     docs = [(k, " ".join(rng.choice(["aa", "bb", "cc"]) for _ in range(rng.randrange(5, 60)))) for k in range(60)]
     index = d.PieceIndex(items, 0.2, 3)
     assert {(i, index.items[no][0], x[0]) for i, t in docs for no, x in index.search(d.words_of(t)).items()} == brute(docs, items, 0.2, 3)
+
+
+def test_short_items_are_found_word_for_word(spark):
+    bench = spark.createDataFrame([(1, "Who wrote Hamlet?"), (2, "中国的首都在哪里呢"), (3, "one two")], "item_id long, text string")
+    docs = [(1, "x who wrote HAMLET y"), (2, "who wrote the Hamlet"), (3, "请问中国的首都在哪里呢？谢谢"), (4, "请问中国的首府在哪里呢"), (5, "one two")]
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    got = {(r.doc_id, r.item_id, r.distance, r.budget) for r in d.contaminated(df, bench).collect()}
+    assert got == {(1, 1, 0, 0), (3, 2, 0, 1), (4, 2, 1, 1)}
+    assert sorted(r.doc_id for r in d.clean_documents(df, bench).collect()) == [2, 5]
+
+
+def test_words_of_mixed_scripts():
+    assert d.words_of("ab中国c1 été, ！テ") == ["ab", "中", "国", "c1", "été", "テ"]
