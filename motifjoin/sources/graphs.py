@@ -37,6 +37,11 @@ def basket_edges(spark: SparkSession, sf_dir: str, filtered: bool = True) -> Dat
     return each.select("src", F.explode(F.expr("slice(ps, i + 2, size(ps))")).alias("dst")).dropDuplicates()
 
 
+def whole_basket_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two parts bought in any one order."""
+    return basket_edges(spark, sf_dir, filtered=False)
+
+
 def wheel_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A hub (-1) linked with every customer both ways, and a path through the customers."""
     c = table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("k"))

@@ -9,6 +9,8 @@ GRAPHS: dict[str, str] = {
     "k5": "SELECT CAST(a.r_regionkey AS BIGINT) AS src, CAST(b.r_regionkey AS BIGINT) AS dst FROM region a JOIN region b ON a.r_regionkey < b.r_regionkey",
     "basket": """SELECT DISTINCT a.l_partkey AS src, b.l_partkey AS dst FROM lineitem a JOIN lineitem b ON a.l_orderkey = b.l_orderkey AND a.l_partkey < b.l_partkey
         JOIN orders o ON o.o_orderkey = a.l_orderkey WHERE o.o_orderpriority LIKE '1-%' AND o.o_orderstatus = 'F'""",
+    "whole_basket": """SELECT DISTINCT a.l_partkey AS src, b.l_partkey AS dst FROM lineitem a JOIN lineitem b ON a.l_orderkey = b.l_orderkey AND a.l_partkey < b.l_partkey
+        JOIN orders o ON o.o_orderkey = a.l_orderkey""",
     "wheel": """SELECT CAST(-1 AS BIGINT) AS src, c_custkey AS dst FROM customer UNION ALL SELECT c_custkey, -1 FROM customer
         UNION ALL SELECT c_custkey, c_custkey + 1 FROM customer WHERE c_custkey + 1 <= (SELECT max(c_custkey) FROM customer)""",
     "hub": """SELECT c_custkey AS src, CAST(-1 - c_nationkey AS BIGINT) AS dst FROM customer UNION ALL SELECT CAST(-1 - c_nationkey AS BIGINT), c_custkey FROM customer""",

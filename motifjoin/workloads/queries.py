@@ -39,7 +39,11 @@ def add(name: str, run: Query, sql: str | None = None) -> None:
 
 def on(graph: Callable[[SparkSession, str], DataFrame], run: Callable[[DataFrame], DataFrame]) -> Query:
     """A query over a derived graph, which is derived once."""
-    return lambda spark, sf: run(materialize(graph(spark, sf), "graph"))
+    def query(spark: SparkSession, sf: str) -> DataFrame:
+        return run(materialize(graph(spark, sf), "graph"))
+
+    query.graph, query.run = graph, run
+    return query
 
 
 def join(name: str, **options) -> Callable[[DataFrame], DataFrame]:
@@ -101,9 +105,9 @@ add("delta__bootstrap_triangle", on(g.basket_edges, lambda e: delta_bootstrap(P[
 add("delta__recompute_triangle", on(g.basket_edges, lambda e: bp.recompute_diff(P["triangle"], {"e": g.mixed_batch(e)[0]}, {"e": e.filter("(src + dst) % 10 <> 1")})), o.change_sql("triangle"))
 
 
-def _replay(spark: SparkSession, sf: str, n: int = 4) -> DataFrame:
+def _replay(spark: SparkSession, sf: str, n: int = 4, graph: Callable = g.basket_edges) -> DataFrame:
     """The final triangles after batches of insertions and deletions, from the first ones and the changes."""
-    base, log = g.batch_sequence(g.basket_edges(spark, sf), n)
+    base, log = g.batch_sequence(graph(spark, sf), n)
     store = VersionedRelation(spark)
     engine = DeltaEngine(P["triangle"], {"e": store})
     engine.preload({"e": base})
@@ -117,8 +121,8 @@ _final = f"WITH base AS ({o.GRAPHS['basket']}), e AS (SELECT * FROM base WHERE N
 add("delta__multi_batch", _replay, f"{_final} SELECT a1, a2, a3, CAST(1 AS INTEGER) AS w FROM ({o.pattern_sql(P['triangle'])}) q")
 
 
-def _as_of(spark: SparkSession, sf: str) -> DataFrame:
-    base, log = g.batch_sequence(g.basket_edges(spark, sf), 4)
+def _as_of(spark: SparkSession, sf: str, graph: Callable = g.basket_edges) -> DataFrame:
+    base, log = g.batch_sequence(graph(spark, sf), 4)
     store = VersionedRelation(spark, compact_share=10)
     store.preload(base)
     for v in (1, 2, 3):
@@ -199,8 +203,8 @@ _gap = "SELECT CAST((SELECT count(*) FROM e a JOIN e b ON a.dst = b.src) AS BIGI
 add("meter__wheel_gap", on(g.wheel_edges, lambda e: meters.open_wedges(e).withColumnRenamed("n", "wedges").crossJoin(meters.stage_proposals(P["triangle"], {"e": e}).select("proposals"))), f"WITH e AS ({o.GRAPHS['wheel']}), f AS (SELECT src AS v, count(*) AS c FROM e GROUP BY 1) {_gap}")
 
 
-def _agm(spark: SparkSession, sf: str) -> DataFrame:
-    n = g.basket_edges(spark, sf).count()
+def _agm(spark: SparkSession, sf: str, graph: Callable = g.basket_edges) -> DataFrame:
+    n = graph(spark, sf).count()
     rows = []
     for name in ("triangle", "four_clique", "diamond", "house", "five_clique"):
         b = agm_bound(P[name], {"e": n}).exponent
@@ -220,9 +224,9 @@ def _root(x: int, k: int) -> int:
 add("meter__agm", _agm)
 
 
-def _intermediates(spark: SparkSession, sf: str) -> DataFrame:
+def _intermediates(spark: SparkSession, sf: str, graph: Callable = g.basket_edges) -> DataFrame:
     """Prefixes that the engine, exploration and the binary plan make for triangles."""
-    e = g.basket_edges(spark, sf)
+    e = graph(spark, sf)
     explored = [d.agg(F.count(F.lit(1)).alias("n")) for d in bp.explore_steps(P["triangle"], e)]
     total = explored[0]
     for d in explored[1:]:
@@ -234,8 +238,8 @@ def _intermediates(spark: SparkSession, sf: str) -> DataFrame:
 add("meter__intermediates", _intermediates)
 
 
-def _metered(spark: SparkSession, sf: str) -> DataFrame:
-    e = g.basket_edges(spark, sf)
+def _metered(spark: SparkSession, sf: str, graph: Callable = g.basket_edges) -> DataFrame:
+    e = graph(spark, sf)
     rows = []
     for name in ("triangle", "diamond"):
         _, m = meters.metered_join(P[name], {"e": e})
@@ -330,11 +334,11 @@ add("op__set_ops", on(g.basket_edges, lambda e: e.filter("src % 2 = 0").intersec
 add("op__json_props", lambda s, sf: g.table(s, sf, "events").select("event_id", F.from_json("props", "k long").getField("k").alias("k")).groupBy("k").agg(F.count(F.lit(1)).alias("n")), "SELECT TRY_CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, CAST(count(*) AS BIGINT) AS n FROM events GROUP BY 1")
 
 
-def _array_intersect(spark: SparkSession, sf: str, gallop: bool = False) -> DataFrame:
+def _array_intersect(spark: SparkSession, sf: str, gallop: bool = False, graph: Callable = g.basket_edges) -> DataFrame:
     """Triangles per edge: common part of the ends' sorted neighbour lists."""
     from motifjoin.functions.arrays import intersect_sorted
 
-    e = g.basket_edges(spark, sf)
+    e = graph(spark, sf)
     lists = e.groupBy("src").agg(F.array_sort(F.collect_list("dst")).alias("l"))
     both = e.join(lists.withColumnRenamed("l", "x"), "src").join(lists.select(F.col("src").alias("dst"), F.col("l").alias("y")), "dst")
     meet = intersect_sorted if gallop else F.array_intersect
@@ -359,6 +363,23 @@ add("op__fraction_preload", on(g.basket_edges, lambda e: g.fraction(e, 4).agg(F.
 add("op__filtered_pattern", on(g.basket_edges, lambda e: static_join(replace(P["triangle"], filters=(("a1", "<", "a2"), ("a2", "<", "a3"))), {"e": e.filter(F.col("src").between(0, 500))})), f"WITH b AS ({o.GRAPHS['basket']}), e AS (SELECT * FROM b WHERE src BETWEEN 0 AND 500) {o.pattern_sql(P['triangle'])}")
 
 
+# the same over the basket graph of all orders
+_small, _whole = (" ".join(o.GRAPHS[n].split()) for n in ("basket", "whole_basket"))
+_of_graph = {
+    "graph__basket_edges": g.whole_basket_edges,
+    "delta__multi_batch": lambda s, sf: _replay(s, sf, graph=g.whole_basket_edges),
+    "delta__index_as_of": lambda s, sf: _as_of(s, sf, g.whole_basket_edges),
+    "meter__agm": lambda s, sf: _agm(s, sf, g.whole_basket_edges),
+    "meter__intermediates": lambda s, sf: _intermediates(s, sf, g.whole_basket_edges),
+    "meter__costs": lambda s, sf: _metered(s, sf, g.whole_basket_edges),
+    "op__array_intersect": lambda s, sf: _array_intersect(s, sf, False, g.whole_basket_edges),
+    "op__galloping_intersect": lambda s, sf: _array_intersect(s, sf, True, g.whole_basket_edges),
+}
+_of_graph |= {n: on(g.whole_basket_edges, q.run) for n, q in QUERIES.items() if getattr(q, "graph", None) is g.basket_edges}
+for _name, _query in _of_graph.items():
+    add(f"{_name}_all_orders", _query, ORACLES.get(_name, "").replace(_small, _whole))
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All triangles of the basket graph."""
-    return QUERIES["static__triangle"](spark, sf_dir)
+    """All triangles of the basket graph of all orders."""
+    return QUERIES["static__triangle_all_orders"](spark, sf_dir)
