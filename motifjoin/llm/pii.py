@@ -38,7 +38,7 @@ DOMAIN = re.compile(r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
 DOTTED = re.compile(r"[0-9]+(?:\.[0-9]+)*")
 CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
-_MAYBE = re.compile(r"[0-9@]|[(\[]at[)\]]")
+_MAYBE = re.compile(r"[0-9@]")
 _DIGIT = re.compile(r"[0-9]")
 
 Span = tuple[int, int, str]
@@ -91,15 +91,24 @@ def base_spans(text: str | None) -> list[Span]:
     return sorted(out, key=lambda s: (s[0], KINDS.index(s[2])))
 
 
-#: Generators: a name, the kind that its spans get, a pattern of bounded length.
+#: Generators: a name, the kind that its spans get, a pattern: of bounded length, or possessive and so linear.
 GENERATORS = (
     ("number", "id", re.compile(r"[+(]?[0-9][0-9 ().\-/:]{5,28}[0-9]")),
     ("spelt", "email", re.compile(r"[\w.+-]{1,40} ?[(\[]at[)\]] ?[\w-]{1,40}(?: ?[(\[]dot[)\]] ?| ?\. ?)[\w-]{2,20}", re.I)),
     ("sign", "email", re.compile(r"[\w.+-]{1,40}@[\w.-]{2,60}")),
-    ("keyed", "secret", re.compile(r"\b(?:password|passwd|pwd|secret|token|api[_-]?key|access[_-]?key)\b ?[=:] ?[^\s,;]{6,80}", re.I)),
-    ("token", "secret", re.compile(r"(?<![A-Za-z0-9_])[A-Za-z0-9_]{20,80}(?![A-Za-z0-9_])")),
+    ("keyed", "secret", re.compile(r"\b(?:password|passwd|pwd|secret|token|api[_-]?key|access[_-]?key)\b ?[=:] ?[^\s,;]{6,}+", re.I)),
+    ("token", "secret", re.compile(r"(?<![A-Za-z0-9_])[A-Za-z0-9_]{20,}+")),
     ("mixed", "id", re.compile(r"\b[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?\b")),
 )
+#: What a text has to have for each generator to find anything; cheap to look for.
+_NEEDS = (
+    _DIGIT,
+    re.compile(r"[(\[]at[)\]]", re.I),
+    re.compile(r"@"),
+    re.compile(r"[=:] ?[^\s,;]{6}"),
+    re.compile(r"[A-Za-z0-9_]{20}"),
+    _DIGIT,
+)
 #: Words of the 28 characters before a candidate that tell what it is.
 CONTEXT = (
     re.compile(r"phone|tel|call|mobile|fax|whatsapp|sms", re.I),
@@ -114,7 +123,7 @@ N_FEATURES = len(GENERATORS) + len(CONTEXT) + 19
 
 def candidates(text: str) -> list[tuple[int, int, int]]:
     """Overlapping ``(start, end, generator)`` proposals."""
-    return [(m.start(), m.end(), k) for k, (_, _, pattern) in enumerate(GENERATORS) for m in pattern.finditer(text)]
+    return [(m.start(), m.end(), k) for k, (_, _, pattern) in enumerate(GENERATORS) if _NEEDS[k].search(text) for m in pattern.finditer(text)]
 
 
 def features(text: str, start: int, end: int, generator: int) -> list[float]:
@@ -248,7 +257,7 @@ class Detector:
 
     def added_spans(self, text: str | None, base: list[Span]) -> list[Span]:
         """Redactions beside ``base``: the most probable candidates, none overlapping another."""
-        if not text or not _MAYBE.search(text):
+        if not text:
             return []
         found = candidates(text)
         if not found:

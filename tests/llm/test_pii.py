@@ -82,3 +82,30 @@ def test_odd_rows(spark):
     out = pii.find_personal_data(df).collect()
     assert sorted((r.doc_id or 0, len(r.base), r.redacted) for r in out if r.redacted is not None) == [(0, 1, "[EMAIL]"), (1, 1, "x [IP]"), (1, 1, "x [IP]"), (2, 0, "")] and len(out) == 5
     assert pii.find_personal_data(df.limit(0)).count() == 0
+
+
+def test_secrets_without_digits_and_long_ones():
+    model, rng = pii.detector(), random.Random(3)
+    assert (0, 28, 3) in pii.candidates("password: correcthorsebatter and so on")
+    assert any(k == 1 for _, _, k in pii.candidates("bo (AT) example (DOT) com"))
+    for n in (81, 200, 5000):
+        run = "".join(rng.choice("abcdef0123456789") for _ in range(n))
+        for lead, k in (("password=", 3), ("bearer ", 4)):
+            text = f"the {lead}{run} and more"
+            assert any(g == k and b == 4 + len(lead) + n for _, b, g in pii.candidates(text))
+            assert run[-20:] not in pii.redact(text, pii.find_spans(text, model)[1])
+
+
+def test_added_spans_look_at_texts_without_digits(monkeypatch):
+    seen = []
+    monkeypatch.setattr(pii, "features", lambda text, *c: seen.append(c) or [0.0] * pii.N_FEATURES)
+    pii.detector().added_spans("my password: correcthorsebattery", [])
+    assert any(k == 3 for _, _, k in seen)
+
+
+@pytest.mark.parametrize("seed", range(3))
+def test_needs_lose_no_candidate(seed):
+    rng = random.Random(seed)
+    for _ in range(1500):
+        text = "".join(rng.choice(["1234", "a", "B", " ", "@", "(at)", "[At]", "(dot)", ".", "token", "pwd=", ": ", "x_" * 9, "abcdefg", "DE12", "\n", ","]) for _ in range(rng.randrange(0, 16)))
+        assert pii.candidates(text) == [(m.start(), m.end(), k) for k, (_, _, p) in enumerate(pii.GENERATORS) for m in p.finditer(text)]
