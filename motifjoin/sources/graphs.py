@@ -120,6 +120,12 @@ def parts_relations(spark: SparkSession, sf_dir: str) -> dict[str, DataFrame]:
     }
 
 
+def whole_parts_relations(spark: SparkSession, sf_dir: str) -> dict[str, DataFrame]:
+    """All pairs of order, part and supplier, and the ternary relation itself."""
+    ops = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_suppkey")
+    return {"OP": ops.select("l_orderkey", "l_partkey"), "OS": ops.select("l_orderkey", "l_suppkey"), "PS": ops.select("l_partkey", "l_suppkey"), "OPS": ops}
+
+
 def mixed_batch(edges: DataFrame) -> tuple[DataFrame, DataFrame]:
     """``(old graph, changes with w)``: a tenth inserted, a tenth deleted."""
     digit = (F.col("src") + F.col("dst")) % 10

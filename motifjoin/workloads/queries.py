@@ -94,6 +94,9 @@ _names = {"OP": "op", "OS": "os", "PS": "ps", "OPS": "ops"}
 _parts, _line3 = parse_query("t(o,p,s) := OP(o,p), OS(o,s), PS(p,s)"), parse_query("t(o,p,s) := OPS(o,p,s), OP(o,p), PS(p,s)")
 add("static__ternary_parts", lambda s, sf: static_join(_parts, g.parts_relations(s, sf)), f"WITH {_thirds} {o.pattern_sql(_parts, _names, 'c')}")
 add("static__ternary_line", lambda s, sf: static_join(_line3, g.parts_relations(s, sf), order=("p", "s", "o")), f"WITH {_thirds} {o.pattern_sql(_line3, _names, 'c')}")
+_all_pairs = "op AS (SELECT DISTINCT l_orderkey AS c0, l_partkey AS c1 FROM lineitem), os AS (SELECT DISTINCT l_orderkey AS c0, l_suppkey AS c1 FROM lineitem), ps AS (SELECT DISTINCT l_partkey AS c0, l_suppkey AS c1 FROM lineitem), ops AS (SELECT DISTINCT l_orderkey AS c0, l_partkey AS c1, l_suppkey AS c2 FROM lineitem)"
+add("static__ternary_parts_whole", lambda s, sf: static_join(_parts, g.whole_parts_relations(s, sf)), f"WITH {_all_pairs} {o.pattern_sql(_parts, _names, 'c')}")
+add("static__ternary_line_whole", lambda s, sf: static_join(_line3, g.whole_parts_relations(s, sf), order=("p", "s", "o")), f"WITH {_all_pairs} {o.pattern_sql(_line3, _names, 'c')}")
 
 # changes
 for _name in ("triangle", "four_clique", "diamond", "house", "five_clique"):
@@ -350,11 +353,12 @@ for _case in (False, True):
 add("op__bitmap_degrees", on(g.basket_edges, lambda e: build_index(e, ["src"], "dst").bitmaps().groupBy(F.col("__k0").alias("v")).agg(F.sum(F.bitmap_count("bits")).alias("c"))), o.with_graph("basket", "SELECT src AS v, CAST(count(*) AS BIGINT) AS c FROM e GROUP BY 1"))
 
 
-def _lateral(spark: SparkSession, sf: str) -> DataFrame:
-    """Candidate numbers of small counts through a table function."""
+def _lateral(spark: SparkSession, sf: str, most: int | None = 3, graph: Callable = g.basket_edges) -> DataFrame:
+    """Candidate numbers of counts (up to ``most``, or all) through a table function."""
     from motifjoin.functions.arrays import ExpandRange
 
-    counts = g.basket_edges(spark, sf).groupBy(F.col("src").alias("v")).agg(F.count(F.lit(1)).alias("c")).filter("c <= 3")
+    counts = graph(spark, sf).groupBy(F.col("src").alias("v")).agg(F.count(F.lit(1)).alias("c"))
+    counts = counts if most is None else counts.filter(F.col("c") <= most)
     return counts.lateralJoin(ExpandRange(F.lit(1), F.col("c").outer())).select("v", "k")
 
 
@@ -363,6 +367,9 @@ add("op__fraction_preload", on(g.basket_edges, lambda e: g.fraction(e, 4).agg(F.
 add("op__filtered_pattern", on(g.basket_edges, lambda e: static_join(replace(P["triangle"], filters=(("a1", "<", "a2"), ("a2", "<", "a3"))), {"e": e.filter(F.col("src").between(0, 500))})), f"WITH b AS ({o.GRAPHS['basket']}), e AS (SELECT * FROM b WHERE src BETWEEN 0 AND 500) {o.pattern_sql(P['triangle'])}")
 
 
+# counts of all sizes, hubs too
+add("op__lateral_range_whole", lambda s, sf: _lateral(s, sf, None, g.whole_basket_edges), f"WITH e AS ({o.GRAPHS['whole_basket']}), d AS (SELECT src AS v, count(*) AS c FROM e GROUP BY 1) SELECT v, CAST(unnest(range(1, c + 1)) AS BIGINT) AS k FROM d")
+
 # the same over the basket graph of all orders
 _small, _whole = (" ".join(o.GRAPHS[n].split()) for n in ("basket", "whole_basket"))
 _of_graph = {
