@@ -8,29 +8,32 @@ bit-parallel algorithm over words, the item's bits in one integer of m bits.
 
 Words are runs of letters and digits, lower-cased, so punctuation, case and
 spacing do not count; in scripts written without spaces every letter is a word.
-Items shorter than ``min_words`` words are searched for word for word, without
-edits. Only those that have not even ``min_words`` letters and digits in all are
-not searched for.
+Every item of one word or more is searched for; ``min_words`` can leave out
+those of fewer words, which few budgets and common words make meaningless.
 
-The items travel to the tasks in blocks of at most ``block_items`` items and
-``block_chars`` characters, one pass over the documents per block, so what is
-broadcast never exceeds a fixed size.
+The items are dealt by hash into blocks of about ``block_items`` items and
+``block_chars`` characters. The driver holds one block at a time: with several,
+each block's pass over the documents is written before the next one is fetched.
 
 Defined results: null or wordless texts and items match nothing; items of equal
 words are each reported; null ``doc_id`` is reported as null; repeated rows are
-reported each; other columns are ignored.
+reported each; other columns are ignored. ``doc_id`` and ``item_id`` keep their types.
 """
 
 from __future__ import annotations
 
 import re
 from collections import defaultdict
-from collections.abc import Iterable, Iterator
-from functools import reduce
+from collections.abc import Callable, Iterable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_type
 
+from motifjoin.workspace import materialize, new_path
+
+Items = list[tuple[object, str]]
 #: Letters of scripts without spaces between words: Thai, Lao, Myanmar, Khmer, kana, Han.
 _DENSE = r"\u0e01-\u0eff\u1000-\u109f\u1780-\u17ff\u3005-\u3007\u3040-\u30ff\u31f0-\u31ff\u3400-\u4dbf\u4e00-\u9fff\uf900-\ufaff\uff66-\uff9f\U00020000-\U0003ffff"
 WORD, DENSE = re.compile(r"\w+"), re.compile(f"[{_DENSE}]")
@@ -92,14 +95,14 @@ def merged(windows: Iterable[tuple[int, int]]) -> list[tuple[int, int]]:
 class PieceIndex:
     """Pieces of the items by first word, then by all words; and the items' bits."""
 
-    def __init__(self, items: list[tuple[int, str]], rate: float, min_words: int) -> None:
-        self.items: list[tuple[int, list[str], int, dict[str, int], dict[str, int]]] = []
+    def __init__(self, items: Items, rate: float, min_words: int) -> None:
+        self.items: list[tuple[object, list[str], int, dict[str, int], dict[str, int]]] = []
         self.by_first: dict[str, dict[int, dict[tuple[str, ...], list[tuple[int, int]]]]] = {}
         for item_id, text in items:
             words = words_of(text)
-            if not words or sum(map(len, words)) < min_words:
+            if len(words) < max(1, min_words):
                 continue
-            budget = int(rate * len(words)) if len(words) >= min_words else 0
+            budget = int(rate * len(words))
             no = len(self.items)
             self.items.append((item_id, words, budget, bits_of(words), bits_of(words[::-1])))
             for a, b in pieces(len(words), budget):
@@ -128,48 +131,62 @@ class PieceIndex:
         return found
 
 
-_ARROW = [("doc_id", pa.int64()), ("item_id", pa.int64()), ("distance", pa.int32()), ("budget", pa.int32()), ("start", pa.int32()), ("end", pa.int32())]
-SCHEMA = "doc_id long, item_id long, distance int, budget int, start int, end int"
+_ARROW = [("distance", pa.int32()), ("budget", pa.int32()), ("start", pa.int32()), ("end", pa.int32())]
 
 
-def _search(batches: Iterator[pa.RecordBatch], items: list[tuple[int, str]], rate: float, min_words: int) -> Iterator[pa.RecordBatch]:
+def _search(batches: Iterator[pa.RecordBatch], items: Items, item_type: pa.DataType, rate: float, min_words: int) -> Iterator[pa.RecordBatch]:
     index = PieceIndex(items, rate, min_words)
     for batch in batches:
-        rows = []
-        for doc_id, text in zip(batch.column(0), batch.column(1)):
+        at, rows = [], []
+        for i, text in enumerate(batch.column(1)):
             for no, (distance, start, end) in sorted(index.search(words_of(text.as_py())).items()):
-                rows.append((doc_id.as_py(), index.items[no][0], distance, index.items[no][2], start, end))
-        yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], t) for k, (_, t) in enumerate(_ARROW)], [n for n, _ in _ARROW])
+                at.append(i)
+                rows.append((index.items[no][0], distance, index.items[no][2], start, end))
+        cols = [pa.array([r[k] for r in rows], t) for k, (_, t) in enumerate([("item_id", item_type), *_ARROW])]
+        yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(at, pa.int64())), *cols], ["doc_id", "item_id", *(n for n, _ in _ARROW)])
 
 
-def item_blocks(benchmark: DataFrame, block_items: int, block_chars: int) -> list[list[tuple[int, str]]]:
-    """The items in blocks of bounded size; at least one block."""
-    blocks: list[list[tuple[int, str]]] = [[]]
-    chars = 0
-    for row in benchmark.select("item_id", "text").filter("text is not null").orderBy("item_id", "text").toLocalIterator():
-        if len(blocks[-1]) >= block_items or chars + len(row["text"]) > block_chars and blocks[-1]:
-            blocks.append([])
-            chars = 0
-        blocks[-1].append((row["item_id"], row["text"]))
-        chars += len(row["text"])
-    return blocks
+def _clean(batches: Iterator[pa.RecordBatch], items: Items, rate: float, min_words: int) -> Iterator[pa.RecordBatch]:
+    index = PieceIndex(items, rate, min_words)
+    for batch in batches:
+        yield batch.filter(pa.array([not index.search(words_of(t.as_py())) for t in batch.column("text")], pa.bool_()))
 
 
-def contaminated(docs: DataFrame, benchmark: DataFrame, rate: float = 0.2, min_words: int = 8, block_items: int = 20_000, block_chars: int = 8_000_000) -> DataFrame:
-    """``doc_id, item_id, distance, budget, start, end`` (words) for every item that a document holds within its budget."""
-    rows = docs.select("doc_id", "text")
-    each = [rows.mapInArrow(lambda it, b=b: _search(it, b, rate, min_words), SCHEMA) for b in item_blocks(benchmark, block_items, block_chars)]
-    return reduce(DataFrame.unionByName, each)
+def item_blocks(benchmark: DataFrame, block_items: int, block_chars: int) -> tuple[int, Callable[[int], Items]]:
+    """How many blocks the items are dealt into, and a function that fetches one."""
+    rows = benchmark.select("item_id", "text").filter("text is not null")
+    n, chars = rows.agg(F.count(F.lit(1)), F.sum(F.length("text"))).first()
+    blocks = max(1, -(-n // block_items), -(-(chars or 0) // block_chars))
+    dealt = rows.withColumn("block", F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)))
 
+    def fetch(k: int) -> Items:
+        return [(r["item_id"], r["text"]) for r in dealt.filter(F.col("block") == k).orderBy("item_id", "text").collect()]
 
-def _clean(batches: Iterator[pa.RecordBatch], items: list[tuple[int, str]], rate: float, min_words: int) -> Iterator[pa.RecordBatch]:
-    index = PieceIndex(items, rate, min_words)
-    for batch in batches:
-        yield batch.filter(pa.array([not index.search(words_of(t.as_py())) for t in batch.column("text")], pa.bool_()))
+    return blocks, fetch
 
 
-def clean_documents(docs: DataFrame, benchmark: DataFrame, rate: float = 0.2, min_words: int = 8, block_items: int = 20_000, block_chars: int = 8_000_000) -> DataFrame:
-    """``docs`` without the rows that hold an item; no row moves."""
-    for b in item_blocks(benchmark, block_items, block_chars):
-        docs = docs.mapInArrow(lambda it, b=b: _clean(it, b, rate, min_words), docs.schema)
+def contaminated(docs: DataFrame, benchmark: DataFrame, rate: float = 0.2, min_words: int = 1, block_items: int = 20_000, block_chars: int = 8_000_000) -> DataFrame:
+    """``doc_id, item_id, distance, budget, start, end`` (words) for every item that a document holds within its budget."""
+    rows = docs.select("doc_id", "text")
+    kinds = {"doc_id": rows.schema["doc_id"].dataType, "item_id": benchmark.schema["item_id"].dataType}
+    schema = ", ".join(f"{n} {t.simpleString()}" for n, t in kinds.items()) + ", distance int, budget int, start int, end int"
+    item_type = to_arrow_type(kinds["item_id"])
+    blocks, fetch = item_blocks(benchmark, block_items, block_chars)
+    one = lambda items: rows.mapInArrow(lambda it: _search(it, items, item_type, rate, min_words), schema)
+    if blocks == 1:
+        return one(fetch(0))
+    path = new_path(docs.sparkSession, "hits")
+    for k in range(blocks):
+        one(fetch(k)).write.parquet(f"{path}/block={k}")
+    return docs.sparkSession.read.schema(schema).parquet(*(f"{path}/block={k}" for k in range(blocks)))
+
+
+def clean_documents(docs: DataFrame, benchmark: DataFrame, rate: float = 0.2, min_words: int = 1, block_items: int = 20_000, block_chars: int = 8_000_000) -> DataFrame:
+    """``docs`` without the rows that hold an item; no row moves. With several blocks the rows left after each are written."""
+    blocks, fetch = item_blocks(benchmark, block_items, block_chars)
+    schema = docs.schema
+    for k in range(blocks):
+        docs = docs.mapInArrow(lambda it, items=fetch(k): _clean(it, items, rate, min_words), schema)
+        if k + 1 < blocks:
+            docs = materialize(docs, "clean")
     return docs
