@@ -1,6 +1,7 @@
 import hashlib
 import random
 import re
+import time
 
 import numpy as np
 import pytest
@@ -108,4 +109,75 @@ def test_needs_lose_no_candidate(seed):
     rng = random.Random(seed)
     for _ in range(1500):
         text = "".join(rng.choice(["1234", "a", "B", " ", "@", "(at)", "[At]", "(dot)", ".", "token", "pwd=", ": ", "x_" * 9, "abcdefg", "DE12", "\n", ","]) for _ in range(rng.randrange(0, 16)))
-        assert pii.candidates(text) == [(m.start(), m.end(), k) for k, (_, _, p) in enumerate(pii.GENERATORS) for m in p.finditer(text)]
+        assert pii.candidates(text) == [(a, b, k) for k, (_, _, find) in enumerate(pii.GENERATORS) for a, b in find(text)]
+
+
+def direct(text, base, model):
+    """Added spans by comparing every candidate with every span taken."""
+    found = pii.candidates(text)
+    taken, out = [(a, b) for a, b, _ in base], []
+    scored = [(-float(model.probabilities(np.array([pii.features(text, *c)]))[0]), c) for c in found]
+    for q, (a, b, k) in sorted(scored):
+        if -q >= model.thresholds[pii.GENERATORS[k][1]] and all(b <= s or e <= a for s, e in taken):
+            taken.append((a, b))
+            out.append((a, b, pii.GENERATORS[k][1]))
+    return out
+
+
+def test_added_spans_equal_direct_version(spark, sf):
+    model = pii.detector()
+    texts = [r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect()] + [" ".join(t for t, _, _ in list(pii.examples(8, seed))) for seed in range(40)]
+    n = 0
+    for text in texts:
+        base = pii.base_spans(text)
+        assert model.added_spans(text, base) == (want := direct(text or "", base, model))
+        n += len(want)
+    assert n > 100
+
+
+@pytest.mark.parametrize("text", ["set password=hunterabcxyz! now", "token: abcdefabcdefabcdefabcdef ok", "JOHN (AT) MAIL (DOT) COM", "secret: swordfishbluewhale! ok", "secret: swordfishbluewhale! ok 7"])
+def test_texts_without_digits_are_searched(text):
+    assert pii.find_spans(text, pii.detector())[1]
+
+
+@pytest.mark.parametrize("n", [20, 120, 1000])
+def test_whole_secrets_go(n):
+    rng = random.Random(n)
+    run = "".join(rng.choice("abcdef0123456789") for _ in range(n))
+    for text in (f"api_key={run} end", f'{{"api_key": "{run}"}}', f"bearer {run} end"):
+        clean = pii.redact(text, pii.find_spans(text, pii.detector())[1])
+        assert not any(run[k : k + 8] in clean for k in range(n - 8))
+
+
+def test_generators_have_no_upper_length():
+    name = "n" * 300
+    for text, kind in ((f"x {name}@{name}.org y", "sign"), (f"x {name} (at) {name} (dot) {name} (dot) org y", "spelt"), ("x DE12" + " 12AB" * 60 + " y", "mixed"), ("x 1" + "-23" * 200 + " y", "digits"), ("x 1" + " 23" * 200 + " y", "numbers")):
+        assert any(pii.GENERATORS[k][0] == kind and (a, b) == (2, len(text) - 2) for a, b, k in pii.candidates(text))
+
+
+def test_a_threshold_per_kind():
+    model = pii.detector()
+    assert set(model.thresholds) == {"id", "email", "secret"} and all(0.5 <= t <= 1 for t in model.thresholds.values())
+
+
+def test_intervals():
+    rng = random.Random(1)
+    for _ in range(300):
+        given = [(a, a + rng.randrange(1, 6)) for a in (rng.randrange(40) for _ in range(rng.randrange(4)))]
+        got, covered = pii.Intervals(given), {x for a, b in given for x in range(a, b)}
+        for _ in range(12):
+            a = rng.randrange(40)
+            b = a + rng.randrange(1, 6)
+            free = not covered & set(range(a, b))
+            assert got.add(a, b) == free
+            covered |= set(range(a, b)) if free else set()
+
+
+def test_time_grows_with_the_spans():
+    model, took = pii.detector(), []
+    for n in (1000, 4000):
+        text = " ".join(f"call +1 555 {i % 900 + 100} {i % 9000 + 1000}" for i in range(n))
+        start = time.process_time()
+        assert len(pii.find_spans(text, model)[1]) >= n
+        took.append(time.process_time() - start)
+    assert took[1] < 8 * took[0]
