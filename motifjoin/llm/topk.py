@@ -39,6 +39,8 @@ from motifjoin.workspace import materialize
 
 #: Vectors in a shard, queries in a block, vectors in a block that has bounds of its own, terms of a probing step.
 SHARD_ROWS, BLOCK_ROWS, BLOCK_VECTORS, STEP_TERMS = 8192, 512, 64, 8
+#: Share of the threshold that the non-essential terms' bounds stay below: the less, the fewer vectors are left to probe.
+REACH = 0.45
 #: Share of components other than zero below which postings are traversed as lists.
 SPARSE = 0.2
 
@@ -131,7 +133,7 @@ def _split(q: np.ndarray, shard: Shard, threshold: float) -> tuple[np.ndarray, i
     order = np.argsort(-np.abs(q * np.maximum(np.abs(shard.most), np.abs(shard.least))).astype(float), kind="stable")
     rest = np.append(np.cumsum(bound[order][::-1])[::-1], 0)
     by_norm = np.sqrt(np.append(np.cumsum((q[order].astype(float) ** 2)[::-1])[::-1], 0) * shard.norms.max()) * (1 + 1e-9)
-    out = np.minimum(rest.astype(float), by_norm) < threshold - 1e-9 * abs(threshold)
+    out = np.minimum(rest.astype(float), by_norm) < REACH * threshold - 1e-9 * abs(threshold)
     return order, int(out.argmax()) if out.any() else len(order)
 
 
@@ -190,10 +192,10 @@ def max_score(q: np.ndarray, own: np.ndarray, shard: Shard, k: int, floors: np.n
         counts.competitive += len(at)
         for a in range(split, d, STEP_TERMS):
             terms, later = order[a : a + STEP_TERMS], order[a + STEP_TERMS :]
-            part = shard.c[at][:, terms]
+            part = shard.c[np.ix_(at, terms)]
             score = score + part @ q[i, terms]
             if len(later) and len(at) > k:
-                rest = rest - shard.squares[at][:, terms].sum(1)
+                rest = rest - (part.astype(float) ** 2).sum(1)
                 left_q = q[i, later]
                 by_block = np.maximum(left_q, 0) @ shard.high[:, later].T + np.minimum(left_q, 0) @ shard.low[:, later].T
                 most = np.minimum(by_block[shard.block[at]].astype(float), np.sqrt((left_q.astype(float) ** 2).sum() * np.maximum(rest, 0)) * (1 + 1e-9) + 1e-6)
