@@ -9,21 +9,21 @@ what it walks over are the links, and union-find joins them. One line of every
 component stays: the one that comes first by (doc_id, line number).
 
 Equal lines are one node. Blank lines are left alone. Band hashes travel as
-packed blobs by bucket, each distinct line of a sub-batch once; a candidate
-group beyond ``GROUP_LINES`` is dealt out as pairs of its parts, so that no
-task gets an unbounded group, yet every pair of lines meets. Only texts that a
-bitmap of fixed size does not rule out are moved for verification.
+packed blobs by bucket, each distinct line of a sub-batch once; large candidate
+groups are dealt in parts with common pivots, and what the pivots leave apart is
+compared part by part (``groups``). Only texts that a bitmap of fixed size does
+not rule out are moved for verification.
 
 Defined results: null text stays null and has no lines; rows with null
 ``doc_id`` come last in the order; repeated rows are one document, each keeps
 and loses the same lines; ties cannot occur otherwise; other columns stay as
-they are.
+they are, but for those named like the results, which these replace.
 """
 
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -31,16 +31,16 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from motifjoin.components import connected_components
+from motifjoin.llm import groups
 from motifjoin.llm.substring import _keys, _mixed
 from motifjoin.workspace import materialize
 
 #: Shingle length in characters; bands and rows of the signature; the similarity of a link.
 SHINGLE, BANDS, ROWS, SIMILARITY = 8, 14, 4, 0.8
-#: Characters of a sub-batch; band hashes of a bucket; buckets at least; lines of a part of a group; bits of the map of candidates.
-BATCH_CHARS, BUCKET_KEYS, LEAST_BUCKETS, GROUP_LINES, MAP_BITS = 1 << 20, 1 << 20, 64, 1024, 1 << 26
-#: Lines that are compared set by set.
-FEW_LINES = 24
+#: Characters of a sub-batch at least; band hashes of a bucket; buckets at least; bits of the map of candidates.
+BATCH_CHARS, BUCKET_KEYS, LEAST_BUCKETS, MAP_BITS = 1 << 20, 1 << 20, 64, 1 << 26
+#: With more buckets a sub-batch has this many characters per bucket, so that its blobs stay as long, up to a limit of memory.
+BUCKET_SHARE, MOST_BATCH_CHARS = 1 << 12, 1 << 24
 _EMPTY, _POLY = np.uint32(0xFFFFFFFF), np.uint32(0x01000193)
 
 
@@ -120,7 +120,7 @@ def band_keys(sig: np.ndarray, rows: int) -> np.ndarray:
 _PACKED = "key long, keys binary, lines binary"
 
 
-def _sketch(batches: Iterator[pa.RecordBatch], width: int, bands: int, rows: int, buckets: int) -> Iterator[pa.RecordBatch]:
+def _sketch(batches: Iterator[pa.RecordBatch], width: int, bands: int, rows: int, buckets: int, batch_chars: int) -> Iterator[pa.RecordBatch]:
     held: dict[int, str] = {}
     chars = 0
 
@@ -143,14 +143,14 @@ def _sketch(batches: Iterator[pa.RecordBatch], width: int, bands: int, rows: int
                 if line and not line.isspace() and (h := line_hash(line)) not in held:
                     held[h] = line
                     chars += len(line) + 8
-                    if chars >= BATCH_CHARS:
+                    if chars >= batch_chars:
                         yield flush()
     if held:
         yield flush()
 
 
 def _group(bucket: pa.Table) -> pa.Table:
-    """Lines that share a band: a sorted blob of line hashes per group, large groups as pairs of parts."""
+    """Lines that share a band, as groups of line hashes dealt in parts where they are large."""
     key = np.concatenate([np.frombuffer(x.as_py(), np.uint64) for x in bucket.column("keys")])
     line = np.concatenate([np.frombuffer(x.as_py(), np.uint64) for x in bucket.column("lines")])
     order = np.argsort(key)
@@ -164,24 +164,8 @@ def _group(bucket: pa.Table) -> pa.Table:
     keep = np.concatenate([[True], (no[1:] != no[:-1]) | (line[1:] != line[:-1])]) if len(no) else np.zeros(0, bool)
     no, line = no[keep], line[keep]
     starts = np.flatnonzero(np.concatenate([[True], no[1:] != no[:-1]])) if len(no) else np.zeros(0, int)
-    out = []
-    for a, b in zip(starts, np.append(starts[1:], len(no))):
-        if b - a > 2 * GROUP_LINES:
-            parts = [line[k : min(k + GROUP_LINES, b)] for k in range(a, b, GROUP_LINES)]
-            out += [np.concatenate([parts[i], parts[j]]).tobytes() for i in range(len(parts)) for j in range(i + 1, len(parts))]
-        elif b - a > 1:
-            out.append(line[a:b].tobytes())
-    return pa.table({"members": pa.array(out, pa.binary())})
-
-
-def _members(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Groups to rows; ``lead`` is what a group is dealt by: its first line, or a large group's own number."""
-    for batch in batches:
-        arrays = [np.frombuffer(x.as_py(), np.int64) for x in batch.column(0)]
-        sizes = [len(a) for a in arrays]
-        ids = np.array([xxhash.xxh64_intdigest(a.tobytes(), 5) for a in arrays], np.uint64).view(np.int64)
-        leads = np.array([a[0] if len(a) <= FEW_LINES else g for a, g in zip(arrays, ids)], np.int64)
-        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(leads, sizes)), pa.array(np.repeat(ids, sizes)), pa.array(np.concatenate(arrays) if arrays else np.zeros(0, np.int64))], ["lead", "grp", "h"])
+    out = [row for a, b in zip(starts, np.append(starts[1:], len(no))) for row in groups.parts_of(line[a:b])]
+    return pa.table({"members": pa.array([m for m, _ in out], pa.binary()), "gid": pa.array([g for _, g in out], pa.int64())})
 
 
 def _wanted(batches: Iterator[pa.RecordBatch], bits: np.ndarray) -> Iterator[pa.RecordBatch]:
@@ -195,136 +179,30 @@ def _wanted(batches: Iterator[pa.RecordBatch], bits: np.ndarray) -> Iterator[pa.
             at = (h % size).astype(np.int64)
             for k in np.flatnonzero(bits[at >> 3] >> (at & 7).astype(np.uint8) & 1):
                 found[int(h[k])] = lines[k]
-        yield pa.RecordBatch.from_arrays([pa.array(np.fromiter(found.keys(), np.uint64, len(found)).view(np.int64)), pa.array(list(found.values()), pa.string())], ["h", "line"])
+        yield pa.RecordBatch.from_arrays([pa.array(np.fromiter(found.keys(), np.uint64, len(found)).view(np.int64)), pa.array(list(found.values()), pa.string())], ["h", "text"])
 
 
 def shingles(line: str, width: int) -> set[str]:
     return {line[i : i + width] for i in range(max(1, len(line) - width + 1))}
 
 
-def similar_links(lines: list[str], width: int, similarity: float, cut: Callable[[str, int], set] = shingles) -> list[tuple[int, int]]:
-    """A spanning forest of the pairs of lines whose shingle sets have that Jaccard similarity.
-
-    Breadth-first over links; every line is compared with those not reached so far, so
-    connected lines are never compared again: set against set in a few lines, through an
-    index from shingles to lines in many.
-    """
-    if len(lines) <= FEW_LINES:
-        sets, open_, out = [cut(x, width) for x in lines], list(range(len(lines))), []
-        while open_:
-            queue = [open_.pop(0)]
-            while queue and open_:
-                x = queue.pop()
-                hit = []
-                for y in open_:
-                    n, m = len(sets[x]), len(sets[y])
-                    if min(n, m) >= similarity * max(n, m) - 1e-9 and (both := len(sets[x] & sets[y])) >= similarity * (n + m - both) - 1e-9:
-                        hit.append(y)
-                open_ = [y for y in open_ if y not in hit]
-                out += [(x, y) for y in hit]
-                queue += hit
-        return out
-    number: dict = {}
-    rows = [np.array([number.setdefault(g, len(number)) for g in cut(x, width)], np.int32) for x in lines]
-    size = np.array([len(r) for r in rows])
-    code, owner = np.concatenate(rows), np.repeat(np.arange(len(lines), dtype=np.int32), size)
-    n_codes = len(number)
-    del number
-
-    def index(open_: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        keep = open_[owner]
-        order = np.argsort(code[keep], kind="stable")
-        return owner[keep][order], np.searchsorted(code[keep][order], np.arange(n_codes + 1))
-
-    open_ = np.ones(len(lines), bool)
-    by, cuts = index(open_)
-    indexed, out = len(lines), []
-    for root in range(len(lines)):
-        if not open_[root]:
-            continue
-        open_[root] = False
-        queue = [root]
-        while queue and open_.any():
-            x = queue.pop()
-            if open_.sum() < indexed // 2:
-                by, cuts = index(open_)
-                indexed = int(open_.sum())
-            shared = np.bincount(np.concatenate([by[cuts[c] : cuts[c + 1]] for c in rows[x]]), minlength=len(lines))
-            hit = np.flatnonzero(open_ & (shared > 0) & (shared >= similarity * (size + size[x] - shared) - 1e-9))
-            open_[hit] = False
-            out += [(x, int(y)) for y in hit]
-            queue += hit.tolist()
-    return out
-
-
-def _verify(batches: Iterator[pa.RecordBatch], width: int, similarity: float, cut: Callable[[str, int], set] = shingles) -> Iterator[pa.RecordBatch]:
-    """Links of every group; the rows of a group follow each other, those of small groups with one first line too.
-
-    A line is in one group per band, so small groups with one first line are few: their
-    shingle sets are kept and pairs that are connected already are not compared.
-    """
-    lead_now, group, members = None, None, []
-    sets: dict[int, set] = {}
-    parent: dict[int, int] = {}
-    u, v = [], []
-
-    def root(x: int) -> int:
-        while parent.setdefault(x, x) != x:
-            parent[x] = x = parent[parent[x]]
-        return x
-
-    def settle() -> None:
-        if 1 < len(members) <= FEW_LINES:
-            for i, (x, line) in enumerate(members):
-                for y, other in members[:i]:
-                    if (p := root(x)) == (q := root(y)):
-                        continue
-                    a = sets.get(x) or sets.setdefault(x, cut(line, width))
-                    b = sets.get(y) or sets.setdefault(y, cut(other, width))
-                    if min(len(a), len(b)) >= similarity * max(len(a), len(b)) - 1e-9 and (both := len(a & b)) >= similarity * (len(a) + len(b) - both) - 1e-9:
-                        parent[p] = q
-                        u.append(x)
-                        v.append(y)
-        elif members:
-            members.sort()
-            for x, y in similar_links([line for _, line in members], width, similarity, cut):
-                u.append(members[x][0])
-                v.append(members[y][0])
-        members.clear()
-
-    for batch in batches:
-        for lead, grp, h, line in zip(*(c.to_pylist() for c in batch.columns)):
-            if grp != group or lead != lead_now:
-                settle()
-                group = grp
-                if lead != lead_now:
-                    lead_now = lead
-                    sets.clear()
-                    parent.clear()
-            members.append((h, line))
-        yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
-        u.clear()
-        v.clear()
-    settle()
-    yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
-
-
-def line_links(docs: DataFrame, width: int = SHINGLE, bands: int = BANDS, rows: int = ROWS, similarity: float = SIMILARITY) -> DataFrame:
-    """``(u, v)``: verified links between hashes of different lines, spanning each candidate group's components."""
+def line_roots(docs: DataFrame, width: int = SHINGLE, bands: int = BANDS, rows: int = ROWS, similarity: float = SIMILARITY) -> DataFrame:
+    """``(node, root)``: hashes of lines that are like another one, and their component."""
     texts = docs.select("text")
     characters = texts.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     buckets = int(max(LEAST_BUCKETS, -(-characters * bands // (100 * BUCKET_KEYS))))
-    packed = texts.mapInArrow(lambda it: _sketch(it, width, bands, rows, buckets), _PACKED)
-    groups = materialize(packed.groupBy("key").applyInArrow(_group, "members binary").distinct(), "groups")
-    members = groups.mapInArrow(_members, "lead long, grp long, h long")
-    at = F.pmod(F.col("h"), F.lit(MAP_BITS))  # as unsigned: the map's size is a power of two
-    marked = members.select(at.alias("at")).groupBy(F.shiftright("at", 15).alias("page")).agg(F.expr("bitmap_construct_agg(at & 32767)").alias("bits"))
-    bits = np.zeros(MAP_BITS // 8, np.uint8)
-    for page in marked.collect():  # of a fixed size, whatever the corpus
-        bits[page["page"] * 4096 : page["page"] * 4096 + 4096] = np.frombuffer(bytes(page["bits"]), np.uint8)
-    lines = texts.mapInArrow(lambda it: _wanted(it, bits), "h long, line string").groupBy("h").agg(F.min("line").alias("line"))
-    grouped = members.join(lines, "h").select("lead", "grp", "h", "line").repartition(F.col("lead")).sortWithinPartitions("lead", "grp")
-    return grouped.mapInArrow(lambda it: _verify(it, width, similarity), "u long, v long")
+    batch_chars = max(BATCH_CHARS, min(MOST_BATCH_CHARS, buckets * BUCKET_SHARE))
+    packed = texts.mapInArrow(lambda it: _sketch(it, width, bands, rows, buckets, batch_chars), _PACKED)
+
+    def wanted(members: DataFrame) -> DataFrame:
+        at = F.pmod(F.col("h"), F.lit(MAP_BITS))  # as unsigned: the map's size is a power of two
+        marked = members.select(at.alias("at")).groupBy(F.shiftright("at", 15).alias("page")).agg(F.expr("bitmap_construct_agg(at & 32767)").alias("bits"))
+        bits = np.zeros(MAP_BITS // 8, np.uint8)
+        for page in marked.collect():  # of a fixed size, whatever the corpus
+            bits[page["page"] * 4096 : page["page"] * 4096 + 4096] = np.frombuffer(bytes(page["bits"]), np.uint8)
+        return texts.mapInArrow(lambda it: _wanted(it, bits), "h long, text string").groupBy("h").agg(F.min("text").alias("text"))
+
+    return groups.similar_roots(packed.groupBy("key").applyInArrow(_group, groups.DEALT), wanted, width, similarity, shingles)
 
 
 def _occurrences(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -347,7 +225,7 @@ def removed_lines(docs: DataFrame, **options) -> DataFrame:
     number, tag = _keys(docs)
     rows = docs.select(number.alias("d"), tag.alias("tag"), "text")
     where = materialize(rows.mapInArrow(_occurrences, "h long, d long, tag long, no int"), "lines")
-    roots = connected_components(line_links(docs, **options)).select(F.col("node").alias("h"), "root")
+    roots = line_roots(docs, **options).select(F.col("node").alias("h"), "root")
     place = F.struct("d", "tag", "no")
     first = where.groupBy("h").agg(F.min(place).alias("first"), F.max(place).alias("last"))
     # lines with a twin of any kind: several places, or a component
@@ -358,12 +236,12 @@ def removed_lines(docs: DataFrame, **options) -> DataFrame:
     return gone.groupBy("d", "tag").agg(F.array_sort(F.collect_set("no")).alias("gone"))
 
 
-def _rewrite(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _rewrite(batches: Iterator[pa.RecordBatch], gone_name: str) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for k in range(0, batch.num_rows, 1000):
             part = batch.slice(k, 1000)
             total, lost, texts, hashes = [], [], [], []
-            for text, gone in zip(part.column("text").to_pylist(), part.column("gone").to_pylist()):
+            for text, gone in zip(part.column("text").to_pylist(), part.column(gone_name).to_pylist()):
                 lines = lines_of(text)
                 drop = set(gone or ())
                 kept = text if not drop else "\n".join(x for j, x in enumerate(lines) if j not in drop)
@@ -371,17 +249,28 @@ def _rewrite(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 lost.append(len(drop))
                 texts.append(kept)
                 hashes.append(hashlib.sha256((kept or "").encode("utf-8", "surrogatepass")).hexdigest())
-            cols = [part.column(n) for n in part.schema.names if n not in ("text", "gone")]
+            cols = [part.column(n) for n in part.schema.names if n not in ("text", gone_name)]
             made = [pa.array(texts, pa.string()), pa.array(total, pa.int64()), pa.array(lost, pa.int64()), pa.array(hashes, pa.string())]
-            yield pa.RecordBatch.from_arrays([*cols, *made], [*(n for n in part.schema.names if n not in ("text", "gone")), "text", "n_lines", "n_removed", "kept_sha256"])
+            yield pa.RecordBatch.from_arrays([*cols, *made], [*(n for n in part.schema.names if n not in ("text", gone_name)), "text", "n_lines", "n_removed", "kept_sha256"])
+
+
+RESULTS = ("n_lines", "n_removed", "kept_sha256")
 
 
 def dedup_lines(docs: DataFrame, **options) -> DataFrame:
-    """``docs`` with the lines that stay in ``text``, and ``n_lines, n_removed, kept_sha256``."""
+    """``docs`` with the lines that stay in ``text``, and ``n_lines, n_removed, kept_sha256`` (in place of columns so named)."""
     number, tag = _keys(docs)
-    gone = removed_lines(docs.select("doc_id", "text"), **options).select(F.col("d").alias("__d"), F.col("tag").alias("__tag"), "gone")
-    others = [c for c in docs.columns if c not in ("text", "n_lines", "n_removed", "kept_sha256", "gone")]
-    keyed = docs.select(*others, "text", number.alias("__d"), tag.alias("__tag"))
-    joined = keyed.join(gone, ["__d", "__tag"], "left").select(*others, "text", "gone")
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in joined.schema.fields if f.name != "gone")
-    return joined.mapInArrow(_rewrite, f"{schema}, n_lines long, n_removed long, kept_sha256 string")
+    d, t, gone = (free_name(x, docs.columns) for x in ("d", "tag", "gone"))
+    lost = removed_lines(docs.select("doc_id", "text"), **options).select(F.col("d").alias(d), F.col("tag").alias(t), F.col("gone").alias(gone))
+    others = [c for c in docs.columns if c not in ("text", *RESULTS)]
+    keyed = docs.select(*(F.col(f"`{c}`") for c in others), "text", number.alias(d), tag.alias(t))
+    joined = keyed.join(lost, [d, t], "left").drop(d, t)
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in joined.schema.fields if f.name not in ("text", gone))
+    return joined.mapInArrow(lambda it: _rewrite(it, gone), f"{schema}, text string, n_lines long, n_removed long, kept_sha256 string")
+
+
+def free_name(name: str, taken: list[str]) -> str:
+    """A column name like ``name`` that is not taken, whatever its case."""
+    while name.lower() in {c.lower() for c in taken}:
+        name = f"_{name}"
+    return name

@@ -2,7 +2,7 @@
 
 Documents of a source, in the order of a keyed hash, form one stream of words,
 cut into fixed-length blocks numbered from 0. The mix is a row of slots of one
-block each, dealt to output shards. Every shard draws multinomial source counts
+block each, dealt to output shards; ``packed_blocks`` returns them with their words. Every shard draws multinomial source counts
 for its slots; what a source has left over or lacks against its total is settled
 in the last draws, so that every source gives exactly its number of slots. The
 i-th slot of a source takes block ``perm(i mod n)``, with a keyed permutation of
@@ -25,6 +25,7 @@ are separate documents; other columns are ignored.
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator, Sequence
 
 import numpy as np
@@ -117,35 +118,42 @@ def _draw_shards(batches: Iterator[pa.RecordBatch], shard_slots: int, per_group:
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], ["shard", "source_no", "slot", "block"])
 
 
+#: What makes rows of documents interchangeable: they are placed together and told apart only by number.
+_ALIKE = ("doc_id", "source", "tag")
+
+
 def document_sizes(docs: DataFrame) -> DataFrame:
-    """``(doc_key, doc_id, source, size)``, one row per document."""
-    return docs.select("doc_id", "source", word_count(F.col("text")).alias("size"))
+    """``(doc_id, source, tag, size, copies)``: one row for all rows of one id, source and text; ``tag`` is the text's hash."""
+    rows = docs.select("doc_id", "source", F.xxhash64("text").alias("tag"), word_count(F.col("text")).alias("size"))
+    return rows.groupBy(*_ALIKE, "size").agg(F.count(F.lit(1)).alias("copies"))
 
 
 def source_streams(sizes: DataFrame, seed: int) -> DataFrame:
-    """Each document's place in its source's stream of words: ``at`` .. ``at + size``."""
-    n = sizes.count()
-    buckets = max(1, -(-n // BUCKET_DOCS))
-    dealt = sizes.withColumn("bucket", F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.lit(buckets)))
-    order = Window.partitionBy("source", "bucket").orderBy(F.xxhash64("doc_id", F.lit(seed + 1)), "doc_id", "size")
-    placed = dealt.withColumn("at", F.sum("size").over(order.rowsBetween(Window.unboundedPreceding, -1))).fillna({"at": 0})
-    tops = dealt.groupBy("source", "bucket").agg(F.sum("size").alias("words"))
+    """Each document's place in its source's stream of words: ``at`` .. ``at + size``, copies one after another.
+
+    Buckets go by id and text, so that neither null ids nor one repeated id make a large one.
+    """
+    buckets = max(1, -(-sizes.count() // BUCKET_DOCS))
+    dealt = sizes.withColumn("bucket", F.pmod(F.xxhash64("doc_id", "tag", F.lit(seed)), F.lit(buckets))).withColumn("words", F.col("size") * F.col("copies"))
+    order = Window.partitionBy("source", "bucket").orderBy(F.xxhash64("doc_id", "tag", F.lit(seed + 1)), "doc_id", "tag", "size")
+    placed = dealt.withColumn("at", F.coalesce(F.sum("words").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
+    tops = dealt.groupBy("source", "bucket").agg(F.sum("words").alias("words"))
     before = Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
     tops = tops.select(F.col("source").alias("s"), F.col("bucket").alias("b"), F.coalesce(F.sum("words").over(before), F.lit(0)).alias("base"))
     joined = placed.join(tops, F.col("source").eqNullSafe(F.col("s")) & (F.col("bucket") == F.col("b")))
-    return joined.select("doc_id", "source", "size", (F.col("at") + F.col("base")).alias("at"))
+    return joined.select(*_ALIKE, "size", "copies", (F.col("at") + F.col("base")).alias("at"))
 
 
 def mix(docs: DataFrame, weights: Sequence[float] = (5, 2, 1), cap: float = 3.0, block_words: int = BLOCK_WORDS, shard_slots: int = SHARD_SLOTS, seed: int = 17, max_sources: int = 100_000) -> tuple[DataFrame, DataFrame, DataFrame]:
     """The mix: ``(placed documents, sources, slots)``.
 
-    ``placed``: ``doc_id, source_no, size, at`` per document; ``sources``:
+    ``placed``: ``doc_id, source, tag, source_no, size, copies, at`` per document (``copies`` alike rows from ``at`` on); ``sources``:
     ``source, source_no, source_size, target, n_blocks, n_slots``; ``slots``:
     ``shard, source_no, slot, block``, the block that every slot holds.
     """
     spark = docs.sparkSession
     placed = materialize(source_streams(materialize(document_sizes(docs), "sizes"), seed), "placed")
-    per = placed.groupBy("source").agg(F.sum("size").alias("source_size")).limit(max_sources + 1).collect()
+    per = placed.groupBy("source").agg(F.sum(F.col("size") * F.col("copies")).alias("source_size")).limit(max_sources + 1).collect()
     if len(per) > max_sources:
         raise ValueError(f"more than {max_sources} sources")
     per = sorted(per, key=lambda r: (r["source"] is None, r["source"] or ""))
@@ -166,8 +174,14 @@ def mix(docs: DataFrame, weights: Sequence[float] = (5, 2, 1), cap: float = 3.0,
     return placed.join(F.broadcast(sources.select(F.col("source").alias("s"), "source_no")), F.col("source").eqNullSafe(F.col("s"))).drop("s"), sources, slot_rows
 
 
+def each_copy(placed: DataFrame) -> DataFrame:
+    """``placed`` with a row per document, copies at places of their own."""
+    copy = F.explode(F.sequence(F.lit(0).cast("long"), F.col("copies") - 1))
+    return placed.withColumn("copy", copy).withColumn("at", F.col("at") + F.col("copy") * F.col("size")).drop("copy", "copies")
+
+
 def document_pieces(placed: DataFrame, block_words: int = BLOCK_WORDS) -> DataFrame:
-    """``placed`` with a row per block that a document reaches into: ``block``, words ``start`` .. ``end`` of the document."""
+    """Documents with a row per block that they reach into: ``block``, words ``start`` .. ``end`` of the document."""
     some = placed.filter("size > 0")
     first, last = F.floor(F.col("at") / block_words), F.floor((F.col("at") + F.col("size") - 1) / block_words)
     cut = some.withColumn("block", F.explode(F.sequence(first, last)))
@@ -177,10 +191,49 @@ def document_pieces(placed: DataFrame, block_words: int = BLOCK_WORDS) -> DataFr
 def taken_words(docs: DataFrame, block_words: int = BLOCK_WORDS, **options) -> DataFrame:
     """``(doc_id, size, source_size, target, taken)`` for every document."""
     placed, sources, slots = mix(docs, block_words=block_words, **options)
-    placed = placed.withColumn("row", F.monotonically_increasing_id())
-    placed = materialize(placed, "rows")
+    placed = materialize(each_copy(placed).withColumn("row", F.monotonically_increasing_id()), "rows")
     times = slots.groupBy("source_no", "block").agg(F.count(F.lit(1)).alias("times"))
     pieces = document_pieces(placed.select("row", "source_no", "size", "at"), block_words).select("row", "source_no", "block", (F.col("end") - F.col("start")).alias("words"))
     got = pieces.join(times, ["source_no", "block"]).groupBy("row").agg(F.sum(F.col("words") * F.col("times")).alias("got"))
     out = placed.join(got, "row", "left").join(F.broadcast(sources.select("source_no", "source_size", "target")), "source_no")
     return out.select("doc_id", "size", "source_size", "target", F.coalesce("got", F.lit(0)).cast("long").alias("taken"))
+
+
+_WORD = re.compile(r"[^\x20\x09-\x0D]+")
+_PIECE = [("source_no", pa.int64()), ("block", pa.int64()), ("at", pa.int64()), ("words", pa.string())]
+
+
+def _pack(batches: Iterator[pa.RecordBatch], block_words: int) -> Iterator[pa.RecordBatch]:
+    """Documents (id, text, source number, copies, place) cut at the block boundaries of their source's stream."""
+    for batch in batches:
+        for i in range(0, batch.num_rows, 500):
+            part = batch.slice(i, 500)
+            row, made = [], []
+            for k, (text, source, copies, at) in enumerate(zip(*(part.column(n).to_pylist() for n in ("text", "source_no", "copies", "at")))):
+                words = _WORD.findall(text or "")
+                for copy in range(copies if words else 0):
+                    place = at + copy * len(words)
+                    cuts = [0, *range(block_words - place % block_words, len(words), block_words), len(words)]
+                    made += [(source, (place + a) // block_words, place + a, " ".join(words[a:b])) for a, b in zip(cuts, cuts[1:])]
+                    row += [k] * (len(cuts) - 1)
+            cols = [pa.array([m[c] for m in made], t) for c, (_, t) in enumerate(_PIECE)]
+            yield pa.RecordBatch.from_arrays([part.column("doc_id").take(pa.array(row, pa.int64())), *cols], ["doc_id", *(n for n, _ in _PIECE)])
+
+
+def packed_blocks(docs: DataFrame, block_words: int = BLOCK_WORDS, **options) -> DataFrame:
+    """The mixed corpus: ``(shard, slot, source, block, doc_ids, n_words, text)``, a row per slot of an output shard.
+
+    ``text`` is the block that the slot holds, its words joined by one space; ``doc_ids`` the documents that they
+    are of, in order. A text moves to its place once and in pieces to its blocks once; slots and blocks meet by index.
+    """
+    placed, sources, slots = mix(docs, block_words=block_words, **options)
+    texts = docs.select("doc_id", "source", F.xxhash64("text").alias("tag"), "text").filter(word_count(F.col("text")) > 0).dropDuplicates(list(_ALIKE))
+    here = placed.select(*(F.col(c).alias(f"p_{c}") for c in _ALIKE), "source_no", "copies", "at")
+    whole = texts.join(here, F.col("doc_id").eqNullSafe(F.col("p_doc_id")) & F.col("source").eqNullSafe(F.col("p_source")) & (F.col("tag") == F.col("p_tag")))
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    pieces = whole.select("doc_id", "text", "source_no", "copies", "at").mapInArrow(lambda it: _pack(it, block_words), f"doc_id {kind}, source_no long, block long, at long, words string")
+    held = pieces.groupBy("source_no", "block").agg(F.array_sort(F.collect_list(F.struct("at", "words", "doc_id"))).alias("has"))  # at most block_words pieces
+    blocks = held.select("source_no", "block", F.array_distinct("has.doc_id").alias("doc_ids"), F.array_join("has.words", " ").alias("text"))
+    named = F.broadcast(sources.select("source_no", "source"))  # one row per source, whose number mix checks
+    out = slots.join(blocks, ["source_no", "block"]).join(named, "source_no")
+    return out.select("shard", "slot", "source", "block", "doc_ids", (F.size(F.split("text", " "))).cast("long").alias("n_words"), "text")

@@ -3,10 +3,12 @@ import random
 from collections import defaultdict
 
 import numpy as np
+import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
+from motifjoin.llm import groups, queries
 from motifjoin.llm import linededup as ld
-from motifjoin.llm import queries
 
 
 def grams(line, width=ld.SHINGLE):
@@ -64,7 +66,7 @@ def test_query_equals_all_pairs(spark, sf):
 
 @pytest.mark.parametrize("few", [0, 10**6])
 def test_links_are_exact(monkeypatch, few):
-    monkeypatch.setattr(ld, "FEW_LINES", few)
+    monkeypatch.setattr(groups, "FEW_ROWS", few)
     rng = random.Random(7)
     base = ["".join(rng.choice("abcdef ") for _ in range(rng.randrange(5, 120))) for _ in range(40)]
     lines = sorted({"".join(c if rng.random() > p else "z" for c in x) for x in base for p in (0, 0, 0.005, 0.02, 0.1)})
@@ -76,7 +78,7 @@ def test_links_are_exact(monkeypatch, few):
             x = root[x]
         return x
 
-    for a, b in ld.similar_links(lines, ld.SHINGLE, 0.8):
+    for a, b in groups.similar_links(lines, ld.SHINGLE, 0.8, ld.shingles):
         assert find(lines[a]) != find(lines[b])
         p, q = find(lines[a]), find(lines[b])
         root[max(p, q)] = min(p, q)
@@ -100,7 +102,8 @@ def test_candidates_have_high_recall():
 
 @pytest.mark.parametrize("parts", [2, 4096])
 def test_odd_rows_and_large_groups(spark, monkeypatch, parts):
-    monkeypatch.setattr(ld, "GROUP_LINES", parts)
+    monkeypatch.setattr(groups, "GROUP_ROWS", parts)
+    monkeypatch.setattr(groups, "PIVOTS", 3)
     long = "the one long line that many documents hold with some words of their own "
     rows = [(i, f"{long}{i}\nown {i} {'xyz' * i}\n\n  \nshort") for i in range(30)]
     rows += [(50, None), (51, ""), (None, f"{long}7\nnull line here"), (52, "a\nb\na"), (53, "a\nq"), (53, "a\nq"), (54, "w" * 150_000 + "\nshort"), (55, "\n\n")]
@@ -109,3 +112,37 @@ def test_odd_rows_and_large_groups(spark, monkeypatch, parts):
     assert got(out) == brute(rows) and {"h", "d"} <= set(out.columns)
     assert [r.text for r in out.filter("doc_id = 50").collect()] == [None]
     assert ld.dedup_lines(df.limit(0)).count() == 0
+
+
+def test_a_key_of_a_million_lines_is_dealt_in_linear_space():
+    n = 1_000_000
+    lines = np.random.default_rng(1).permutation(n).astype(np.uint64)
+    bucket = pa.table({"keys": pa.array([np.full(n, 5, np.uint64).tobytes()], pa.binary()), "lines": pa.array([lines.tobytes()], pa.binary())})
+    before = pa.total_allocated_bytes()
+    out = ld._group(bucket)
+    assert out.nbytes < 2 * lines.nbytes and pa.total_allocated_bytes() - before < 4 * lines.nbytes
+    parts = [np.frombuffer(x.as_py(), np.int64) for x in out.column("members")]
+    assert max(map(len, parts)) <= groups.GROUP_ROWS + groups.PIVOTS and len(set(out.column("gid").to_pylist())) == 1
+    assert len(np.unique(np.concatenate(parts))) == n
+
+
+def test_unlike_lines_of_one_key_are_all_compared(spark, monkeypatch):
+    """Three kinds of line in one group: the pivots know one, pairs of parts find the links inside and between the rest."""
+    monkeypatch.setattr(groups, "GROUP_ROWS", 4)
+    monkeypatch.setattr(groups, "PIVOTS", 2)
+    rng = random.Random(9)
+    bases = ["".join(rng.choice("abcdefgh ") for _ in range(150)) for _ in range(12)]
+    lines = sorted({b[:k] + "#" + b[k + 1 :] for b in bases for k in range(0, 150, 11)} | set(bases))
+    h = {np.int64(np.uint64(ld.line_hash(x)).view(np.int64)).item(): x for x in lines}
+    dealt = spark.createDataFrame([(bytearray(m), g) for m, g in groups.parts_of(np.array(sorted(h), np.int64))], groups.DEALT)
+    texts = spark.createDataFrame(list(h.items()), "h long, text string")
+    got_ = {r.node: r.root for r in groups.similar_roots(dealt, lambda m: texts, ld.SHINGLE, 0.8, ld.shingles).collect()}
+    want = components(lines, 0.8)
+    of = {x: got_.get(k, k) for k, x in h.items()}
+    assert len({(of[x], want[x]) for x in lines}) == len(set(of.values())) == len(set(want.values())) == 12
+
+
+def test_columns_named_like_results_are_replaced(spark):
+    df = spark.createDataFrame([(1, "a\na", 5, "g", "t"), (2, "b", 6, "h", "u")], "doc_id long, text string, n_lines int, gone string, tag string").withColumn("d", F.lit(3)).withColumn("__d", F.lit(4))
+    out = {r.doc_id: r for r in ld.dedup_lines(df).collect()}
+    assert out[1].text == "a" and out[1].n_lines == 2 and (out[1].gone, out[1].tag, out[1].d, out[1]["__d"]) == ("g", "t", 3, 4) and out[2].n_lines == 1
