@@ -2,11 +2,12 @@
 
 Every stage takes (spark, docs, sf_dir), works on all that the stage before it
 kept and returns the columns of ``documents``, but for the last, which returns
-the mix: per document its size, its source's size and target, and the words taken.
+the mixed corpus: per slot of an output shard its block of words and their documents.
 
-Null ``doc_id``: such documents go through every stage; the near-duplicate stage
-cannot name them, so they stay. Repeated rows: one of those that share a
-``doc_id`` stays in the near-duplicate stage.
+Null ``doc_id``: such documents go through every stage and come last where an order
+decides which one stays. Repeated rows are documents of one group in the
+near-duplicate stage: one of them stays; rows of one ``doc_id`` and different texts
+are different documents.
 """
 
 from __future__ import annotations
@@ -16,7 +17,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from motifjoin.llm import decontaminate, linededup, mixing, neardup, quality
+from motifjoin.llm import decontaminate, linededup, mixing, quality, simhash
 from motifjoin.workspace import materialize
 
 
@@ -34,9 +35,7 @@ def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The first document of every group that links of five-word shingle similarity 0.8 or more join."""
-    first = neardup.similar_documents(docs).select(F.col("component_id").alias("doc_id")).filter("doc_id is not null").distinct()
-    numbered = docs.join(first, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return numbered.unionByName(docs.filter("doc_id is null")).select(*docs.columns)
+    return simhash.one_of_each(docs)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -45,14 +44,14 @@ def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Words that the mix takes of every document."""
-    return mixing.taken_words(docs)
+    """The mixed corpus: packed blocks of words, a row per slot of an output shard."""
+    return mixing.packed_blocks(docs)
 
 
 STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
     ("quality classifier", keep_quality),
     ("line dedup", drop_repeated_lines),
-    ("near-dedup", keep_one_of_each_group),
+    ("SimHash near-dedup", keep_one_of_each_group),
     ("benchmark decontamination", drop_contaminated),
     ("mixing sources", mix_sources),
 ]
