@@ -192,7 +192,7 @@ def taken_words(docs: DataFrame, block_words: int = BLOCK_WORDS, **options) -> D
     """``(doc_id, size, source_size, target, taken)`` for every document."""
     placed, sources, slots = mix(docs, block_words=block_words, **options)
     placed = materialize(each_copy(placed).withColumn("row", F.monotonically_increasing_id()), "rows")
-    times = slots.groupBy("source_no", "block").agg(F.count(F.lit(1)).alias("times"))
+    times = slots.groupBy("source_no", "block").agg(F.count(F.lit(1)).alias("times")).hint("merge")
     pieces = document_pieces(placed.select("row", "source_no", "size", "at"), block_words).select("row", "source_no", "block", (F.col("end") - F.col("start")).alias("words"))
     got = pieces.join(times, ["source_no", "block"]).groupBy("row").agg(F.sum(F.col("words") * F.col("times")).alias("got"))
     out = placed.join(got, "row", "left").join(F.broadcast(sources.select("source_no", "source_size", "target")), "source_no")
@@ -228,12 +228,12 @@ def packed_blocks(docs: DataFrame, block_words: int = BLOCK_WORDS, **options) ->
     """
     placed, sources, slots = mix(docs, block_words=block_words, **options)
     texts = docs.select("doc_id", "source", F.xxhash64("text").alias("tag"), "text").filter(word_count(F.col("text")) > 0).dropDuplicates(list(_ALIKE))
-    here = placed.select(*(F.col(c).alias(f"p_{c}") for c in _ALIKE), "source_no", "copies", "at")
+    here = placed.select(*(F.col(c).alias(f"p_{c}") for c in _ALIKE), "source_no", "copies", "at").hint("merge")  # grows with the corpus: never broadcast
     whole = texts.join(here, F.col("doc_id").eqNullSafe(F.col("p_doc_id")) & F.col("source").eqNullSafe(F.col("p_source")) & (F.col("tag") == F.col("p_tag")))
     kind = docs.schema["doc_id"].dataType.simpleString()
     pieces = whole.select("doc_id", "text", "source_no", "copies", "at").mapInArrow(lambda it: _pack(it, block_words), f"doc_id {kind}, source_no long, block long, at long, words string")
     held = pieces.groupBy("source_no", "block").agg(F.array_sort(F.collect_list(F.struct("at", "words", "doc_id"))).alias("has"))  # at most block_words pieces
     blocks = held.select("source_no", "block", F.array_distinct("has.doc_id").alias("doc_ids"), F.array_join("has.words", " ").alias("text"))
     named = F.broadcast(sources.select("source_no", "source"))  # one row per source, whose number mix checks
-    out = slots.join(blocks, ["source_no", "block"]).join(named, "source_no")
+    out = slots.hint("merge").join(blocks, ["source_no", "block"]).join(named, "source_no")
     return out.select("shard", "slot", "source", "block", "doc_ids", (F.size(F.split("text", " "))).cast("long").alias("n_words"), "text")
