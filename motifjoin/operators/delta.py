@@ -4,6 +4,11 @@ Rule i joins the changes of atom i with the new versions of the atoms before it
 and the old versions of those after it. Its order starts with the changed
 atom's attributes, so its seeds are the changes, and prefixes carry their sign.
 The union of the rules, summed by match, is new result minus old result.
+
+Rules grow from the changes: as long as prefixes are few they are sent to the indices,
+which are base and log of each relation and stay where they are, so that what moves
+follows the changes and not the relations. Rules whose first extension is the same but
+for names (symmetric atoms of one relation) compute it once.
 """
 
 from __future__ import annotations
@@ -16,14 +21,18 @@ from pyspark.sql import functions as F
 from motifjoin.operators import extend as ex
 from motifjoin.operators.index import IndexCatalog
 from motifjoin.operators.static_join import _as_prefixes, run_stages
-from motifjoin.operators.versions import VersionedRelation, apply_delta, normalize_delta
+from motifjoin.operators.versions import BROADCAST_ROWS, VersionedRelation, apply_delta, normalize_delta
 from motifjoin.plans.query import JoinQuery, clean
-from motifjoin.plans.stages import DeltaRule, compile_stages, delta_rules
+from motifjoin.plans.stages import DeltaRule, Stage, compile_stages, delta_rules
 from motifjoin.workspace import materialize
 
 
-def rule_changes(query: JoinQuery, rule: DeltaRule, catalog: IndexCatalog, changes: Mapping[str, DataFrame], *, counts: str = "chain", engine: str = "pipelined", **options) -> DataFrame:
-    """Signed matches of one rule: the query's attributes and ``w``."""
+def rule_changes(query: JoinQuery, rule: DeltaRule, catalog: IndexCatalog, changes: Mapping[str, DataFrame], *, counts: str = "chain", engine: str = "pipelined", shared: dict | None = None, few: int = BROADCAST_ROWS, **options) -> DataFrame:
+    """Signed matches of one rule: the query's attributes and ``w``.
+
+    ``engine``: ``pipelined`` (small prefixes go to the indices, ``few`` at most), ``joined`` (one
+    plan of ordinary joins) or ``balanced``. ``shared`` keeps first extensions for other rules.
+    """
     atom = query.atoms[rule.lead]
     delta = changes[atom.relation]
     cols = [f"c{k}" for k in range(len(atom.attrs))]
@@ -47,7 +56,29 @@ def rule_changes(query: JoinQuery, rule: DeltaRule, catalog: IndexCatalog, chang
         from motifjoin.operators.balanced import balanced_stages
 
         return balanced_stages(rows, stages, catalog, **options).select(*(query.order or query.attrs), "w")
-    return run_stages(rows, stages, catalog, counts=counts, **options).select(*(query.order or query.attrs), "w")
+    if engine == "pipelined" and counts == "chain" and not options:
+        plain = len(names) == len(atom.attrs) and not inside and not (stages and stages[0].filters) and not any({f[0], f[2]} <= head for f in query.filters)
+        rows = grow(rows, stages, catalog, names if plain else None, atom.relation, {} if shared is None else shared, few)
+    else:
+        rows = run_stages(rows, stages, catalog, counts=counts, **options)
+    return rows.select(*(query.order or query.attrs), "w")
+
+
+def grow(rows: DataFrame, stages: list[Stage], catalog: IndexCatalog, names: list[str] | None, relation: str, shared: dict, few: int) -> DataFrame:
+    """Run stages from changes; the first one is looked up in ``shared`` by what it reads, with ``names`` as positions."""
+    for k, stage in enumerate(stages):
+        key = None
+        if k == 0 and names:
+            key = (relation, tuple(sorted((u.index_id, tuple(names.index(a) for a in u.key_attrs)) for u in stage.uses)))
+            if key in shared:
+                rows = shared[key].toDF(*names, "w", stage.attr)
+                continue
+        rows = materialize(rows, "prefixes")
+        rows = ex.extend_few(rows, stage, catalog, few) if rows.count() <= few else ex.extend(rows, stage, catalog)
+        if key:
+            shared[key] = materialize(rows.select(*names, "w", stage.attr), "first")
+            rows = shared[key]
+    return rows
 
 
 def delta_join(query: JoinQuery, old: Mapping[str, DataFrame], changes: Mapping[str, DataFrame], *, net: bool = True, normalized: bool = False, share: bool = True, **options) -> DataFrame:
@@ -67,10 +98,11 @@ def delta_join(query: JoinQuery, old: Mapping[str, DataFrame], changes: Mapping[
         deltas[name] = named if normalized else normalize_delta(df, named)
         if share:
             deltas[name] = materialize(deltas[name], "delta")
-        news[name] = materialize(apply_delta(df, deltas[name]), "new") if share else apply_delta(df, deltas[name])
+        news[name] = apply_delta(df, deltas[name], deltas[name].count() if share else None)
     catalog = IndexCatalog({(n, "old"): d for n, d in olds.items()} | {(n, "new"): d for n, d in news.items()})
     rules = [r for r in delta_rules(query) if query.atoms[r.lead].relation in changes]
-    parts = [rule_changes(query, r, catalog, deltas, **options).withColumn("rule", F.lit(r.lead)) for r in rules]
+    first: dict = {}
+    parts = [rule_changes(query, r, catalog, deltas, shared=first, **options).withColumn("rule", F.lit(r.lead)) for r in rules]
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)
@@ -99,25 +131,39 @@ class DeltaEngine:
             self.stores[name].preload(df)
 
     def stage(self, version: int, changes: Mapping[str, DataFrame]) -> DataFrame:
-        """Stage a version and return its changes of the result, uncommitted."""
-        before = {n: s.version for n, s in self.stores.items()}
-        deltas = {n: self.stores[n].stage(version, df) for n, df in changes.items()}
-        views = {(n, "old"): s.as_of(before[n]) for n, s in self.stores.items()} | {(n, "new"): s.as_of(max(version, before[n]) if n in deltas else before[n]) for n, s in self.stores.items()}
-        catalog = IndexCatalog(views)
-        parts = [rule_changes(self.query, r, catalog, deltas, **self.options) for r in delta_rules(self.query) if self.query.atoms[r.lead].relation in deltas]
+        """Stage a version in every store and return its changes of the result, uncommitted.
+
+        Stores without changes get an empty log, so that all have one version after the commit. A
+        store that has the version already, from a commit that broke off, keeps its changes.
+        """
+        deltas = {}
+        for name, store in self.stores.items():
+            if store.version < version:
+                given = changes.get(name)
+                cols = store.as_of(store.version).columns
+                store.stage(version, store.as_of(store.version).limit(0).withColumn("w", F.lit(1)) if given is None else given.toDF(*cols, "w"))
+            if (log := store.changes(version)) is None:
+                raise RuntimeError(f"the changes of version {version} of {name} are compacted away")
+            deltas[name] = log
+        catalog = IndexCatalog({}, views={(n, side): (s, v) for n, s in self.stores.items() for side, v in (("old", version - 1), ("new", version))})
+        self.shared = {}
+        rules = [r for r in delta_rules(self.query) if self.query.atoms[r.lead].relation in changes]
+        parts = [rule_changes(self.query, r, catalog, deltas, shared=self.shared, **self.options) for r in rules]
         out = parts[0]
         for p in parts[1:]:
             out = out.unionByName(p)
         return materialize(net_changes(out), "changes")
 
     def commit(self, version: int) -> None:
+        """Commit the version in every store, then fold long logs: a store that is behind is found by its version."""
+        for s in self.stores.values():
+            s.commit(version, compact=False)
         for s in self.stores.values():
-            if s._staged.get(version) is not None:
-                s.commit(version)
+            s.compact_if_long()
 
     def apply(self, version: int, changes: Mapping[str, DataFrame]) -> DataFrame:
-        """Changes of the result for one batch; a version that is committed already gives none."""
-        if all(s.version >= version for n, s in self.stores.items() if n in changes):
+        """Changes of the result for one batch; a version that is committed everywhere already gives none."""
+        if all(s.version >= version for s in self.stores.values()):
             return self.stage_empty()
         out = self.stage(version, changes)
         self.commit(version)
@@ -142,4 +188,4 @@ def delta_bootstrap(query: JoinQuery, edges: DataFrame, batches: int = 4, name:
     return net_changes(out).filter("w > 0").drop("w")
 
 
-__all__ = ["DeltaEngine", "delta_bootstrap", "delta_join", "ex", "net_changes", "rule_changes"]
+__all__ = ["DeltaEngine", "delta_bootstrap", "delta_join", "ex", "grow", "net_changes", "rule_changes"]

@@ -94,33 +94,53 @@ def carry_counts(rows: DataFrame, attr: str, stages: list[Stage], catalog: Index
     return rows
 
 
-def propose(triples: DataFrame, stage: Stage, catalog: IndexCatalog, how: str = "auto", hint: str | None = None) -> DataFrame:
+def propose(triples: DataFrame, stage: Stage, catalog: IndexCatalog, how: str = "auto", hint: str | None = None, few: str | None = None) -> DataFrame:
     """Candidates from the smallest set of each prefix.
 
     ``tagged``: one join of all prefixes with all proposing indices together, on the
-    proposer's number and key (needs keys of one column each); ``branches``: a filter,
-    a join and a union branch per index; ``auto``: the first that fits.
+    proposer's number and key, composite keys as one struct; ``branches``: a filter,
+    a join and a union branch per index; ``auto``: the first. ``few`` is a hint for the prefixes.
     """
     uses = stage.uses
     if len(uses) == 1:
-        return _enumerate(triples.drop(MIN_C, MIN_I), uses[0], stage, catalog, hint).withColumn(MIN_I, F.lit(0))
-    if how == "branches" or how == "auto" and any(len(_keys(u)) != 1 for u in uses):
-        parts = [_enumerate(triples.filter(F.col(MIN_I) == i).drop(MIN_C), u, stage, catalog, hint) for i, u in enumerate(uses)]
+        return _enumerate(_hinted(triples.drop(MIN_C, MIN_I), few), uses[0], stage, catalog, hint).withColumn(MIN_I, F.lit(0))
+    if how == "branches" or any(not _keys(u) for u in uses):
+        parts = [_enumerate(_hinted(triples.filter(F.col(MIN_I) == i).drop(MIN_C), few), u, stage, catalog, hint) for i, u in enumerate(uses)]
         out = parts[0]
         for p in parts[1:]:
             out = out.unionByName(p)
         return out
-    # uses of one index share its rows: number the distinct indices
-    ids = list(dict.fromkeys(u.index_id for u in uses))
-    number, key = F.lit(None).cast("int"), F.lit(None)
+    # uses of one index share its rows: number the distinct indices; keys of fewer columns are filled up with nulls
+    ids = list(dict.fromkeys((u.index_id, _repeats(u)) for u in uses))
+    width = max(len(_keys(u)) for u in uses)
+    fill = [F.lit(None)]
+    number = F.lit(None).cast("int")
+    keys = fill * width
     for i, u in enumerate(uses):
-        number = F.when(F.col(MIN_I) == i, F.lit(ids.index(u.index_id))).otherwise(number)
-        key = F.when(F.col(MIN_I) == i, F.col(u.key_attrs[0])).otherwise(key)
-    frames = [catalog.get(i).members.select(F.lit(n).alias("__n"), F.col("__k0").alias("__key"), F.col("__ext").alias(stage.attr)) for n, i in enumerate(ids)]
+        mine = [F.col(a) for a in _keys(u)] + fill * width
+        number = F.when(F.col(MIN_I) == i, F.lit(ids.index((u.index_id, _repeats(u))))).otherwise(number)
+        keys = [F.when(F.col(MIN_I) == i, m).otherwise(k) for m, k in zip(mine, keys)]
+    names = [f"__key{k}" for k in range(width)]
+    frames = []
+    for n, (index_id, _) in enumerate(ids):
+        use = next(u for u in uses if (u.index_id, _repeats(u)) == ids[n])
+        rows = _members(use, stage, catalog)
+        cols = ([F.col(a) for a in _keys(use)] + fill * width)[:width]
+        frames.append(rows.select(F.lit(n).alias("__n"), *(c.alias(k) for c, k in zip(cols, names)), F.col(stage.attr)))
     rows = frames[0]
     for f in frames[1:]:
         rows = rows.unionByName(f)
-    return triples.drop(MIN_C).withColumn("__n", number).withColumn("__key", key).join(_hinted(rows, hint), ["__n", "__key"]).drop("__n", "__key")
+    tagged = triples.drop(MIN_C).withColumn("__n", number).withColumns(dict(zip(names, keys)))
+    rows = rows.toDF("__rn", *(f"__r{k}" for k in names), stage.attr)
+    same = F.col("__n") == F.col("__rn")
+    for k, name in enumerate(names):  # a key column that an index lacks is null on both sides
+        same = same & (F.col(name) == F.col(f"__r{name}") if k == 0 else F.col(name).eqNullSafe(F.col(f"__r{name}")))
+    return _hinted(tagged, few).join(_hinted(rows, hint), same).drop("__n", "__rn", *names, *(f"__r{k}" for k in names))
+
+
+def _repeats(use: AtomUse) -> tuple[int, ...]:
+    """Where the key's attributes repeat: uses of one index differ if that differs."""
+    return tuple(use.key_attrs.index(a) for a in use.key_attrs)
 
 
 def _enumerate(rows: DataFrame, use: AtomUse, stage: Stage, catalog: IndexCatalog, hint: str | None) -> DataFrame:
@@ -136,6 +156,30 @@ def intersect(candidates: DataFrame, stage: Stage, catalog: IndexCatalog, hint:
     return candidates.drop(MIN_I)
 
 
+def extend_few(prefixes: DataFrame, stage: Stage, catalog: IndexCatalog, most: int) -> DataFrame:
+    """``extend`` for stored prefixes that are few: up to ``most`` rows go to the indices, which stay where they are.
+
+    Counts are looked up for the prefixes' distinct keys; candidates are stored and counted, and
+    sent to the other indices if they are few too, else joined as usual.
+    """
+    triples = init_triples(prefixes)
+    if len(stage.uses) > 1:
+        for i, use in enumerate(stage.uses):
+            if not use.key_attrs:
+                triples = _with_count(triples, use, catalog, "__c", None)
+            else:
+                index, keys = catalog.get(use.index_id), prefixes.select(*(F.col(a).alias(k) for a, k in zip(use.key_attrs, (f"__k{j}" for j in range(len(use.key_attrs)))))).distinct()
+                triples = triples.join(_on(use, index.counts_of(F.broadcast(keys))).withColumnRenamed("__cnt", "__c"), _keys(use))
+            smaller = F.col("__c") < F.col(MIN_C)
+            triples = triples.withColumn(MIN_I, F.when(smaller, F.lit(i)).otherwise(F.col(MIN_I))).withColumn(MIN_C, F.least(MIN_C, "__c")).drop("__c")
+    found = materialize(propose(triples, stage, catalog, few="broadcast"), "candidates")
+    if len(stage.uses) > 1 and found.count() <= most:
+        for use in stage.uses:  # members are distinct, so an inner join keeps each candidate once
+            found = F.broadcast(found).join(_members(use, stage, catalog), [*_keys(use), stage.attr])
+        return apply_filters(found.drop(MIN_I), stage)
+    return apply_filters(intersect(found, stage, catalog), stage)
+
+
 def apply_filters(rows: DataFrame, stage: Stage) -> DataFrame:
     for left, op, right in stage.filters:
         rows = rows.filter(F.expr(f"`{left}` {op} `{right}`"))

@@ -15,6 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
+from motifjoin.operators.versions import VersionedRelation
 from motifjoin.plans.stages import Stage
 from motifjoin.workspace import materialize
 
@@ -47,6 +48,10 @@ class ExtensionIndex:
             self._counts = self.members.groupBy(*self.keys).agg(F.count(F.lit(1)).alias("__cnt")) if self.keys else self.members.agg(F.count(F.lit(1)).alias("__cnt"))
         return self._counts
 
+    def counts_of(self, keys: DataFrame) -> DataFrame:
+        """Counts of some distinct keys only; sent to every task, they spare the index a shuffle."""
+        return self.members.join(keys, self.keys).groupBy(*self.keys).agg(F.count(F.lit(1)).alias("__cnt"))
+
     @property
     def lists(self) -> DataFrame:
         """``__k0.., __chunk, __exts``: sorted arrays; a hub's list is cut by ranges of its values' hash."""
@@ -73,11 +78,36 @@ class ExtensionIndex:
         return rows.groupBy(*self.keys, "page").agg(F.expr("bitmap_construct_agg(__ext & 32767)").alias("bits"))
 
 
+class VersionedIndex(ExtensionIndex):
+    """An index of a version of a changing relation: members as base and log, counts from the store's net counts."""
+
+    def __init__(self, store: VersionedRelation, version: int, key_pos: tuple[int, ...], ext_pos: int) -> None:
+        super().__init__(store.as_of(version), key_pos, ext_pos)
+        self.store, self.version = store, version
+        self.column = f"c{key_pos[0]}" if len(key_pos) == 1 and self.n_columns == 2 and ext_pos not in key_pos else None
+
+    @property
+    def counts(self) -> DataFrame:
+        if self._counts is None and self.column:
+            self._counts = self.store.counts(self.version, [self.column]).toDF("__k0", "__cnt")
+        return super().counts
+
+    def counts_of(self, keys: DataFrame) -> DataFrame:
+        if not self.column:
+            return super().counts_of(keys)
+        return self.store.counts(self.version, [self.column], keys.withColumnRenamed("__k0", self.column)).toDF("__k0", "__cnt")
+
+
 class IndexCatalog:
-    """Relations by (name, version) and their indices, each built once for any number of atoms."""
+    """Relations by (name, version) and their indices, each built once for any number of atoms.
+
+    ``views`` names the versions of changing relations: (name, version) to (store, number).
+    """
 
-    def __init__(self, relations: Mapping[str, DataFrame] | Mapping[tuple[str, str], DataFrame], cut: bool = False) -> None:
-        self.relations = {k if isinstance(k, tuple) else (k, "new"): df for k, df in relations.items()}
+    def __init__(self, relations: Mapping[str, DataFrame] | Mapping[tuple[str, str], DataFrame], cut: bool = False, views: Mapping[tuple[str, str], tuple[VersionedRelation, int]] | None = None) -> None:
+        self.views = dict(views or {})
+        self.relations = {k: store.as_of(v) for k, (store, v) in self.views.items()}
+        self.relations |= {k if isinstance(k, tuple) else (k, "new"): df for k, df in relations.items()}
         if cut:  # the relations are computed once, and stored reliably
             self.relations = {k: materialize(df, "relation") for k, df in self.relations.items()}
         self._indices: dict[tuple, ExtensionIndex] = {}
@@ -88,7 +118,8 @@ class IndexCatalog:
     def get(self, index_id: tuple[str, str, tuple[int, ...], int]) -> ExtensionIndex:
         if index_id not in self._indices:
             relation, version, key_pos, ext_pos = index_id
-            self._indices[index_id] = ExtensionIndex(self.relations[relation, version], key_pos, ext_pos)
+            view = self.views.get((relation, version))
+            self._indices[index_id] = VersionedIndex(*view, key_pos, ext_pos) if view else ExtensionIndex(self.relations[relation, version], key_pos, ext_pos)
         return self._indices[index_id]
 
     def cut(self, stages: Sequence[Stage]) -> None:

@@ -2,9 +2,13 @@
 
 On storage a relation is a compacted base and a log of normalised signed
 changes per version, both under a manifest that is replaced by one atomic
-rename; readers trust the manifest alone, so a crash between writing and
+rename (atomic on file systems that have one; an object store needs a committer
+of its own); readers trust the manifest alone, so a crash between writing and
 committing leaves nothing visible, and committing a version twice changes
-nothing. ``as_of`` adds base and log by key and keeps what remains.
+nothing. ``as_of`` is the base without what the log deletes, and what it inserts:
+logs of changes up to ``BROADCAST_ROWS`` rows are sent to the base's tasks, so that
+no version moves the base. Counts per value are stored with the base; a version adds
+the log's signs to them.
 """
 
 from __future__ import annotations
@@ -16,26 +20,37 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from motifjoin.plans.query import clean
-from motifjoin.workspace import new_path
+from motifjoin.workspace import materialize, new_path
+
+#: Rows of changes, or of prefixes that grow from changes, that may be sent to every task.
+BROADCAST_ROWS = 500_000
+
+
+def sent(df: DataFrame, rows: int) -> DataFrame:
+    """A frame of a known number of rows, broadcast within the bound."""
+    return F.broadcast(df) if rows <= BROADCAST_ROWS else df
 
 
 def normalize_delta(base: DataFrame, delta: DataFrame) -> DataFrame:
     """Net effect of ``delta`` (columns of ``base`` and ``w``) on ``base``: rows with w = 1 or -1.
 
     Several changes of one row add up and count by their sign; inserting what is there
-    and deleting what is not are dropped.
+    and deleting what is not are dropped. The base is read once and does not move if the
+    changes are few.
     """
     cols = base.columns
     net = delta.na.drop(subset=cols).groupBy(*cols).agg(F.sum("w").alias("w")).filter("w <> 0").withColumn("w", F.signum("w").cast("int"))
-    new = net.filter("w > 0").join(base, cols, "left_anti")
-    gone = net.filter("w < 0").join(base, cols, "left_semi")
-    return new.unionByName(gone).select(*cols, "w")
+    net = materialize(net, "net")
+    here = base.join(sent(net, net.count()), cols).select(*cols, "w")
+    here = materialize(here, "here")
+    return net.filter("w > 0").join(here, cols, "left_anti").unionByName(here.filter("w < 0")).select(*cols, "w")
 
 
-def apply_delta(base: DataFrame, delta: DataFrame) -> DataFrame:
-    """``base`` after normalised changes."""
+def apply_delta(base: DataFrame, delta: DataFrame, rows: int | None = None) -> DataFrame:
+    """``base`` after normalised changes, of which there are ``rows``."""
     cols = base.columns
-    return base.join(delta.filter("w < 0").select(*cols), cols, "left_anti").unionByName(delta.filter("w > 0").select(*cols))
+    gone = delta.filter("w < 0").select(*cols)
+    return base.join(gone if rows is None else sent(gone, rows), cols, "left_anti").unionByName(delta.filter("w > 0").select(*cols))
 
 
 class VersionedRelation:
@@ -47,7 +62,7 @@ class VersionedRelation:
         self._staged: dict[int, DataFrame] = {}
         self._manifest = self._read_manifest()
 
-    # manifest: {"base": path, "base_version": v, "base_rows": n, "log": [[version, path, rows], ...]}
+    # manifest: {"base": path, "base_version": v, "base_rows": n, "counts": [path per column], "log": [[version, path, rows], ...]}
     def _file(self, name: str):
         where = self._fs.Path(f"{self.path}/{name}")
         return where, where.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
@@ -72,9 +87,16 @@ class VersionedRelation:
 
     def preload(self, df: DataFrame, version: int = 0) -> None:
         """Start from these rows, without changes."""
+        self._write_base(clean(df), version)
+
+    def _write_base(self, df: DataFrame, version: int) -> None:
         path = f"{self.path}/base-{version}-{uuid.uuid4().hex[:8]}"
-        clean(df).write.parquet(path)
-        self._write_manifest({"base": path, "base_version": version, "base_rows": self.spark.read.parquet(path).count(), "log": []})
+        df.write.parquet(path)
+        base = self.spark.read.parquet(path)
+        counts = [f"{path}-counts/{c}" for c in base.columns]
+        for c, where in zip(base.columns, counts):
+            base.groupBy(c).agg(F.count(F.lit(1)).alias("n")).write.parquet(where)
+        self._write_manifest({"base": path, "base_version": version, "base_rows": base.count(), "counts": counts, "log": []})
 
     @property
     def version(self) -> int:
@@ -91,47 +113,63 @@ class VersionedRelation:
         path = f"{self.path}/log/ver={version}-{uuid.uuid4().hex[:8]}"
         normalize_delta(self.as_of(self.version), delta.toDF(*names)).write.parquet(path)
         self._staged[version] = self.spark.read.parquet(path)
-        self._paths = {**getattr(self, "_paths", {}), version: path}
+        self._paths = {**getattr(self, "_paths", {}), version: (path, self._staged[version].count())}
         return self._staged[version]
 
-    def commit(self, version: int) -> None:
+    def changes(self, version: int) -> DataFrame | None:
+        """The normalised changes of a version in the log, committed or staged."""
+        if version in self._staged:
+            return self._staged[version]
+        return next((self.spark.read.parquet(p) for v, p, _ in self._manifest["log"] if v == version), None)
+
+    def commit(self, version: int, compact: bool = True) -> None:
         """Make a staged version visible; a version that is visible already stays as it is."""
         if version <= self.version:
             return
-        rows = self._staged.pop(version).count()
-        self._write_manifest({**self._manifest, "log": [*self._manifest["log"], [version, self._paths[version], rows]]})
+        self._staged.pop(version)
+        self._write_manifest({**self._manifest, "log": [*self._manifest["log"], [version, *self._paths[version]]]})
+        if compact:
+            self.compact_if_long()
+
+    def compact_if_long(self) -> None:
         if sum(n for _, _, n in self._manifest["log"]) > self.compact_share * max(1, self._manifest["base_rows"]):
             self.compact()
 
+    def _logs(self, version: int) -> tuple[DataFrame | None, int]:
+        """The net changes from the base to a version, and at most how many."""
+        logs = [(self.spark.read.parquet(p), n) for v, p, n in self._manifest["log"] if v <= version and n]
+        logs += [(df, self._paths[v][1]) for v, df in sorted(self._staged.items()) if v <= version]
+        if len(logs) < 2:
+            return logs[0] if logs else (None, 0)
+        out = logs[0][0]
+        for df, _ in logs[1:]:
+            out = out.unionByName(df)
+        cols = [c for c in out.columns if c != "w"]
+        # each log is normalised against the version before it, so the signs of a row sum up to -1, 0 or 1
+        return out.groupBy(*cols).agg(F.sum("w").cast("int").alias("w")).filter("w <> 0"), sum(n for _, n in logs)
+
     def as_of(self, version: int) -> DataFrame:
         """The rows of a version: not older than the base, committed or staged."""
         if version < self._manifest["base_version"]:
             raise ValueError(f"version {version} is compacted away")
         base = self.spark.read.parquet(self._manifest["base"])
-        logs = [self.spark.read.parquet(p) for v, p, n in self._manifest["log"] if v <= version and n]
-        logs += [df for v, df in sorted(self._staged.items()) if v <= version]
-        if not logs:
-            return base
-        cols = base.columns
-        signed = base.withColumn("w", F.lit(1))
-        for log in logs:
-            signed = signed.unionByName(log)
-        return signed.groupBy(*cols).agg(F.sum("w").alias("w")).filter("w > 0").select(*cols)
-
-    def counts(self, version: int, key: list[str]) -> DataFrame:
-        """Net counts per key, from the base's counts and the log's signs."""
-        base = self.spark.read.parquet(self._manifest["base"]).groupBy(*key).agg(F.count(F.lit(1)).alias("n"))
-        for v, path, _ in self._manifest["log"]:
-            if v <= version:
-                base = base.unionByName(self.spark.read.parquet(path).groupBy(*key).agg(F.sum("w").alias("n")))
-        for v, df in self._staged.items():
-            if v <= version:
-                base = base.unionByName(df.groupBy(*key).agg(F.sum("w").alias("n")))
-        return base.groupBy(*key).agg(F.sum("n").alias("n")).filter("n > 0")
+        log, rows = self._logs(version)
+        return base if log is None else apply_delta(base, log, rows)
+
+    def counts(self, version: int, key: list[str], keys: DataFrame | None = None) -> DataFrame:
+        """Net counts per key, from the base's counts and the log's signs; of some ``keys`` only, if given."""
+        base = self.spark.read.parquet(self._manifest["base"])
+        if len(key) == 1 and self._manifest.get("counts"):
+            rows = self.spark.read.parquet(self._manifest["counts"][base.columns.index(key[0])])
+        else:
+            rows = base.groupBy(*key).agg(F.count(F.lit(1)).alias("n"))
+        log, _ = self._logs(version)
+        if log is None:
+            return rows if keys is None else rows.join(keys, key)
+        rows = rows.unionByName(log.groupBy(*key).agg(F.sum("w").alias("n")))
+        rows = rows if keys is None else rows.join(keys, key)
+        return rows.groupBy(*key).agg(F.sum("n").alias("n")).filter("n > 0")
 
     def compact(self) -> None:
         """Fold the committed log into a new base."""
-        version = self.version
-        path = f"{self.path}/base-{version}-{uuid.uuid4().hex[:8]}"
-        self.as_of(version).write.parquet(path)
-        self._write_manifest({"base": path, "base_version": version, "base_rows": self.spark.read.parquet(path).count(), "log": []})
+        self._write_base(self.as_of(self.version), self.version)

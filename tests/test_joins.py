@@ -230,3 +230,46 @@ def test_lifetimes_give_the_changes_of_every_day(spark, name):
         before = now
     found = updates.pattern_changes(query, updates.lifetimes(table)).groupBy(*query.order, "day").agg(F.sum("w").alias("w")).filter("w <> 0")
     assert any(w < 0 for *_, w in expected) and rows(found) == sorted(expected)
+
+
+def test_versions_do_not_move_the_base(spark, basket):
+    store = VersionedRelation(spark, compact_share=100)
+    store.preload(basket)
+    store.stage(1, basket.filter("(src + dst) % 50 = 0").withColumn("w", F.lit(-1)))
+    store.commit(1)
+    store.stage(2, basket.filter("(src + dst) % 100 = 0").withColumn("w", F.lit(1)))
+    store.commit(2)
+    view = store.as_of(2)
+    assert rows(view) == rows(basket.filter("(src + dst) % 50 <> 0 or (src + dst) % 100 = 0"))
+    assert "base-" not in "".join(x for x in view._jdf.queryExecution().executedPlan().toString().split("\n") if "Exchange hash" in x)
+    assert {r.c0: r.n for r in store.counts(2, ["c0"]).collect()} == {r.c0: r["count"] for r in view.groupBy("c0").count().collect()}
+    keys = sorted(r.c0 for r in view.select("c0").distinct().collect())[:5]
+    some = spark.createDataFrame([(k,) for k in keys], "c0 long")
+    assert {r.c0: r.n for r in store.counts(2, ["c0"], some).collect()} == {k: n for k, n in ((r.c0, r["count"]) for r in view.groupBy("c0").count().collect()) if k in keys}
+
+
+@pytest.mark.parametrize("name,few", [("four_clique", 500_000), ("diamond", 40)])
+def test_rules_that_grow_from_changes_agree(spark, basket, name, few):
+    old, changes = basket.filter("(src + dst) % 10 <> 0"), g.mixed_batch(basket)[1]
+    want = rows(delta_join(PATTERNS[name], {"e": old}, {"e": changes}, engine="joined"))
+    assert rows(delta_join(PATTERNS[name], {"e": old}, {"e": changes}, few=few)) == want
+    engine = DeltaEngine(PATTERNS[name], {"e": VersionedRelation(spark)}, few=few)
+    engine.preload({"e": old})
+    assert rows(engine.apply(1, {"e": changes})) == want
+    assert name == "diamond" or len(engine.shared) < len(PATTERNS[name].atoms)  # symmetric rules share their first extension
+
+
+def test_a_commit_that_broke_off_is_finished(spark):
+    q = parse_query("q(a,b,c) := R(a,b), S(b,c)")
+    r, s = (spark.createDataFrame(x, "x long, y long") for x in ([(1, 2)], [(2, 3)]))
+    stores = {n: VersionedRelation(spark) for n in "RS"}
+    engine = DeltaEngine(q, stores)
+    engine.preload({"R": r, "S": s})
+    batch = {"R": spark.createDataFrame([(5, 2, 1)], "x long, y long, w int"), "S": spark.createDataFrame([(2, 9, 1)], "x long, y long, w int")}
+    want = rows(engine.stage(1, batch))
+    stores["R"].commit(1, compact=False)  # and here the process ends
+    again = DeltaEngine(q, {n: VersionedRelation(spark, st.path) for n, st in stores.items()})
+    assert again.stores["R"].version == 1 and again.stores["S"].version == 0
+    assert rows(again.apply(1, batch)) == want and again.apply(1, batch).count() == 0
+    assert rows(again.apply(2, {"S": spark.createDataFrame([(2, 9, -1)], "x long, y long, w int")})) == [(1, 2, 9, -1), (5, 2, 9, -1)]
+    assert {st.version for st in again.stores.values()} == {2}
