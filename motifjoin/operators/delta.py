@@ -27,6 +27,10 @@ from motifjoin.plans.stages import DeltaRule, Stage, compile_stages, delta_rules
 from motifjoin.workspace import materialize
 
 
+#: Share of a relation up to which changes are few.
+SMALL_SHARE = 0.02
+
+
 def rule_changes(query: JoinQuery, rule: DeltaRule, catalog: IndexCatalog, changes: Mapping[str, DataFrame], *, counts: str = "chain", engine: str = "pipelined", shared: dict | None = None, few: int = BROADCAST_ROWS, **options) -> DataFrame:
     """Signed matches of one rule: the query's attributes and ``w``.
 
@@ -85,10 +89,12 @@ def delta_join(query: JoinQuery, old: Mapping[str, DataFrame], changes: Mapping[
     """Signed changes of the result for changes (relation columns and ``w``) of old relations.
 
     ``net=False`` returns a ``rule`` column too, and the rules' rows as they are.
-    ``share``: old and new relations and the normalised changes, which all rules read, are computed once.
+    ``share``: old relations and the normalised changes, which all rules read, are computed once.
+    ``engine``: as in ``rule_changes``; by default ``pipelined`` for changes of up to a share of
+    ``SMALL_SHARE`` of the relations, beyond which reading whole relations once in one plan costs less.
     """
     olds = {n: materialize(clean(df), "old") if share else clean(df) for n, df in old.items() if n in {a.relation for a in query.atoms}}
-    deltas, news = {}, {}
+    deltas, news, small = {}, {}, True
     for name, df in olds.items():
         given = changes.get(name)
         if given is None:
@@ -98,10 +104,15 @@ def delta_join(query: JoinQuery, old: Mapping[str, DataFrame], changes: Mapping[
         deltas[name] = named if normalized else normalize_delta(df, named)
         if share:
             deltas[name] = materialize(deltas[name], "delta")
-        news[name] = apply_delta(df, deltas[name], deltas[name].count() if share else None)
+        n = deltas[name].count() if share else None
+        small = small and share and n <= SMALL_SHARE * df.count()
+        news[name] = apply_delta(df, deltas[name], n)
+    if share and not small:
+        news = {n: materialize(df, "new") if n in changes else df for n, df in news.items()}
     catalog = IndexCatalog({(n, "old"): d for n, d in olds.items()} | {(n, "new"): d for n, d in news.items()})
     rules = [r for r in delta_rules(query) if query.atoms[r.lead].relation in changes]
     first: dict = {}
+    options.setdefault("engine", "pipelined" if small else "joined")
     parts = [rule_changes(query, r, catalog, deltas, shared=first, **options).withColumn("rule", F.lit(r.lead)) for r in rules]
     out = parts[0]
     for p in parts[1:]:
@@ -122,8 +133,8 @@ class DeltaEngine:
     commits the version; the result itself is never computed in full.
     """
 
-    def __init__(self, query: JoinQuery, stores: Mapping[str, VersionedRelation], engine: str = "pipelined", **options) -> None:
-        self.query, self.stores, self.options = query, dict(stores), {"engine": engine, **options}
+    def __init__(self, query: JoinQuery, stores: Mapping[str, VersionedRelation], engine: str | None = None, **options) -> None:
+        self.query, self.stores, self.engine, self.options = query, dict(stores), engine, options
 
     def preload(self, relations: Mapping[str, DataFrame]) -> None:
         """Start from these relations; no initial answer is computed."""
@@ -148,7 +159,9 @@ class DeltaEngine:
         catalog = IndexCatalog({}, views={(n, side): (s, v) for n, s in self.stores.items() for side, v in (("old", version - 1), ("new", version))})
         self.shared = {}
         rules = [r for r in delta_rules(self.query) if self.query.atoms[r.lead].relation in changes]
-        parts = [rule_changes(self.query, r, catalog, deltas, shared=self.shared, **self.options) for r in rules]
+        small = all(log.count() <= SMALL_SHARE * self.stores[n].rows for n, log in deltas.items())
+        engine = self.engine or ("pipelined" if small else "joined")
+        parts = [rule_changes(self.query, r, catalog, deltas, shared=self.shared, engine=engine, **self.options) for r in rules]
         out = parts[0]
         for p in parts[1:]:
             out = out.unionByName(p)

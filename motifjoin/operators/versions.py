@@ -31,15 +31,17 @@ def sent(df: DataFrame, rows: int) -> DataFrame:
     return F.broadcast(df) if rows <= BROADCAST_ROWS else df
 
 
-def normalize_delta(base: DataFrame, delta: DataFrame) -> DataFrame:
+def normalize_delta(base: DataFrame, delta: DataFrame, still: bool = False) -> DataFrame:
     """Net effect of ``delta`` (columns of ``base`` and ``w``) on ``base``: rows with w = 1 or -1.
 
     Several changes of one row add up and count by their sign; inserting what is there
-    and deleting what is not are dropped. The base is read once and does not move if the
-    changes are few.
+    and deleting what is not are dropped. ``still``: the net changes are stored and, if few,
+    sent to the base, which is read once and does not move; else one plan of joins.
     """
     cols = base.columns
     net = delta.na.drop(subset=cols).groupBy(*cols).agg(F.sum("w").alias("w")).filter("w <> 0").withColumn("w", F.signum("w").cast("int"))
+    if not still:
+        return net.filter("w > 0").join(base, cols, "left_anti").unionByName(net.filter("w < 0").join(base, cols, "left_semi")).select(*cols, "w")
     net = materialize(net, "net")
     here = base.join(sent(net, net.count()), cols).select(*cols, "w")
     here = materialize(here, "here")
@@ -85,6 +87,11 @@ class VersionedRelation:
         context.rename(part, target, options)
         self._manifest = manifest
 
+    @property
+    def rows(self) -> int:
+        """Rows of the base."""
+        return self._manifest["base_rows"]
+
     def preload(self, df: DataFrame, version: int = 0) -> None:
         """Start from these rows, without changes."""
         self._write_base(clean(df), version)
@@ -111,7 +118,7 @@ class VersionedRelation:
             raise ValueError(f"version {version} is committed")
         names = [*self.as_of(self.version).columns, "w"]
         path = f"{self.path}/log/ver={version}-{uuid.uuid4().hex[:8]}"
-        normalize_delta(self.as_of(self.version), delta.toDF(*names)).write.parquet(path)
+        normalize_delta(self.as_of(self.version), delta.toDF(*names), still=True).write.parquet(path)
         self._staged[version] = self.spark.read.parquet(path)
         self._paths = {**getattr(self, "_paths", {}), version: (path, self._staged[version].count())}
         return self._staged[version]
