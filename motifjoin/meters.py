@@ -74,13 +74,18 @@ class Meter:
         return max((max(r) * len(r) / sum(r) for r in self.loads if sum(r)), default=1.0)
 
 
-def worker_loads(rows: DataFrame, key: Sequence[str], workers: int) -> list[int]:
-    """Rows that each worker would receive when ``rows`` are sent by the hash of ``key``."""
-    got = {r["w"]: r["count"] for r in rows.groupBy(F.pmod(F.xxhash64(*key), F.lit(workers)).alias("w")).count().collect()}
+def worker_loads(rows: DataFrame, key: Sequence[str], workers: int, by_value: bool = False) -> list[int]:
+    """Rows that each worker would receive when ``rows`` are sent by the hash of ``key``, or by its value."""
+    spread = F.xxhash64(*key)
+    if by_value:
+        spread = F.col(key[0])
+        for k in key[1:]:
+            spread = spread * 31 + F.col(k)
+    got = {r["w"]: r["count"] for r in rows.groupBy(F.pmod(spread, F.lit(workers)).alias("w")).count().collect()}
     return [got.get(w, 0) for w in range(workers)]
 
 
-def metered_join(query: JoinQuery, relations: Mapping[str, DataFrame], workers: int = 8, order: Sequence[str] | None = None) -> tuple[DataFrame, Meter]:
+def metered_join(query: JoinQuery, relations: Mapping[str, DataFrame], workers: int = 8, order: Sequence[str] | None = None, by_value: bool = False) -> tuple[DataFrame, Meter]:
     """Run the static join step by step, counting what every step sends."""
     meter, start = Meter(), time.perf_counter()
     catalog = IndexCatalog(query.bind(relations), cut=True)
@@ -93,14 +98,14 @@ def metered_join(query: JoinQuery, relations: Mapping[str, DataFrame], workers:
     for stage in stages:
         n = prefixes.count()
         for use in stage.uses:
-            meter.loads.append(worker_loads(prefixes, ex._keys(use), workers) if use.key_attrs else [n] + [0] * (workers - 1))
+            meter.loads.append(worker_loads(prefixes, ex._keys(use), workers, by_value) if use.key_attrs else [n] + [0] * (workers - 1))
         triples = ex.init_triples(prefixes)
         if len(stage.uses) > 1:
             triples = ex.minimise_counts(triples, stage, catalog)
         candidates = materialize(ex.propose(triples, stage, catalog), "candidates")
         proposals = candidates.count()
         for use in stage.uses if len(stage.uses) > 1 else ():
-            meter.loads.append(worker_loads(candidates, [*ex._keys(use), stage.attr], workers))
+            meter.loads.append(worker_loads(candidates, [*ex._keys(use), stage.attr], workers, by_value))
         prefixes = materialize(ex.apply_filters(ex.intersect(candidates, stage, catalog), stage), "prefixes")
         meter.stages.append(StageCost(stage.attr, n, n * len(stage.uses), proposals, proposals * (len(stage.uses) - 1), prefixes.count()))
     meter.run_s = time.perf_counter() - start
@@ -152,6 +157,17 @@ def timed(fn: Callable[[], object]) -> tuple[object, float]:
     return out, time.perf_counter() - start
 
 
+def rate(n: int, seconds: float) -> float:
+    """Updates taken in, or changes given out, per second."""
+    return n / seconds if seconds else 0.0
+
+
+def max_index_rows(edges: DataFrame, workers: int, by_value: bool = False) -> int:
+    """Index tuples of the fullest worker: forward by source and reverse by target."""
+    a, b = edges.columns[:2]
+    return max(x + y for x, y in zip(worker_loads(edges, [a], workers, by_value), worker_loads(edges, [b], workers, by_value)))
+
+
 def break_even_cores(run: Callable[[int], float], baseline_s: float, cores: Sequence[int]) -> int | None:
     """The fewest of ``cores`` at which ``run(cores)``, in seconds, beats the baseline."""
     return next((c for c in sorted(cores) if run(c) < baseline_s), None)

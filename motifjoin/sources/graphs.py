@@ -91,10 +91,11 @@ def label_band(spark: SparkSession, sf_dir: str, width: int = 40) -> DataFrame:
 
 
 def turn_path(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Each turn of a conversation to the next one."""
+    """Each turn of a conversation to the next one; vertices are numbered by conversation and turn, past the last turn of any."""
     c = table(spark, sf_dir, "conversations").select("conv_id", "turn").dropDuplicates()
-    a = c.select("conv_id", "turn", (F.col("conv_id") * 1000 + F.col("turn")).alias("src"))
-    b = c.select("conv_id", (F.col("turn") - 1).alias("turn"), (F.col("conv_id") * 1000 + F.col("turn")).alias("dst"))
+    width = (c.agg(F.max("turn")).first()[0] or 0) + 1
+    a = c.select("conv_id", "turn", (F.col("conv_id") * width + F.col("turn")).alias("src"))
+    b = c.select("conv_id", (F.col("turn") - 1).alias("turn"), (F.col("conv_id") * width + F.col("turn")).alias("dst"))
     return a.join(b, ["conv_id", "turn"]).select("src", "dst")
 
 

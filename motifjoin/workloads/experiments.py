@@ -66,7 +66,7 @@ def _one(sf: str, method: str, cores: int) -> None:
 def rivals(spark: SparkSession, sf: str) -> None:
     """Seconds and intermediate rows of the static join, exploration, binary plan, hypercube and decomposition."""
     e = materialize(g.basket_edges(spark, sf))
-    for name in ("triangle", "four_clique"):
+    for name in ("triangle", "four_clique", "diamond"):
         q = PATTERNS[name]
         _, m = meters.metered_join(q, {"e": e})
         n, s = _count(static_join(q, {"e": e}))
@@ -87,43 +87,49 @@ def scaling(spark: SparkSession, sf: str) -> None:
         store = VersionedRelation(spark)
         engine = DeltaEngine(PATTERNS["triangle"], {"e": store})
         engine.preload({"e": base})
-        one = log.filter("ver = 1").select("src", "dst", "w")
-        n = one.count()
-        start = time.perf_counter()
-        changed = engine.apply(1, {"e": one}).count()
-        took = time.perf_counter() - start
-        rows = store.as_of(1)
-        index = [a + b for a, b in zip(meters.worker_loads(rows, ["c0"], workers), meters.worker_loads(rows, ["c1"], workers))]
-        _say(sixteenths=sixteenths, workers=workers, updates=n, changes=changed, updates_per_s=round(n / took, 1), changes_per_s=round(changed / took, 1), max_index_rows=max(index))
+        log, n, changed, took = materialize(log, "log"), 0, 0, 0.0
+        with meters.PeakMemory() as memory:
+            for v in range(1, 21):
+                one = log.filter(F.col("ver") == v).select("src", "dst", "w")
+                n += one.count()
+                start = time.perf_counter()
+                changed += engine.apply(v, {"e": one}).count()
+                took += time.perf_counter() - start
+        index = meters.max_index_rows(store.as_of(20), workers)
+        _say(sixteenths=sixteenths, workers=workers, updates=n, changes=changed, updates_per_s=round(meters.rate(n, took), 1), changes_per_s=round(meters.rate(changed, took), 1), max_index_rows=index, peak_mb=memory.peak_bytes >> 20)
 
 
 def maintenance(spark: SparkSession, sf: str) -> None:
-    """Seconds per batch, changes per second and matches per changed edge for larger patterns."""
+    """Seconds per batch, changes per second and matches per changed edge over 20 batches through the engine."""
     e = materialize(g.basket_edges(spark, sf))
-    old, changes = g.mixed_batch(e)
-    n_changes, n_edges = changes.count(), e.count()
+    n_edges = e.count()
+    base, log = g.batch_sequence(e, 20)
+    log = materialize(log, "log")
     for name in ("triangle", "four_clique", "diamond"):
+        engine = DeltaEngine(PATTERNS[name], {"e": VersionedRelation(spark)})
+        engine.preload({"e": base})
+        changed, start = 0, time.perf_counter()
         with meters.PeakMemory() as memory:
-            n, s = _count(delta_join(PATTERNS[name], {"e": old}, {"e": changes}))
-        _say(pattern=name, changes=n, seconds=s, changes_per_s=round(n / s, 1), estimate=round(meters.estimate_total(n, n_changes, n_edges)), peak_mb=memory.peak_bytes >> 20)
+            for v in range(1, 21):
+                changed += engine.apply(v, {"e": log.filter(F.col("ver") == v).select("src", "dst", "w")}).count()
+        took = time.perf_counter() - start
+        _say(pattern=name, batches=20, changes=changed, seconds_per_batch=round(took / 20, 3), changes_per_s=round(meters.rate(changed, took), 1), estimate=round(meters.estimate_total(changed, log.count(), n_edges)), peak_mb=memory.peak_bytes >> 20)
 
 
 def ablation(spark: SparkSession, sf: str) -> None:
-    """Plain, with symmetry broken, and with triangles reused too, on the undirected graph; house always factorised."""
-    e = materialize(g.symmetric(g.basket_edges(spark, sf)))
-    ordered = materialize(rw.degree_relabel(e)[0])
-    tri = rw.materialize_triangles(ordered)
-    for name in ("four_clique", "five_clique"):
-        q = PATTERNS[name]
-        for case, df in (("plain", static_join(q, {"e": e})), ("symmetry", static_join(q, {"e": ordered})), ("symmetry+triangles", static_join(rw.rewrite_with_triangles(q), {"e": ordered, "tri": tri}))):
+    """Plain, with symmetry broken, and with triangles reused too: the same instances of the undirected graph in all."""
+    dag = materialize(g.basket_edges(spark, sf))
+    e = materialize(g.symmetric(dag))
+    tri, ordered = rw.materialize_triangles(e), materialize(rw.degree_relabel(dag)[0])
+    for name in ("four_clique", "house", "five_clique"):
+        q, once = PATTERNS[name], rw.undirected(PATTERNS[name])
+        symmetries = len(rw.automorphisms(q))
+        for case, df, each in (("plain", static_join(q.injective(), {"e": e}), symmetries), ("symmetry", static_join(once, {"e": e}), 1), ("symmetry+triangles", static_join(rw.rewrite_with_triangles(once), {"e": e, "tri": tri}), 1)):
             n, s = _count(df)
-            _say(pattern=name, case=case, rows=n, seconds=s)
-        n, s = _count(bp.clique_star_join(int(len(q.order)), ordered))
-        _say(pattern=name, case="clique index", rows=n, seconds=s)
-    for case, edges in (("plain", e), ("symmetry", ordered)):
-        start = time.perf_counter()
-        n = rw.factorized_count(rw.factorized_join(PATTERNS["house"], edges)).first()["n"]
-        _say(pattern="house", case=case, rows=n, seconds=round(time.perf_counter() - start, 3))
+            _say(pattern=name, case=case, instances=n // each, seconds=s)
+        if name != "house":
+            n, s = _count(bp.clique_star_join(len(q.order), ordered))
+            _say(pattern=name, case="clique index", instances=n, seconds=s)
 
 
 def batch_size(spark: SparkSession, sf: str) -> None:
@@ -132,8 +138,11 @@ def batch_size(spark: SparkSession, sf: str) -> None:
     base, log = g.batch_sequence(e, 20, deletes=False)
     log = materialize(log)
     total = log.count()
-    for size in (total // 8, total // 4, total // 2, total):
-        batches = max(1, round(total / size))
+    for size in (10, 100, 1000, 10_000, total):
+        batches = -(-total // size)
+        if batches > 200:  # a batch costs seconds, however small
+            _say(batch=size, batches=batches, skipped=True)
+            continue
         store = VersionedRelation(spark)
         engine = DeltaEngine(PATTERNS["triangle"], {"e": store})
         engine.preload({"e": base})

@@ -224,21 +224,33 @@ def _root(x: int, k: int) -> int:
     return lo
 
 
-add("meter__agm", _agm)
+add("meter__agm", _agm, o.agm_sql({"triangle": (3, 2), "four_clique": (2, 1), "diamond": (2, 1), "house": (5, 2), "five_clique": (5, 2)}))
+
+
+def _intermediates(spark: SparkSession, sf: str, graph: Callable = g.basket_edges, names: tuple[str, ...] = ("triangle", "four_clique")) -> DataFrame:
+    """Prefixes that the engine, exploration and the binary plan make."""
+    e = materialize(graph(spark, sf), "graph")
+    out = meters.open_wedges(e).select(F.lit("triangle").alias("pattern"), F.lit("binary").alias("method"), "n")
+    for name in names:
+        named = lambda rows, method, n: rows.agg(F.lit(name).alias("pattern"), F.lit(method).alias("method"), F.coalesce(F.sum(n), F.lit(0)).cast("long").alias("n"))  # noqa: B023, E731
+        total = None
+        for step in bp.explore_steps(P[name], e):
+            one = step.agg(F.count(F.lit(1)).alias("n"))
+            total = one if total is None else total.unionByName(one)
+        out = out.unionByName(named(meters.stage_proposals(P[name], {"e": e}), "static", "proposals")).unionByName(named(total, "exploration", "n"))
+    return out
 
 
-def _intermediates(spark: SparkSession, sf: str, graph: Callable = g.basket_edges) -> DataFrame:
-    """Prefixes that the engine, exploration and the binary plan make for triangles."""
-    e = graph(spark, sf)
-    explored = [d.agg(F.count(F.lit(1)).alias("n")) for d in bp.explore_steps(P["triangle"], e)]
-    total = explored[0]
-    for d in explored[1:]:
-        total = total.unionByName(d)
-    engine = meters.stage_proposals(P["triangle"], {"e": e}).select(F.lit("static").alias("method"), F.col("proposals").alias("n"))
-    return engine.unionByName(total.agg(F.lit("exploration").alias("method"), F.sum("n").alias("n"))).unionByName(meters.open_wedges(e).select(F.lit("binary").alias("method"), "n"))
+add("meter__intermediates", _intermediates, o.intermediates_sql())
+
 
+def _triangle_costs(e: DataFrame) -> DataFrame:
+    """Costs of the triangle join on 8 workers that hold keys by value."""
+    _, m = meters.metered_join(P["triangle"], {"e": e}, by_value=True)
+    return e.sparkSession.createDataFrame([(m.rounds, m.load, m.communication, m.memory, m.intermediates, m.proposals)], "rounds long, load long, communication long, memory long, intermediates long, proposals long")
 
-add("meter__intermediates", _intermediates)
+
+add("meter__triangle_costs", on(g.basket_edges, _triangle_costs), o.triangle_costs_sql(8))
 
 
 def _metered(spark: SparkSession, sf: str, graph: Callable = g.basket_edges) -> DataFrame:
@@ -353,22 +365,137 @@ for _case in (False, True):
 add("op__bitmap_degrees", on(g.basket_edges, lambda e: build_index(e, ["src"], "dst").bitmaps().groupBy(F.col("__k0").alias("v")).agg(F.sum(F.bitmap_count("bits")).alias("c"))), o.with_graph("basket", "SELECT src AS v, CAST(count(*) AS BIGINT) AS c FROM e GROUP BY 1"))
 
 
-def _lateral(spark: SparkSession, sf: str, most: int | None = 3, graph: Callable = g.basket_edges) -> DataFrame:
-    """Candidate numbers of counts (up to ``most``, or all) through a table function."""
+def _lateral(spark: SparkSession, sf: str, graph: Callable = g.basket_edges) -> DataFrame:
+    """Candidate numbers of counts through a table function."""
     from motifjoin.functions.arrays import ExpandRange
 
     counts = graph(spark, sf).groupBy(F.col("src").alias("v")).agg(F.count(F.lit(1)).alias("c"))
-    counts = counts if most is None else counts.filter(F.col("c") <= most)
     return counts.lateralJoin(ExpandRange(F.lit(1), F.col("c").outer())).select("v", "k")
 
 
-add("op__lateral_range", _lateral, o.with_graph("basket", ", d AS (SELECT src AS v, count(*) AS c FROM e GROUP BY 1) SELECT v, CAST(unnest(range(1, c + 1)) AS BIGINT) AS k FROM d WHERE c <= 3").replace(") , d", "), d"))
+add("op__lateral_range", _lateral, o.with_graph("basket", ", d AS (SELECT src AS v, count(*) AS c FROM e GROUP BY 1) SELECT v, CAST(unnest(range(1, c + 1)) AS BIGINT) AS k FROM d").replace(") , d", "), d"))
 add("op__fraction_preload", on(g.basket_edges, lambda e: g.fraction(e, 4).agg(F.count(F.lit(1)).alias("n"))), o.with_graph("basket", "SELECT CAST(count(*) AS BIGINT) AS n FROM e WHERE (src + dst) % 16 < 4"))
 add("op__filtered_pattern", on(g.basket_edges, lambda e: static_join(replace(P["triangle"], filters=(("a1", "<", "a2"), ("a2", "<", "a3"))), {"e": e.filter(F.col("src").between(0, 500))})), f"WITH b AS ({o.GRAPHS['basket']}), e AS (SELECT * FROM b WHERE src BETWEEN 0 AND 500) {o.pattern_sql(P['triangle'])}")
 
 
+# experiments: a parameter that moves, results by setting
+BATCHES = 20
+
+
+def _lives(e: DataFrame, n: int = BATCHES) -> DataFrame:
+    """Edges' lifetimes in versions under ``batch_sequence``."""
+    base, log = g.batch_sequence(e, n)
+    came = base.select("src", "dst", F.lit(0).cast("long").alias("since")).unionByName(log.filter("w > 0").select("src", "dst", F.col("ver").alias("since")))
+    went = log.filter("w < 0").select("src", "dst", F.col("ver").alias("until"))
+    return materialize(came.join(went, ["src", "dst"], "left"), "lives")
+
+
+def _per_version(changes: DataFrame, ver: str) -> DataFrame:
+    return changes.filter(F.col(ver) > 0).groupBy(F.col(ver).alias("ver")).agg(F.count_if(F.col("w") > 0).alias("came"), F.count_if(F.col("w") < 0).alias("went"))
+
+
+for _name in ("triangle", "four_clique", "diamond"):
+    add(f"exp__maintenance_{_name}", on(g.basket_edges, lambda e, n=_name: _per_version(updates.pattern_changes(P[n], _lives(e)), "day")), o.version_changes_sql(_name, BATCHES))
+
+
+def _engine_batches(e: DataFrame, n: int = BATCHES) -> DataFrame:
+    """The same through the delta engine, batch after batch."""
+    base, log = g.batch_sequence(e, n)
+    log = materialize(log, "log")
+    engine = DeltaEngine(P["triangle"], {"e": VersionedRelation(e.sparkSession, compact_share=2)})
+    engine.preload({"e": base})
+    out = None
+    for v in range(1, n + 1):
+        got = engine.apply(v, {"e": log.filter(F.col("ver") == v).select("src", "dst", "w")}).withColumn("ver", F.lit(v).cast("long"))
+        out = got if out is None else out.unionByName(got)
+    return _per_version(out, "ver")
+
+
+add("exp__engine_batches", on(g.basket_edges, _engine_batches), o.version_changes_sql("triangle", BATCHES))
+SETTINGS = ((1, 4), (2, 8), (4, 16), (8, 32), (16, 64))
+
+
+def _scaling(e: DataFrame) -> DataFrame:
+    """Shares of the graph on workers that double with them: updates, changes of triangles over 20 batches, index tuples of the fullest worker."""
+    out = None
+    for share, workers in SETTINGS:
+        part = materialize(g.fraction(e, share), "part")
+        _, log = g.batch_sequence(part, BATCHES)
+        changes = updates.pattern_changes(P["triangle"], _lives(part)).filter("day > 0").agg(F.count(F.lit(1)).alias("changes"))
+        row = log.agg(F.lit(share).cast("long").alias("sixteenths"), F.lit(workers).cast("long").alias("workers"), F.count(F.lit(1)).alias("updates")).crossJoin(changes)
+        row = row.withColumn("max_index_rows", F.lit(meters.max_index_rows(part, workers, by_value=True)).cast("long"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+_scaled = []
+for _share, _w in SETTINGS:
+    _e = f"(SELECT * FROM e WHERE (src + dst) % 16 < {_share})"
+    _life = f"({o.batches_sql(BATCHES, _e)})"
+    _index = f"SELECT max(n) FROM (SELECT sum(n) AS n FROM (SELECT src % {_w} AS k, count(*) AS n FROM {_e} GROUP BY 1 UNION ALL SELECT dst % {_w}, count(*) FROM {_e} GROUP BY 1) GROUP BY k)"
+    _scaled.append(f"SELECT CAST({_share} AS BIGINT) AS sixteenths, CAST({_w} AS BIGINT) AS workers, CAST((SELECT count(*) FILTER (since > 0) + count(until) FROM {_life}) AS BIGINT) AS updates, CAST((SELECT count(*) FILTER (since > 0 AND (until IS NULL OR since < until)) + count(*) FILTER (since < until) FROM ({o.lives_sql('triangle', _life)})) AS BIGINT) AS changes, CAST(({_index}) AS BIGINT) AS max_index_rows")
+add("exp__scaling", on(g.basket_edges, _scaling), o.with_graph("basket", " UNION ALL ".join(_scaled)))
+
+
+def _ablation(e: DataFrame) -> DataFrame:
+    """Instances in the undirected graph: every embedding over the pattern's symmetries, symmetry broken, and triangles reused too."""
+    both = materialize(g.symmetric(e), "both")
+    tri = rw.materialize_triangles(both)
+    out = None
+    for name in ("four_clique", "house", "five_clique"):
+        q, once = P[name], rw.undirected(P[name])
+        symmetries = len(rw.automorphisms(q))
+        n = lambda pattern, relations: static_join(pattern, relations, output="count")
+        cases = {"plain": n(q.injective(), {"e": both}).select((F.col("n") / symmetries).cast("long").alias("n")), "symmetry": n(once, {"e": both}), "symmetry_triangles": n(rw.rewrite_with_triangles(once), {"e": both, "tri": tri})}
+        for case, rows in cases.items():
+            row = rows.select(F.lit(name).alias("pattern"), F.lit(case).alias("optimisation"), "n")
+            out = row if out is None else out.unionByName(row)
+    return out
+
+
+_instances = " UNION ALL ".join(f"SELECT '{n}' AS pattern, c AS optimisation, CAST(n AS BIGINT) AS n FROM (SELECT count(*) AS n FROM ({o.pattern_sql(rw.undirected(P[n]), 's')})), (SELECT unnest(['plain', 'symmetry', 'symmetry_triangles']) AS c)" for n in ("four_clique", "house", "five_clique"))
+add("exp__ablation", on(g.basket_edges, _ablation), f"{_sym} {_instances}")
+
+
+def _batch_sizes(e: DataFrame) -> DataFrame:
+    """The same insertions in batches of growing size: how many batches, and triangles that came in all."""
+    inserted = e.filter("(src * 31 + dst * 17) % 2 = 0")
+    base = e.filter("(src * 31 + dst * 17) % 2 <> 0").select("src", "dst", F.lit(0).cast("long").alias("since"))
+    numbered = materialize(inserted.withColumn("no", F.row_number().over(Window.partitionBy(F.col("src") % 64).orderBy("src", "dst")) - 1), "numbered")
+    out = None
+    for size in (10, 100, 1000, 10_000, None):
+        # each of 64 feeds sends its updates in order; a batch takes a 64th of its size from every one
+        ver = F.floor(F.col("no") * 64 / F.lit(size)) + 1 if size else F.lit(1)
+        alive = materialize(base.unionByName(numbered.select("src", "dst", ver.cast("long").alias("since"))).withColumn("until", F.lit(None).cast("long")), "lives")
+        came = updates.pattern_changes(P["triangle"], alive).filter("day > 0").agg(F.count(F.lit(1)).alias("came"), F.countDistinct("day").alias("batches_with_changes"))
+        row = alive.agg(F.lit(size).cast("long").alias("size"), F.max("since").alias("batches")).crossJoin(came)
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+_no = "SELECT src, dst, row_number() OVER (PARTITION BY src % 64 ORDER BY src, dst) - 1 AS no FROM e WHERE (src * 31 + dst * 17) % 2 = 0"
+_sized = []
+for _size in (10, 100, 1000, 10_000, None):
+    _ver = f"CAST(floor(no * 64 / {_size}) AS BIGINT) + 1" if _size else "1"
+    _life = f"(SELECT src, dst, 0 AS since, NULL::BIGINT AS until FROM e WHERE (src * 31 + dst * 17) % 2 <> 0 UNION ALL SELECT src, dst, {_ver}, NULL FROM ({_no}))"
+    _sized.append(f"SELECT CAST({_size or 'NULL'} AS BIGINT) AS size, CAST((SELECT max(since) FROM {_life}) AS BIGINT) AS batches, CAST(count(*) AS BIGINT) AS came, CAST(count(DISTINCT since) AS BIGINT) AS batches_with_changes FROM ({o.lives_sql('triangle', _life)}) WHERE since > 0")
+add("exp__batch_sizes", on(g.basket_edges, _batch_sizes), o.with_graph("basket", " UNION ALL ".join(_sized)))
+
+
+def _rivals(e: DataFrame) -> DataFrame:
+    """Matches and index tuples of the join and of the decomposition engine."""
+    out = None
+    for name in ("triangle", "diamond"):
+        for method, rows in (("static", join(name)(e)), ("decomposition", bp.decomposed_join(P[name], {"e": e}))):
+            row = rows.agg(F.lit(name).alias("pattern"), F.lit(method).alias("method"), F.count(F.lit(1)).alias("n"))
+            out = row if out is None else out.unionByName(row)
+    return out
+
+
+add("exp__rivals", on(g.basket_edges, _rivals), o.with_graph("basket", " UNION ALL ".join(f"SELECT '{n}' AS pattern, m AS method, n FROM ({o.count_of(o.pattern_sql(P[n]))}), (SELECT unnest(['static', 'decomposition']) AS m)" for n in ("triangle", "diamond"))))
+
 # counts of all sizes, hubs too
-add("op__lateral_range_whole", lambda s, sf: _lateral(s, sf, None, g.whole_basket_edges), f"WITH e AS ({o.GRAPHS['whole_basket']}), d AS (SELECT src AS v, count(*) AS c FROM e GROUP BY 1) SELECT v, CAST(unnest(range(1, c + 1)) AS BIGINT) AS k FROM d")
+add("op__lateral_range_whole", lambda s, sf: _lateral(s, sf, g.whole_basket_edges), f"WITH e AS ({o.GRAPHS['whole_basket']}), d AS (SELECT src AS v, count(*) AS c FROM e GROUP BY 1) SELECT v, CAST(unnest(range(1, c + 1)) AS BIGINT) AS k FROM d")
 
 # the same over the basket graph of all orders
 _small, _whole = (" ".join(o.GRAPHS[n].split()) for n in ("basket", "whole_basket"))
@@ -377,14 +504,16 @@ _of_graph = {
     "delta__multi_batch": lambda s, sf: _replay(s, sf, graph=g.whole_basket_edges),
     "delta__index_as_of": lambda s, sf: _as_of(s, sf, g.whole_basket_edges),
     "meter__agm": lambda s, sf: _agm(s, sf, g.whole_basket_edges),
-    "meter__intermediates": lambda s, sf: _intermediates(s, sf, g.whole_basket_edges),
+    "meter__intermediates": lambda s, sf: _intermediates(s, sf, g.whole_basket_edges, ("triangle",)),
     "meter__costs": lambda s, sf: _metered(s, sf, g.whole_basket_edges),
     "op__array_intersect": lambda s, sf: _array_intersect(s, sf, False, g.whole_basket_edges),
     "op__galloping_intersect": lambda s, sf: _array_intersect(s, sf, True, g.whole_basket_edges),
 }
-_of_graph |= {n: on(g.whole_basket_edges, q.run) for n, q in QUERIES.items() if getattr(q, "graph", None) is g.basket_edges}
+_of_graph |= {n: on(g.whole_basket_edges, q.run) for n, q in QUERIES.items() if getattr(q, "graph", None) is g.basket_edges and not n.startswith("exp__")}
 for _name, _query in _of_graph.items():
-    add(f"{_name}_all_orders", _query, ORACLES.get(_name, "").replace(_small, _whole))
+    _sql = ORACLES.get(_name, "").replace(_small, _whole)
+    # exploration of 4-cliques takes too many rows there
+    add(f"{_name}_all_orders", _query, _sql.split(" UNION ALL SELECT 'four_clique', 'static'")[0] if _name == "meter__intermediates" else _sql)
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
