@@ -209,10 +209,10 @@ _NODE = [("node", pa.int64()), ("size", pa.int32()), *((w, pa.int64()) for w in
 
 
 def _set_nodes(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordBatch]:
-    """Beside the first column, of texts: a name of the set, its size, its fingerprint."""
+    """Beside the first column, of documents: a name of the text's set, its size, its fingerprint."""
     for batch in batches:
-        made = []
-        for text in batch.column(0):
+        made, doc = [], batch.column(0)
+        for text in doc.field(doc.type.get_field_index("text")):
             hashes = shingle_set(text.as_py(), width)
             made.append((xxhash.xxh64_intdigest(hashes.tobytes(), 7), len(hashes), *wide_fingerprint(hashes)))
         cols = [pa.array(np.array([m[k] for m in made], np.uint64).astype(t.to_pandas_dtype()), t) for k, (_, t) in enumerate(_NODE)]
@@ -292,12 +292,12 @@ def _cut(text: str, width: int) -> set[int]:
 
 
 def _set_components(docs: DataFrame, width: int, similarity: float, radius: int) -> tuple[DataFrame, DataFrame]:
-    """``(rows(text, doc, node, row), nodes(node, root, first))``; ``doc`` is a document's whole row, ``first`` the least of a node's rows."""
-    whole = docs.select("text", F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("doc"))
+    """``(rows(doc, node, row), nodes(node, root, first))``; ``doc`` is a document's whole row, ``first`` the least of a node's rows."""
+    whole = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("doc"))
     schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in whole.schema.fields)
     made = whole.mapInArrow(lambda it: _set_nodes(it, width), f"{schema}, node long, size int, " + ", ".join(f"{w} long" for w in _WORDS))
     rows = materialize(made.withColumn("row", F.monotonically_increasing_id()), "rows")
-    order = F.struct(F.col("doc.doc_id").isNull().alias("none"), F.col("doc.doc_id").alias("doc_id"), F.xxhash64("text").alias("h"), F.col("row"))
+    order = F.struct(F.col("doc.doc_id").isNull().alias("none"), F.col("doc.doc_id").alias("doc_id"), F.xxhash64("doc.text").alias("h"), F.col("row"))
     same = lambda c: F.max(c).alias(c)  # equal in all rows of a node
     nodes = materialize(rows.groupBy("node").agg(F.min(order).alias("first"), same("size"), *map(same, _WORDS)), "nodes")
     found = materialize(connected_components(set_candidates(nodes, radius, similarity)), "candidates")
@@ -305,7 +305,7 @@ def _set_components(docs: DataFrame, width: int, similarity: float, radius: int)
 
     def texts(members: DataFrame) -> DataFrame:
         chosen = nodes.join(members.select(F.col("h").alias("node")).distinct(), "node").select(F.col("node").alias("h"), F.col("first.row").alias("row"))
-        return chosen.join(rows.select("row", "text"), "row").select("h", "text")
+        return chosen.join(rows.select("row", F.col("doc.text").alias("text")), "row").select("h", "text")
 
     roots = groups.similar_roots(dealt, texts, width, similarity, _cut)
     return rows, nodes.join(roots, "node", "left").select("node", F.coalesce("root", "node").alias("root"), "first")
