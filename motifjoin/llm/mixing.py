@@ -227,9 +227,11 @@ def packed_blocks(docs: DataFrame, block_words: int = BLOCK_WORDS, **options) ->
     are of, in order. A text moves to its place once and in pieces to its blocks once; slots and blocks meet by index.
     """
     placed, sources, slots = mix(docs, block_words=block_words, **options)
-    texts = docs.select("doc_id", "source", F.xxhash64("text").alias("tag"), "text").filter(word_count(F.col("text")) > 0).dropDuplicates(list(_ALIKE))
-    here = placed.select(*(F.col(c).alias(f"p_{c}") for c in _ALIKE), "source_no", "copies", "at").hint("merge")  # grows with the corpus: never broadcast
-    whole = texts.join(here, F.col("doc_id").eqNullSafe(F.col("p_doc_id")) & F.col("source").eqNullSafe(F.col("p_source")) & (F.col("tag") == F.col("p_tag")))
+    here = placed.select(F.struct(*_ALIKE).alias("key"), "source_no", "copies", "at").hint("merge")  # grows with the corpus: never broadcast
+    # one struct as the key, equal with its nulls and of the same type: the aggregation deals texts as the join wants them, so they move once for both
+    key = F.struct("doc_id", "source", F.xxhash64("text").alias("tag")).cast(here.schema["key"].dataType).alias("key")
+    texts = docs.filter(word_count(F.col("text")) > 0).select(key, "text").groupBy("key").agg(F.first("text").alias("text"))
+    whole = texts.join(here, "key").withColumn("doc_id", F.col("key.doc_id"))
     kind = docs.schema["doc_id"].dataType.simpleString()
     pieces = whole.select("doc_id", "text", "source_no", "copies", "at").mapInArrow(lambda it: _pack(it, block_words), f"doc_id {kind}, source_no long, block long, at long, words string")
     held = pieces.groupBy("source_no", "block").agg(F.array_sort(F.collect_list(F.struct("at", "words", "doc_id"))).alias("has"))  # at most block_words pieces
