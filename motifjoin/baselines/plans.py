@@ -14,6 +14,7 @@ from motifjoin.baselines.serial import serial_generic_join
 from motifjoin.operators.static_join import _as_prefixes, static_join
 from motifjoin.plans.agm import agm_bound
 from motifjoin.plans.query import PATTERNS, Atom, JoinQuery, clean
+from motifjoin.workspace import materialize
 
 
 def _filtered(rows: DataFrame, query: JoinQuery, done: set) -> DataFrame:
@@ -213,20 +214,32 @@ def choose_bags(query: JoinQuery) -> list[list[int]]:
     return found
 
 
-def clique_star_join(k: int, edges: DataFrame, compact: bool = False) -> DataFrame:
-    """Cliques of ``k`` from an index of triangles by first vertex: a vertex's triangles are the edges among its successors.
+def neighbourhoods(edges: DataFrame) -> DataFrame:
+    """``(x, y, zs)``: the triangle index by first vertex, ``zs`` the vertices that x and its successor y both lead to.
 
-    Cliques of k - 1 inside each neighbourhood, with the vertex in front; ``compact`` keeps
-    them as one array of arrays per first vertex. Hubs are split by their second vertex,
-    so a neighbourhood is searched in parts.
+    The rows of one x are the edges among its successors. A row is as long as a list of
+    successors: at most the root of twice the edges where edges go by degree (``rewrites``).
     """
     tri = static_join(PATTERNS["triangle"], {"e": edges}).toDF("x", "y", "z")
-    attrs = [f"a{i}" for i in range(1, k + 1)]
-    inner = JoinQuery("inner", tuple(Atom("t", ("x", f"b{i}", f"b{j}")) for i in range(1, k) for j in range(i + 1, k)), order=("x", *[f"b{i}" for i in range(1, k)]))
-    found = static_join(inner, {"t": tri}).toDF(*attrs)
-    if compact:
-        return found.groupBy("a1").agg(F.array_sort(F.collect_list(F.array(*attrs[1:]))).alias("cliques"))
-    return found
+    return tri.groupBy("x", "y").agg(F.array_sort(F.collect_list("z")).alias("zs"))
+
+
+def clique_star_join(k: int, edges: DataFrame, compact: bool = False) -> DataFrame:
+    """Cliques of ``k`` inside the neighbourhoods of their first vertices.
+
+    A clique so far is its members and the set of those that go on: one of the set joins
+    the members, and its own row of the same neighbourhood cuts the set. ``compact`` leaves the last
+    member as that set (``tail``), for cliques that share all others; nothing is gathered
+    beyond a list of successors.
+    """
+    index = materialize(neighbourhoods(edges), "neighbourhoods")
+    out = index.toDF("a1", "a2", "tail")
+    for j in range(3, k):
+        grown = out.withColumn(f"a{j}", F.explode("tail"))
+        inner = index.toDF("x", "y", "zs")
+        met = grown.join(inner, (F.col("a1") == F.col("x")) & (F.col(f"a{j}") == F.col("y")))
+        out = met.select(*(f"a{i}" for i in range(1, j + 1)), F.array_intersect("tail", "zs").alias("tail")).filter(F.size("tail") > 0)
+    return out if compact else out.withColumn(f"a{k}", F.explode("tail")).drop("tail")
 
 
 def recompute_diff(query: JoinQuery, old: Mapping[str, DataFrame], new: Mapping[str, DataFrame]) -> DataFrame:

@@ -11,7 +11,7 @@ from pyspark.sql import Window
 
 from motifjoin import meters
 from motifjoin.baselines import plans as bp
-from motifjoin.baselines.serial import serial_join, serial_triangles
+from motifjoin.baselines.serial import serial_join, serial_match, serial_triangles
 from motifjoin.operators.balanced import balanced_join, received
 from motifjoin.operators.delta import DeltaEngine, delta_bootstrap, delta_join
 from motifjoin.operators.index import build_index
@@ -192,8 +192,12 @@ add("baseline__decomposed_house", on(g.basket_edges, lambda e: bp.decomposed_joi
 add("baseline__decomposed_diamond", on(g.basket_edges, lambda e: bp.decomposed_join(P["diamond"], {"e": e})), o.rows_of("diamond"))
 add("baseline__clique_star_four_clique", on(g.basket_edges, lambda e: bp.clique_star_join(4, e)), o.rows_of("four_clique"))
 add("baseline__clique_star_five_clique", on(g.basket_edges, lambda e: bp.clique_star_join(5, e)), o.rows_of("five_clique"))
-add("baseline__clique_star_compact", on(g.basket_edges, lambda e: bp.clique_star_join(4, e, compact=True).select("a1", F.size("cliques").cast("long").alias("n"))), f"WITH e AS ({o.GRAPHS['basket']}) SELECT a1, CAST(count(*) AS BIGINT) AS n FROM ({o.pattern_sql(P['four_clique'])}) q GROUP BY 1")
+add("baseline__clique_star_compact", on(g.basket_edges, lambda e: bp.clique_star_join(4, e, compact=True).groupBy("a1").agg(F.sum(F.size("tail")).cast("long").alias("n"))), f"WITH e AS ({o.GRAPHS['basket']}) SELECT a1, CAST(count(*) AS BIGINT) AS n FROM ({o.pattern_sql(P['four_clique'])}) q GROUP BY 1")
 add("baseline__serial_triangle", on(g.basket_edges, serial_triangles), o.with_graph("basket", o.count_of(o.pattern_sql(P["triangle"]))))
+add("baseline__serial_lister", on(g.basket_edges, lambda e: serial_triangles(e, listing=True)), o.rows_of("triangle"))
+add("baseline__serial_lister_undirected", on(g.event_edges, lambda e: serial_triangles(e, listing=True)), o.with_graph("event", "SELECT x.src AS a1, x.dst AS a2, y.dst AS a3 FROM (SELECT DISTINCT least(src, dst) AS src, greatest(src, dst) AS dst FROM e) x JOIN (SELECT DISTINCT least(src, dst) AS src, greatest(src, dst) AS dst FROM e) y ON x.dst = y.src JOIN (SELECT DISTINCT least(src, dst) AS src, greatest(src, dst) AS dst FROM e) z ON z.src = x.src AND z.dst = y.dst"))
+for _name in ("four_clique", "house"):
+    add(f"baseline__serial_matcher_{_name}", on(g.basket_edges, lambda e, q=P[_name]: serial_match(q, e)), o.rows_of(_name))
 add("baseline__serial_generic", on(g.basket_edges, lambda e: serial_join(P["four_clique"], {"e": e})), o.rows_of("four_clique"))
 add("baseline__serial_seeking", on(g.basket_edges, lambda e: serial_join(P["diamond"], {"e": e}, "seek")), o.rows_of("diamond"))
 add("baseline__one_worker", on(g.basket_edges, lambda e: bp.one_worker_join(P["triangle"], {"e": e})), o.rows_of("triangle"))

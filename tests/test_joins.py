@@ -1,12 +1,13 @@
 import itertools
 import random
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from motifjoin import meters
 from motifjoin.baselines import plans as bp
-from motifjoin.baselines.serial import count_triangles, serial_generic_join
+from motifjoin.baselines.serial import count_triangles, list_triangles, serial_generic_join, vertex_match
 from motifjoin.operators.balanced import balanced_join, received
 from motifjoin.operators.delta import DeltaEngine, delta_join
 from motifjoin.operators.index import IndexCatalog, build_index
@@ -52,6 +53,32 @@ def test_serial_joins_agree_with_nested_loops(name):
     want = sorted(t for t in itertools.product(range(8), repeat=len(q.order)) if all((t[q.order.index(a.attrs[0])], t[q.order.index(a.attrs[1])]) in have for a in q.atoms))
     for how in ("hash", "seek"):
         assert sorted(serial_generic_join(q, {"e": edges}, intersect=how)) == want
+    assert sorted(vertex_match(q, edges)) == want
+
+
+@pytest.mark.parametrize("seed", range(6))
+@pytest.mark.parametrize("probes", [1, 7, 1 << 22])
+def test_triangle_lister(seed, probes):
+    edges = random_edges(seed, 12, 50) + [(3, 3), (1, 2), (2, 1)]
+    near = {frozenset(x) for x in edges if len(set(x)) == 2}
+    want = [t for t in itertools.combinations(range(12), 3) if all(frozenset(x) in near for x in itertools.combinations(t, 2))]
+    src, dst = np.array(edges, np.int64).T
+    assert sorted(tuple(map(int, r)) for found in list_triangles(src, dst, probes) for r in found) == want
+    assert count_triangles(src, dst) == len(want)
+
+
+def test_triangle_lister_without_edges():
+    none = np.zeros(0, np.int64)
+    assert count_triangles(none, none) == 0 and count_triangles(np.array([4]), np.array([4])) == 0
+
+
+@pytest.mark.parametrize("k", [3, 4, 5])
+def test_clique_index(spark, k):
+    for edges in (K5, random_edges(8, 9, 45)):
+        e = edges_of(spark, edges)
+        want = sorted(serial_generic_join(PATTERNS[{3: "triangle", 4: "four_clique", 5: "five_clique"}[k]], {"e": edges}))
+        assert rows(bp.clique_star_join(k, e)) == want
+        assert sum(len(r.tail) for r in bp.clique_star_join(k, e, compact=True).collect()) == len(want)
 
 
 @pytest.mark.parametrize("name", ["triangle", "cyclic_triangle", "diamond", "house"])
