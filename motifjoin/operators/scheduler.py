@@ -22,7 +22,9 @@ from motifjoin.operators.index import IndexCatalog
 from motifjoin.plans.stages import Stage
 from motifjoin.workspace import materialize, new_path
 
-WORKER, START, END = bal.WORKER, bal.START, bal.END
+WORKER, START, END, AT = bal.WORKER, bal.START, bal.END, "__at"
+#: Parts in which a worker's items are numbered.
+PARTS = 64
 
 
 @dataclass
@@ -41,16 +43,64 @@ class Scheduler:
         return max((d for d, p in enumerate(pending) if p), default=None)
 
 
-def take(items: DataFrame, batch: int) -> tuple[DataFrame, DataFrame]:
-    """The first ``batch`` proposals of every worker, and the rest; an item may be split."""
+def _size() -> F.Column:
+    return F.col(END) - F.col(START) + 1
+
+
+def numbered(items: DataFrame) -> DataFrame:
+    """``items`` with ``AT``, the number of proposals of its worker before each: sums within parts, then over parts."""
     payload = [c for c in items.columns if c not in (WORKER, START, END)]
-    size = F.col(END) - F.col(START) + 1
-    order = Window.partitionBy(WORKER).orderBy(*payload, START).rowsBetween(Window.unboundedPreceding, -1)
-    placed = items.withColumn("__at", F.coalesce(F.sum(size).over(order), F.lit(0)))
-    cut = F.col(START) + batch - F.col("__at")  # the first number that is left for later
-    now = placed.filter(F.col("__at") < batch).withColumn(END, F.least(F.col(END), cut - 1)).drop("__at")
-    later = placed.withColumn(START, F.greatest(F.col(START), cut)).filter(F.col(START) <= F.col(END)).drop("__at")
-    return now, later
+    dealt = items.withColumn("__part", F.pmod(F.xxhash64(*payload, START), F.lit(PARTS)))
+    before = Window.rowsBetween(Window.unboundedPreceding, -1)
+    inside = before.partitionBy(WORKER, "__part").orderBy(*payload, START)
+    placed = dealt.withColumn(AT, F.coalesce(F.sum(_size()).over(inside), F.lit(0)))
+    sums = dealt.groupBy(WORKER, "__part").agg(F.sum(_size()).alias("__all"))
+    base = F.coalesce(F.sum("__all").over(before.partitionBy(WORKER).orderBy("__part")), F.lit(0))
+    tops = sums.select(WORKER, "__part", base.alias("__base"))
+    return placed.join(tops, [WORKER, "__part"]).withColumn(AT, F.col(AT) + F.col("__base")).drop("__part", "__base")
+
+
+@dataclass
+class Pending:
+    """The stored work items of one depth.
+
+    Items are numbered once, when they come, and never rewritten: a turn reads the next
+    range of numbers of every worker, from the segments that it reaches into.
+    """
+
+    segments: list[tuple[DataFrame, dict[int, int], dict[int, int]]] = field(default_factory=list)
+    given: dict[int, int] = field(default_factory=dict)
+    taken: dict[int, int] = field(default_factory=dict)
+
+    def left(self) -> dict[int, int]:
+        """Proposals per worker that are not taken yet."""
+        return {w: n - self.taken.get(w, 0) for w, n in self.given.items() if n > self.taken.get(w, 0)}
+
+    def add(self, items: DataFrame) -> None:
+        stored = materialize(numbered(items), "items")
+        load = {r[WORKER]: r["n"] for r in stored.groupBy(WORKER).agg(F.max(F.col(AT) + _size()).alias("n")).collect()}  # a row per worker
+        if load:
+            self.segments.append((stored, {w: self.given.get(w, 0) for w in load}, load))
+            self.given |= {w: self.given.get(w, 0) + n for w, n in load.items()}
+
+    def take(self, batch: int) -> DataFrame:
+        """The next ``batch`` proposals of every worker; an item may be split."""
+        upto = {w: min(self.taken.get(w, 0) + batch, n) for w, n in self.given.items()}
+        out, rest = None, []
+        for stored, start, load in self.segments:
+            span = [(w, max(0, self.taken.get(w, 0) - start[w]), min(n, upto[w] - start[w])) for w, n in load.items()]
+            span = [x for x in span if x[1] < x[2]]
+            if span:
+                reach = F.broadcast(stored.sparkSession.createDataFrame(span, f"{WORKER} int, __lo long, __hi long"))
+                met = stored.join(reach, WORKER).filter((F.col(AT) < F.col("__hi")) & (F.col(AT) + _size() > F.col("__lo")))
+                first = F.col(START) + F.greatest(F.lit(0), F.col("__lo") - F.col(AT))
+                last = F.col(END) - F.greatest(F.lit(0), F.col(AT) + _size() - F.col("__hi"))
+                part = met.select(*(first.alias(c) if c == START else last.alias(c) if c == END else c for c in stored.columns if c != AT))
+                out = part if out is None else out.unionByName(part)
+            if any(start[w] + n > upto[w] for w, n in load.items()):
+                rest.append((stored, start, load))
+        self.segments, self.taken = rest, upto
+        return out
 
 
 def _items(prefixes: DataFrame, stage: Stage, catalog: IndexCatalog, workers: int, balanced: bool) -> DataFrame:
@@ -70,26 +120,18 @@ def batched_join(prefixes: DataFrame, stages: Sequence[Stage], catalog: IndexCat
     cols = prefixes.columns
     held = prefixes.withColumn(WORKER, (F.pmod(F.xxhash64(*cols), F.lit(workers)) if cols else F.lit(0)).cast("int"))
     spark, out_path, outputs = prefixes.sparkSession, new_path(prefixes.sparkSession, "matches"), 0
-    queue: list[DataFrame | None] = [materialize(_items(held, stages[0], catalog, workers, balanced), "items")] + [None] * (len(stages) - 1)
-    load = lambda df: {r[WORKER]: r["n"] for r in df.groupBy(WORKER).agg(F.sum(F.col(END) - F.col(START) + 1).alias("n")).collect()} if df is not None else {}
-    pending = [load(q) for q in queue]
-    while (depth := scheduler.choose(pending, batch, workers)) is not None:
+    queue = [Pending() for _ in stages]
+    queue[0].add(_items(held, stages[0], catalog, workers, balanced))
+    while (depth := scheduler.choose(pending := [q.left() for q in queue], batch, workers)) is not None:
         scheduler.history.append((depth, sum(min(batch, n) for n in pending[depth].values())))
-        now, later = take(queue[depth], batch)
         stage = stages[depth]
-        now = materialize(now, "now")  # read twice below, to ask and to be answered
+        now = materialize(queue[depth].take(batch), "now")  # read twice below, to ask and to be answered
         found = materialize(apply_filters(bal.probe_intersect(materialize(bal.resolve(now, stage, catalog), "candidates"), stage, catalog), stage), "found")
         if depth + 1 == len(stages):
             found.drop(WORKER).write.parquet(f"{out_path}/turn={outputs}")
             outputs += 1
         else:
-            following = _items(found, stages[depth + 1], catalog, workers, balanced)
-            if queue[depth + 1] is not None:
-                following = following.unionByName(queue[depth + 1])
-            queue[depth + 1] = materialize(following, "items")
-            pending[depth + 1] = load(queue[depth + 1])
-        queue[depth] = materialize(later, "items")
-        pending[depth] = load(queue[depth])
+            queue[depth + 1].add(_items(found, stages[depth + 1], catalog, workers, balanced))
     if not outputs:
         rows = held.limit(0)
         for stage in stages:
