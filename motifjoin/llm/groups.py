@@ -27,6 +27,8 @@ from motifjoin.workspace import materialize
 GROUP_ROWS, PIVOTS, FEW_ROWS = 1024, 16, 24
 #: Columns of dealt groups: a sorted blob of members; a large group's number, null for whole groups.
 DEALT = "members binary, gid long"
+#: Bits of a map of keys, and of one of its pages as ``bitmap_construct_agg`` makes them.
+MAP_BITS, PAGE_BITS = 1 << 26, 1 << 15
 
 Cut = Callable[[str, int], set]
 
@@ -227,3 +229,18 @@ def deal_rows(rows: DataFrame, part_size: int) -> DataFrame:
 def _blobs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         yield pa.RecordBatch.from_arrays([pa.array([np.array(x.as_py(), np.int64).tobytes() for x in batch.column("hs")], pa.binary()), batch.column("gid")], ["members", "gid"])
+
+
+def marked(rows: DataFrame, keys: DataFrame, column: str, name: str) -> DataFrame:
+    """``rows`` with a boolean ``name``: false where ``column`` is surely none of ``keys``' values.
+
+    What goes to the tasks is a map of ``MAP_BITS`` bits (8 MB), however many keys there are; where it
+    fills up, more rows are marked that need not be, and none is missed.
+    """
+    at = F.pmod(F.xxhash64(column), F.lit(MAP_BITS))
+    page, bit = F.floor(at / PAGE_BITS), at % PAGE_BITS
+    held = keys.select(page.alias("__page"), bit.alias("__bit")).groupBy("__page").agg(F.expr("bitmap_construct_agg(__bit)").alias("__bits"))
+    byte = F.conv(F.hex(F.substring(F.col("__bits"), (F.floor(bit / 8) + 1).cast("int"), F.lit(1))), 16, 10).cast("int")
+    on = F.col(name) % 2 == 1
+    told = rows.join(F.broadcast(held), page == F.col("__page"), "left").withColumn(name, F.floor(byte / F.pow(F.lit(2), bit % 8)))
+    return told.withColumn(name, F.coalesce(on, F.lit(False))).drop("__page", "__bits")

@@ -304,8 +304,9 @@ def _set_components(docs: DataFrame, width: int, similarity: float, radius: int)
     dealt = groups.deal_rows(found.join(nodes.select("node", "size"), "node").select(F.col("root").alias("g"), F.col("node").alias("h"), "size"), PART_SHINGLES)
 
     def texts(members: DataFrame) -> DataFrame:
-        chosen = nodes.join(members.select(F.col("h").alias("node")).distinct(), "node").select(F.col("node").alias("h"), F.col("first.row").alias("row"))
-        return chosen.join(rows.select("row", F.col("doc.text").alias("text")), "row").select("h", "text")
+        chosen = materialize(nodes.join(members.select(F.col("h").alias("node")).distinct(), "node").select(F.col("node").alias("h"), F.col("first.row").alias("row")), "chosen")
+        near = groups.marked(rows.select("row", F.col("doc.text").alias("text")), chosen, "row", "hit").filter("hit")
+        return chosen.join(near, "row").select("h", "text")
 
     roots = groups.similar_roots(dealt, texts, width, similarity, _cut)
     return rows, nodes.join(roots, "node", "left").select("node", F.coalesce("root", "node").alias("root"), "first")
@@ -322,5 +323,7 @@ def similar_documents(docs: DataFrame, width: int = SET_WIDTH, similarity: float
 def one_of_each(docs: DataFrame, width: int = SET_WIDTH, similarity: float = SIMILARITY, radius: int = SET_RADIUS) -> DataFrame:
     """``docs`` with one row of every component: that of the smallest doc_id; null ids come last, ties by text."""
     rows, nodes = _set_components(docs, width, similarity, radius)
-    first = nodes.groupBy("root").agg(F.min("first").alias("first")).select("first.row")
-    return rows.join(first, "row", "left_semi").select("doc.*")
+    first = materialize(nodes.groupBy("root").agg(F.min("first").alias("first")).select("first.row"), "first")
+    lost = rows.select("row").join(first, "row", "left_anti")
+    told = groups.marked(rows, lost, "row", "hit")  # only what may be lost has to move
+    return told.filter("not hit").select("doc.*").unionByName(told.filter("hit").join(first, "row", "left_semi").select("doc.*"))
