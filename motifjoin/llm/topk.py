@@ -83,7 +83,7 @@ def _pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             m[k, : len(v)] = v
         order = grouped(m.astype(float), BLOCK_VECTORS)
         m = m[order]
-        m = m.astype("<i4") if m.min() >= -(1 << 31) and m.max() < 1 << 31 else m
+        m = m.astype(next((t for t in ("<i2", "<i4") if np.iinfo(t).min <= m.min() and m.max() <= np.iinfo(t).max), "<i8"))
         ids = np.concatenate(ids).astype("<i8")[order]
         yield pa.RecordBatch.from_arrays([pa.array([m.shape[0]], pa.int32()), pa.array([m.shape[1]], pa.int32()), pa.array([ids.tobytes()], pa.binary()), pa.array([m.tobytes()], pa.binary())], ["n", "width", "ids", "vecs"])
 
@@ -242,8 +242,9 @@ def top_k(queries: DataFrame, vectors: DataFrame, k: int = 5, scale: float = 256
     shards = materialize(_blocks(c, n_shards, "shard"), "shards")
     # stored, so that a query's number in its block is the same in every shard, whatever is computed again
     blocks = materialize(_blocks(q, n_blocks, "block"), "queries").select("block", *(F.col(x).alias(f"q_{x}") for x in ("n", "width", "ids", "vecs")))
-    # every block of queries goes to every shard; a shard's matrix moves once
-    met = blocks.withColumn("shard", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n_shards - 1).cast("long")))).join(shards, "shard")
+    # every block of queries goes to every shard; a shard's matrix moves once. By shuffle: Spark takes the copies of
+    # the blocks for no larger than the blocks, and would gather them on the driver for a broadcast
+    met = blocks.withColumn("shard", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n_shards - 1).cast("long")))).hint("merge").join(shards, "shard")
     found = met.mapInArrow(lambda it: _compare(it, k), "query_id long, block long, no long, vec_id long, score long")
     w = Window.partitionBy("query_id", "block", "no").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

@@ -109,3 +109,11 @@ def test_queries_that_share_an_id(spark):
     q = spark.createDataFrame([(9, [1.0, 0.0]), (9, [1.0, 0.0]), (9, [0.0, 1.0])], "vec_id long, embedding array<float>")
     rows = sorted((r.query_id, r["rank"], r.vec_id) for r in topk.top_k(q, df, 2).collect())
     assert rows == [(9, 1, 1), (9, 1, 2), (9, 2, 3), (9, 2, 3)]
+
+
+def test_copies_of_query_blocks_are_not_broadcast(spark, monkeypatch):
+    monkeypatch.setattr(topk, "SHARD_ROWS", 10)
+    df = spark.createDataFrame([(i, [float(i % 7), 0.5]) for i in range(200)], "vec_id long, embedding array<float>")
+    out = topk.top_k(df.filter("vec_id % 50 = 0"), df)
+    assert "Broadcast" not in out._jdf.queryExecution().executedPlan().toString()
+    assert out.count() == 20
