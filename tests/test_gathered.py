@@ -60,6 +60,17 @@ def test_changes_and_binary_plans(spark, edges, ranges, monkeypatch, name):
     assert rows(binary) == rows(static_join(P[name], {"e": old}))
 
 
+@pytest.mark.parametrize("name,groups", [("four_clique", [[0, 1, 3], [2, 4, 5]]), ("diamond", [[0, 1], [2, 3]]), ("house", [[0, 1, 3], [2, 4, 5], [0, 6, 7]]), ("five_clique", [[0, 1, 4], [2, 5, 7], [3, 6, 8, 9]])])
+def test_groups_of_a_binary_plan_meet_in_the_task(spark, edges, ranges, monkeypatch, name, groups):
+    part = edges.filter("(src + dst) % 5 = 0") if name == "diamond" else edges
+    monkeypatch.setattr(gathered, "CHUNK", 700)
+    found = binary_join(P[name], {"e": part}, decompose=groups)
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in plan and "a4" not in plan.split("Exchange", 1)[1]  # a group's rows do not move
+    monkeypatch.setattr(gathered, "GATHER_ROWS", 1 << 40)
+    assert rows(found) == rows(static_join(P[name], {"e": part}))
+
+
 def test_one_worker_and_a_hub(spark, sf, ranges, monkeypatch):
     wheel = g.wheel_edges(spark, sf)
     found = static_join(P["triangle"], {"e": wheel}, parallelism=1)
