@@ -2,7 +2,7 @@
 
 import pytest
 
-from motifjoin.baselines.plans import binary_join
+from motifjoin.baselines.plans import binary_join, hypercube_join
 from motifjoin.operators import gathered
 from motifjoin.operators.delta import delta_join
 from motifjoin.operators.static_join import static_join
@@ -71,6 +71,16 @@ def test_groups_of_a_binary_plan_meet_in_the_task(spark, edges, ranges, monkeypa
     assert rows(found) == rows(static_join(P[name], {"e": part}))
 
 
+@pytest.mark.parametrize("name,workers", [("triangle", 8), ("diamond", 6), ("cyclic_triangle", 1), ("four_clique", 5)])
+def test_cells_of_a_hypercube_join_in_the_task(spark, edges, ranges, monkeypatch, name, workers):
+    both = g.symmetric(edges.filter("(src * 7 + dst) % 9 = 0")).union(spark.createDataFrame([(5, 5), (-3, 1), (1 << 40, 1), (1, 1 << 40)], "src long, dst long"))
+    found = hypercube_join(P[name], {"e": both}, workers=workers)
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in plan and "Join" not in plan
+    monkeypatch.setattr(gathered, "GATHER_ROWS", 1 << 40)
+    assert rows(found) == rows(static_join(P[name], {"e": both}))
+
+
 def test_one_worker_and_a_hub(spark, sf, ranges, monkeypatch):
     wheel = g.wheel_edges(spark, sf)
     found = static_join(P["triangle"], {"e": wheel}, parallelism=1)
