@@ -3,6 +3,7 @@
 import numpy as np
 import pytest
 
+from motifjoin.baselines.plans import clique_star_join, recompute_diff
 from motifjoin.operators import gathered, pairs
 from motifjoin.operators.static_join import static_join
 from motifjoin.plans.query import PATTERNS as P
@@ -44,3 +45,32 @@ def test_lists_do_not_move_and_repeated_rows_count_once(spark, monkeypatch):
         plan = found._jdf.queryExecution().executedPlan().toString()
         assert "MapInArrow" in plan and "xs" not in plan and "Join" not in plan
         assert rows(found) == there
+
+
+@pytest.fixture()
+def dense(spark, monkeypatch):
+    for name, value in (("RANGE_ROWS", 170), ("PART_ROWS", 300), ("CHUNK", 500)):
+        monkeypatch.setattr(gathered, name, value)
+    far = [(int(a), int(b)) for a, b in np.random.default_rng(4).integers(0, 45, (1100, 2)) if a < b]
+    return spark.createDataFrame([*far, *far[:50]], "src long, dst long")
+
+
+def test_neighbourhoods_are_cut_in_their_task(spark, dense, monkeypatch):
+    cases = [(4, False), (5, False), (4, True)]
+    listed = lambda df: sorted((tuple(tuple(sorted(c)) if isinstance(c, list) else c for c in r) for r in df.collect()))
+    want = [listed(clique_star_join(k, dense, compact)) for k, compact in cases]
+    monkeypatch.setattr(gathered, "GATHER_ROWS", 10)
+    for (k, compact), there in zip(cases, want):
+        found = clique_star_join(k, dense, compact)
+        plan = found._jdf.queryExecution().executedPlan().toString()
+        assert "MapInArrow" in plan and "Join" not in plan and there and listed(found) == there
+
+
+@pytest.mark.parametrize("name", ["triangle", "diamond"])
+def test_versions_are_compared_in_a_task(spark, dense, monkeypatch, name):
+    old, new = dense.filter("(src + dst) % 7 > 0"), dense.filter("(src + dst) % 5 > 0 and src <> 11")
+    want = rows(recompute_diff(P[name], {"e": old}, {"e": new}))
+    monkeypatch.setattr(gathered, "GATHER_ROWS", 10)
+    found = recompute_diff(P[name], {"e": old}, {"e": new})
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in plan and "Join" not in plan and want and rows(found) == want
