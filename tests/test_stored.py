@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 
 from motifjoin.baselines.plans import clique_star_join, recompute_diff
-from motifjoin.operators import gathered, pairs
+from motifjoin.operators import delta, gathered, pairs
 from motifjoin.operators.static_join import static_join
 from motifjoin.plans.query import PATTERNS as P
 from motifjoin.sources import graphs as g
@@ -74,3 +74,16 @@ def test_versions_are_compared_in_a_task(spark, dense, monkeypatch, name):
     found = recompute_diff(P[name], {"e": old}, {"e": new})
     plan = found._jdf.queryExecution().executedPlan().toString()
     assert "MapInArrow" in plan and "Join" not in plan and want and rows(found) == want
+
+
+@pytest.mark.parametrize("name", ["four_clique", "diamond"])
+def test_versions_are_read_from_one_table(spark, dense, monkeypatch, name):
+    old = dense.filter("(src + dst) % 7 > 0")
+    changes = dense.filter("(src + dst) % 3 = 0").selectExpr("src", "dst", "case when (src + dst) % 7 = 0 then 2 when src % 2 = 0 then -1 else 1 end as w")
+    noise = spark.createDataFrame([(3, 900, -1), (4, 900, 1), (4, 900, -1), (None, 2, 1)], "src long, dst long, w int")
+    want = rows(delta.delta_join(P[name], {"e": old}, {"e": changes.union(noise)}))
+    monkeypatch.setattr(gathered, "GATHER_ROWS", 10)
+    monkeypatch.setattr(delta, "normalize_delta", None)  # no version is made by joins
+    found = delta.delta_join(P[name], {"e": old}, {"e": changes.union(noise)})
+    assert want and {r[-1] for r in want} == {1, -1} and rows(found) == want
+    assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
